@@ -116,6 +116,19 @@ def _counts(rows: list[dict], terms) -> tuple[int, int]:
     return sum(met), len(met) - sum(met)
 
 
+def _settled(terms: list, rows: list[dict]) -> list:
+    """Each cut moved to the middle of the gap between the low rows that the rule meets (but for the nearest 5 %) and the clean rows that the term keeps out."""
+    terms = list(terms)
+    for k, (f, op, c) in enumerate(terms):
+        near = [r for r in rows if Rule(tuple(t for i, t in enumerate(terms) if i != k)).meets(r)]
+        inside = sorted(r[f] for r in near if r["low"] and Rule((terms[k],)).meets(r))
+        outside = [r[f] for r in near if not r["low"] and not Rule((terms[k],)).meets(r)]
+        if inside and outside:
+            edge, wall = (inside[len(inside) // 20], max(outside)) if op == ">" else (inside[-1 - len(inside) // 20], min(outside))
+            terms[k] = (f, op, (edge + wall) / 2)
+    return terms
+
+
 def learn(rows: list[dict]) -> list[Rule]:
     """Sequential covering over rows of FEATURES and ``low`` (True: low quality)."""
     grow, prune = [r for i, r in enumerate(rows) if i % 3], [r for i, r in enumerate(rows) if i % 3 == 0]
@@ -149,15 +162,13 @@ def learn(rows: list[dict]) -> list[Rule]:
         worth = lambda t: (lambda p, n: (p - n) / max(p + n, 1))(*_counts(held, t))
         while len(terms) > 1 and worth(terms[:-1]) >= worth(terms):
             terms = terms[:-1]
+        terms = _settled(terms, left)
         p, n = _counts(held, terms)
         rule = Rule(tuple(terms))
         if p + n and p / (p + n) >= PRECISION:
             rules.append(rule)
         rest = [r for r in left if not rule.meets(r)]
         left, held = (rest if len(rest) < len(left) else []), [r for r in held if not rule.meets(r)]
-        if not (p + n and p / (p + n) >= PRECISION):
-            # an imprecise rule is dropped and so are the rows that led to it, which ends the search
-            continue
     return rules
 
 

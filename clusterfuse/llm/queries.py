@@ -7,6 +7,7 @@ from importlib import import_module
 #: query name -> module with query(spark, sf_dir) and, where SQL can express it, ORACLE_SQL
 MODULES = {
     "op2_license_scan": "licenses",
+    "op3_minhash_dedup": "near_dup",
     "op5_feistel_shards": "sharding",
     "op8_decision_list": "quality_rules",
     "op9_pow2_packing": "packing",
