@@ -8,6 +8,7 @@ from importlib import import_module
 MODULES = {
     "op2_license_scan": "licenses",
     "op3_minhash_dedup": "near_dup",
+    "op4_decontaminate": "decontaminate",
     "op5_feistel_shards": "sharding",
     "op8_decision_list": "quality_rules",
     "op9_pow2_packing": "packing",
