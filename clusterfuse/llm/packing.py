@@ -15,6 +15,8 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
+from unicodedata import is_normalized
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -24,6 +26,8 @@ from .common import store, table
 WINDOW = 2048
 END_ID = 1
 CACHE = 400_000
+#: ASCII marks that may follow a word; not the apostrophe, which takes part in units of its own.
+MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 SPREAD = 256
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary"
 
@@ -35,51 +39,49 @@ class ChunkTokenizer:
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import numpy as np
         from tokenizers import Tokenizer
 
-        self.np, self.tokenizer, self.met = np, Tokenizer.from_file(path), {}
-        vocab = self.tokenizer.get_vocab()
-        self.ends = np.zeros(max(vocab.values()) + 1, bool)
-        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+        self.tokenizer = Tokenizer.from_file(path)
+        self.model, self.met, self.base = self.tokenizer.model, {}, {"": b""}
+        # the printable character that stands for each byte in a byte-level vocabulary
+        plain = [x for x in range(256) if 33 <= x <= 126 or 161 <= x <= 172 or x >= 174]
+        others = [x for x in range(256) if x not in plain]
+        self.shown = {x: chr(x) for x in plain} | {x: chr(256 + k) for k, x in enumerate(others)}
 
     def learn(self, chunks: set[bytes]) -> None:
         if len(self.met) + len(chunks) > CACHE:
             self.met.clear()
-        single, rest = [], []
+        rest = []
         for c in chunks:
-            word = c.decode()
-            # one run of letters is one unit of the tokenizer, whose last id ends a word
-            (single if word.isalpha() and word.lower().isalpha() else rest).append((c, word))
-        for at in range(0, len(single), 4096):
-            part = single[at : at + 4096]
-            ids = self.np.array(self.tokenizer.encode(" ".join(w for _, w in part), add_special_tokens=False).ids, "<u4")
-            stops = self.np.flatnonzero(self.ends[ids]) + 1
-            if len(stops) != len(part):
-                rest += part
-                continue
-            raw, begin = ids.tobytes(), 0
-            for (c, _), stop in zip(part, (stops * 4).tolist()):
-                self.met[c] = raw[begin:stop]
-                begin = stop
-        for at in range(0, len(rest), 4096):
-            part = rest[at : at + 4096]
+            text = c.decode()
+            word = text.rstrip(MARKS)
+            # one run of letters is one unit of the tokenizer, and so is a run of marks after it (apostrophes are not among them)
+            if word.isalpha() and (low := word.lower()).isalpha() and (word.isascii() or "\u03a3" not in word and is_normalized("NFC", word)):
+                self.met[c] = self._unit(low) + self._unit(text[len(word) :])
+            else:
+                rest.append((c, text))
+        for at in range(0, len(rest), 1024):
+            part = rest[at : at + 1024]
             for (c, _), e in zip(part, self.tokenizer.encode_batch([w for _, w in part], add_special_tokens=False)):
-                self.met[c] = self.np.array(e.ids, "<u4").tobytes()
-
-    def ids(self, texts: list[bytes]) -> list[bytes]:
-        out = []
-        for text in texts:
-            chunks = text.split()
-            try:
-                out.append(b"".join([self.met[c] for c in chunks]))
-            except KeyError:
-                self.learn(set(chunks) if len(chunks) > CACHE else {c for c in chunks if c not in self.met})
-                met = self.met
-                if any(c not in met for c in chunks):  # the memory was emptied for them
-                    self.learn(set(chunks))
-                out.append(b"".join([self.met[c] for c in chunks]))
-        return out
+                self.met[c] = array("I", e.ids).tobytes()
+
+    def _unit(self, unit: str) -> bytes:
+        """Ids of one lower-cased unit, straight from the merges of the model."""
+        found = self.base.get(unit)
+        if found is None:
+            if len(self.base) > CACHE:
+                self.base.clear()
+            shown = unit if unit.isascii() else "".join([self.shown[x] for x in unit.encode()])
+            found = self.base[unit] = array("I", [t.id for t in self.model.tokenize(shown)]).tobytes()
+        return found
+
+    def ids(self, text: bytes) -> bytes:
+        chunks = text.split()
+        parts = list(map(self.met.get, chunks))
+        if None in parts:
+            self.learn({c for c, p in zip(chunks, parts) if p is None})
+            parts = [p if p is not None else self.met[c] for c, p in zip(chunks, parts)]
+        return b"".join(parts)
 
 
 def tokenizer_for(path: str) -> ChunkTokenizer:
@@ -118,12 +120,16 @@ def pieces(docs: DataFrame, tokenizer_path: str | None = None, window: int = WIN
             texts = batch.column(1).cast(pa.binary())
             rows: list[list] = [[], [], [], [], [], []]
             for i, doc in enumerate(ids_of):
-                raw = memoryview(tok.ids([texts[i].as_py() or b""])[0] + end)
+                raw = memoryview(tok.ids(texts[i].as_py() or b"") + end)
                 n = len(raw) // 4
-                for s, k in cuts(n, window):
-                    part = raw[4 * s : 4 * (s + k)]
-                    for col, v in zip(rows, (doc, s, k, zlib.crc32(part), n, bytes(part) if with_ids else None)):
-                        col.append(v)
+                each = cuts(n, window)
+                parts = [raw[4 * s : 4 * (s + k)] for s, k in each]
+                rows[0] += [doc] * len(each)
+                rows[1] += [s for s, _ in each]
+                rows[2] += [k for _, k in each]
+                rows[3] += [zlib.crc32(p) for p in parts]
+                rows[4] += [n] * len(each)
+                rows[5] += [bytes(p) for p in parts] if with_ids else [None] * len(each)
                 if len(rows[0]) >= 8192:
                     yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(rows, schema)], schema=schema)
                     rows = [[], [], [], [], [], []]
