@@ -10,6 +10,7 @@ MODULES = {
     "op3_minhash_dedup": "near_dup",
     "op4_decontaminate": "decontaminate",
     "op5_feistel_shards": "sharding",
+    "op6_hpy_scores": "pitman_yor",
     "op8_decision_list": "quality_rules",
     "op9_pow2_packing": "packing",
 }
