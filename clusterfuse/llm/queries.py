@@ -13,6 +13,7 @@ MODULES = {
     "op6_hpy_scores": "pitman_yor",
     "op8_decision_list": "quality_rules",
     "op9_pow2_packing": "packing",
+    "op10_mil_quality": "mil_quality",
 }
 
 
