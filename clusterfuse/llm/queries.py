@@ -11,6 +11,7 @@ MODULES = {
     "op4_decontaminate": "decontaminate",
     "op5_feistel_shards": "sharding",
     "op6_hpy_scores": "pitman_yor",
+    "op7_html_extract": "html_text",
     "op8_decision_list": "quality_rules",
     "op9_pow2_packing": "packing",
     "op10_mil_quality": "mil_quality",
