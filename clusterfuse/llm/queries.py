@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: query name -> module with query(spark, sf_dir) and, where SQL can express it, ORACLE_SQL
 MODULES = {
+    "op1_secret_scan": "secrets",
     "op2_license_scan": "licenses",
     "op3_minhash_dedup": "near_dup",
     "op4_decontaminate": "decontaminate",
