@@ -5,6 +5,7 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,6 +55,28 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+_scratch: dict[str, list[str]] = {}
+_scope = ""
+
+
+@contextmanager
+def scope(name: str):
+    """Scratch tables that are stored inside are listed under ``name``, so that ``release`` can remove them."""
+    global _scope
+    before, _scope = _scope, name
+    try:
+        yield
+    finally:
+        _scope = before
+
+
+def release(spark: SparkSession, name: str) -> None:
+    """Remove the scratch tables of a scope whose results have been written."""
+    for path in _scratch.pop(name, []):
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def store(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as a Parquet table in the shared folder and read it back: cuts lineage and survives lost executors.
 
@@ -64,4 +87,6 @@ def store(df: DataFrame, name: str) -> DataFrame:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+    if _scope:
+        _scratch.setdefault(_scope, []).append(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from importlib import import_module
 
+from ..functions.deploy import ship
+
 #: query name -> module with query(spark, sf_dir) and, where SQL can express it, ORACLE_SQL
 MODULES = {
     "op1_secret_scan": "secrets",
@@ -19,8 +21,13 @@ MODULES = {
 }
 
 
+def _call(module: str):
+    query = import_module(f"{__package__}.{module}").query
+    return lambda spark, sf_dir: query(ship(spark), sf_dir)
+
+
 def queries():
-    return {name: import_module(f"{__package__}.{module}").query for name, module in MODULES.items()}
+    return {name: _call(module) for name, module in MODULES.items()}
 
 
 def oracle_sql():
