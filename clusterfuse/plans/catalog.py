@@ -791,8 +791,8 @@ def _(spark, d):
 _DAY = "SELECT event_type, date_trunc('day', ts) AS start, date_trunc('day', ts) + INTERVAL 1 DAY AS \"end\", CAST(count(*) AS BIGINT) AS n, round(avg(value),6)+0.0 AS mean, round(coalesce(var_samp(value),0),4)+0.0 AS var FROM events WHERE value IS NOT NULL AND isfinite(value) GROUP BY 1, 2"
 
 
-def plain_times(x: DataFrame) -> DataFrame:
-    return x.select(*[F.col(c).cast("timestamp_ntz").alias(c) if c in ("start", "end") else r(c).alias(c) if c == "mean" else r(c, 4).alias(c) if c == "var" else F.col(c) for c in x.columns])
+def plain_times(x: DataFrame, k: int = 4) -> DataFrame:
+    return x.select(*[F.col(c).cast("timestamp_ntz").alias(c) if c in ("start", "end") else r(c).alias(c) if c == "mean" else r(c, k).alias(c) if c == "var" else F.col(c) for c in x.columns])
 
 
 @query("stream_tumbling_batch", _DAY)
@@ -805,9 +805,9 @@ def _(spark, d):
     return plain_times(summaries.window_summaries(tables.events(spark, d), "2 days", "1 day"))
 
 
-@query("stream_session_batch", "WITH g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WHERE value IS NOT NULL AND isfinite(value)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS \"end\", CAST(count(*) AS BIGINT) AS n, round(avg(value),6)+0.0 AS mean, round(coalesce(var_samp(value),0),4)+0.0 AS var FROM s GROUP BY user_id, k")
+@query("stream_session_batch", "WITH g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WHERE value IS NOT NULL AND isfinite(value)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS \"end\", CAST(count(*) AS BIGINT) AS n, round(avg(value),6)+0.0 AS mean, round(coalesce(var_samp(value),0),6)+0.0 AS var FROM s GROUP BY user_id, k")
 def _(spark, d):
-    return plain_times(summaries.session_summaries(tables.events(spark, d)))
+    return plain_times(summaries.session_summaries(tables.events(spark, d)), 6)
 
 
 def day_models(ev: DataFrame) -> DataFrame:
@@ -827,11 +827,11 @@ def _(spark, d):
     return summaries.within_validity(ev.select("event_id", "event_type", "ts"), day_models(ev), "event_type").select("event_id", F.col("n").alias("model_n"))
 
 
-@query("drift_lag_events", f"WITH m AS ({_DAY}) SELECT event_type, start, round(mean - lag(mean) OVER (PARTITION BY event_type ORDER BY start),5)+0.0 AS drift, round(lead(mean) OVER (PARTITION BY event_type ORDER BY start),5)+0.0 AS next FROM m")
+@query("drift_lag_events", f"WITH m AS ({_DAY}) SELECT event_type, start, round(mean - lag(mean) OVER (PARTITION BY event_type ORDER BY start),6)+0.0 AS drift, round(lead(mean) OVER (PARTITION BY event_type ORDER BY start),6)+0.0 AS next FROM m")
 def _(spark, d):
     w = Window.partitionBy("event_type").orderBy("start")
     x = plain_times(summaries.window_summaries(tables.events(spark, d)))
-    return x.select("event_type", "start", r(F.col("mean") - F.lag("mean").over(w), 5).alias("drift"), r(F.lead("mean").over(w), 5).alias("next"))
+    return x.select("event_type", "start", r(F.col("mean") - F.lag("mean").over(w), 6).alias("drift"), r(F.lead("mean").over(w), 6).alias("next"))
 
 
 @query("running_summary", f"WITH m AS ({_DAY}) SELECT event_type, start, CAST(sum(n) OVER w AS BIGINT) AS n, round(sum(n*mean) OVER w / sum(n) OVER w,5)+0.0 AS mean FROM m WINDOW w AS (PARTITION BY event_type ORDER BY start ROWS UNBOUNDED PRECEDING)")
