@@ -5,12 +5,13 @@ the bin, the least hash stays); an empty bin takes the value of the first filled
 keeps the collision law of MinHash. Bands of ``ROWS`` bins are bucket keys. Texts with equal sets are one class from the
 start; classes, not rows, go into the buckets.
 
-In a bucket, every class is paired with the bucket's smallest one only, so a bucket of m classes gives m - 1 pairs.
-Pairs whose signatures agree too little to be links (see ``SCREEN``) are dropped, and the rest is confirmed on full sets.
-A star can miss a link between two members that both differ from its centre: where a bucket still holds several
-components, each member outside the bucket's first component becomes the centre of a star of its own over members of
-other components. After that, no pair of one bucket in different components is unchecked. A link with similarity 0.75
-shares no bucket with chance (1 - 0.75**6)**64 < 4e-6.
+In a bucket, every class is paired with one centre only, the class that meets most others, so a bucket of m classes gives
+m - 1 pairs. Pairs whose signatures agree too little to be links (see ``SCREEN``) are dropped, and the rest is confirmed on
+full sets. A star can miss a link between two members that both differ from its centre. So buckets that still hold several
+components are joined into clusters of classes that meet, clusters are dealt into tiles of bounded size, and two tiles at
+a time are compared on full sets by an inverted list; only links between components leave a task, one for two components.
+After that no two classes that share a bucket are unchecked. A link with similarity 0.75 shares no bucket with chance
+(1 - 0.75**6)**64 < 4e-6.
 
 Components are smallest-label propagation with pointer jumping, in tables of the shared folder. Null, empty and blank
 texts have no shingles and stay alone; a text of fewer than five words is one shingle; repeated rows give a row each; a
@@ -23,7 +24,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import store, table
+from .common import BLANK, LOWER, UPPER, store, table
 
 SHINGLE = 5
 BINS, BANDS = 384, 64
@@ -33,6 +34,10 @@ LINK = 75
 #: A pair is dropped unchecked when fewer than this share of bins agree: the spread of the share at similarity 0.75 is
 #: sqrt(0.75 * 0.25 / 384) = 0.022, so the limit lies 6.8 deviations below.
 SCREEN = 0.60
+#: Sets and shingles of a tile, about.
+TILE_SETS, TILE_SHINGLES = 1000, 1_000_000
+#: Ids or keys that may be broadcast.
+FEW = 500_000
 SIGNED = "doc_id long, n_shingles long, set_hi long, set_lo long, bands array<long>, signature binary"
 
 _U = np.uint64
@@ -197,20 +202,68 @@ def _confirmed(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
 
 def components(links: DataFrame, name: str = "component") -> DataFrame:
-    """(id, label) for every id in ``links`` (a, b): the smallest id that can be reached."""
-    edges = store(links.select("a", "b").union(links.select("b", "a")).distinct(), f"{name}-edges")
-    labels = store(edges.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.col("id")).alias("label")), f"{name}-0")
-    step = 0
-    while True:
+    """(id, label) for every id in ``links`` (a, b): the smallest id that can be reached.
+
+    Each round gives an id the smallest label around it and the label of that label, and then links labels instead of ids;
+    links inside a label vanish, so the graph shrinks fast and rounds are few."""
+    ordered = lambda df: df.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a <> b").distinct()
+    edges, out, step = store(ordered(links), f"{name}-edges"), None, 0
+    while out is None or not edges.isEmpty():
         step += 1
-        # the least label among the neighbours, then the label of that label
-        near = edges.join(labels.select(F.col("id").alias("b"), "label"), "b").groupBy(F.col("a").alias("id")).agg(F.min("label").alias("near"))
-        moved = labels.join(near, "id").select("id", F.col("label").alias("old"), F.least("label", "near").alias("low"))
-        jump = moved.select(F.col("id").alias("low"), F.col("low").alias("lower"))
-        moved = store(moved.join(jump, "low", "left").select("id", "old", F.least("low", F.coalesce("lower", "low")).alias("label")), f"{name}-{step}")
-        if moved.filter("label <> old").isEmpty():
-            return moved.select("id", "label")
-        labels = moved.select("id", "label")
+        both = edges.union(edges.select("b", "a"))
+        low = store(both.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.col("id")).alias("low")), f"{name}-low")
+        jump = low.select(F.col("id").alias("low"), F.col("low").alias("lower"))
+        labels = store(low.join(jump, "low", "left").select("id", F.coalesce("lower", "low").alias("label")), f"{name}-{step}")
+        moved = edges.join(labels.select(F.col("id").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("id").alias("b"), F.col("label").alias("lb")), "b")
+        edges = store(ordered(moved.select(F.col("la").alias("a"), F.col("lb").alias("b"))), f"{name}-edges")
+        if out is None:
+            out = labels
+        else:
+            later = labels.select(F.col("id").alias("label"), F.col("label").alias("later"))
+            out = store(out.join(later, "label", "left").select("id", F.coalesce("later", "label").alias("label")), f"{name}-all")
+    return out
+
+
+def _few(df: DataFrame) -> DataFrame:
+    """Broadcast ``df``, a list of ids or keys, if its count allows that; otherwise Spark shuffles both sides."""
+    return F.broadcast(df) if df.limit(FEW + 1).count() <= FEW else df
+
+
+def _tile_links(members: DataFrame, texts: DataFrame) -> DataFrame:
+    """Pairs (a, b) of labels that a link between two members (rep, n, label, cluster) of one cluster joins.
+
+    A cluster is dealt into tiles of bounded shingles, and a task compares two tiles by an inverted list of their shingles."""
+    tiles = members.groupBy("cluster").agg(F.greatest(F.ceil(F.count(F.lit(1)) / TILE_SETS), F.ceil(F.sum("n") / TILE_SHINGLES)).cast("int").alias("tiles"))
+    dealt = members.join(tiles, "cluster").withColumn("tile", F.pmod(F.xxhash64("rep"), F.col("tiles")).cast("int"))
+    dealt = dealt.join(texts, "rep")
+    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("other")
+    dealt = dealt.select("cluster", "rep", "label", "text", "tile", other).select("cluster", "label", "text", "tile", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
+
+    def run(group):
+        import pyarrow as pa
+
+        group = group.combine_chunks()
+        label, tile = (group[c].to_numpy() for c in ("label", "tile"))
+        sets = [shingle_set(t.as_py() or b"") for t in group["text"].cast(pa.binary())]
+        size = np.array([len(x) for x in sets])
+        _, shingle, df = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        owner, order = np.repeat(np.arange(len(sets)), size), np.argsort(shingle, kind="stable")
+        begin, held = np.concatenate([[0], np.cumsum(df)]), owner[order]
+        bounds, met = np.concatenate([[0], np.cumsum(size)]), {}
+        same = group["i"][0].as_py() == group["j"][0].as_py()
+        for k in range(len(sets)):
+            mine = shingle[bounds[k] : bounds[k + 1]]
+            mine = mine[df[mine] > 1]
+            n = df[mine]
+            at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(begin[mine], n)
+            shared = np.bincount(held[at], minlength=len(sets))
+            close = np.flatnonzero((100 * shared >= LINK * (size + size[k] - shared)) & (label != label[k]) & (same | (tile != tile[k])))
+            for o in close:
+                met[(min(label[k], label[o]), max(label[k], label[o]))] = True
+        found = list(met)
+        return pa.table({"a": pa.array([int(x) for x, _ in found], pa.int64()), "b": pa.array([int(y) for _, y in found], pa.int64())})
+
+    return dealt.groupBy("cluster", "i", "j").applyInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -219,45 +272,64 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     key = ["n_shingles", "set_hi", "set_lo"]
     # classes of equal sets; the hot ones are added up before they are shuffled
     members = rows.filter("n_shingles > 0").select("doc_id", "row_key", *key)
-    classes = members.groupBy(*key).agg(F.min(F.struct("doc_id", "row_key")).alias("first")).select(*key, F.col("first.doc_id").alias("rep"), F.col("first.row_key").alias("row_key"))
+    classes = store(members.groupBy(*key).agg(F.min(F.struct("doc_id", "row_key")).alias("first")).select(*key, F.col("first.doc_id").alias("rep"), F.col("first.row_key").alias("row_key")), "classes")
     # one row for a class: its bands and signature come from its first row
     chosen = classes.filter(F.col("rep").isNotNull()).select("rep", "row_key")
-    reps = store(rows.join(chosen, "row_key").select("rep", F.col("n_shingles").alias("n"), "bands", "signature"), "classes")
-    entries = reps.select("rep", "n", F.posexplode("bands").alias("band", "key"))
-    crowded = entries.groupBy("band", "key").agg(F.count(F.lit(1)).alias("m"), F.min(F.struct("rep", "n")).alias("hub")).filter("m > 1")
-    buckets = store(entries.join(crowded, ["band", "key"]).select("band", "key", "rep", "n", "m", F.col("hub.rep").alias("hub"), F.col("hub.n").alias("hub_n")), "buckets")
+    reps = rows.join(_few(chosen), "row_key").select("rep", F.col("n_shingles").alias("n"), "bands", "signature")
+    entries = reps.select("rep", "n", F.explode("bands").alias("key"))
+    crowded = store(entries.groupBy("key").agg(F.count(F.lit(1)).alias("m")).filter("m > 1"), "crowded")
+    buckets = store(entries.join(_few(crowded), "key"), "buckets")
+    # the centre of a star: the class that meets most others, which is the likeliest to be linked to them
+    degree = buckets.groupBy("rep").agg(F.sum("m").alias("degree"))
+    ranked = buckets.join(degree, "rep").groupBy("key").agg(F.max(F.struct("degree", (-F.col("rep")).alias("low"), "n")).alias("hub"))
+    starred = store(buckets.join(ranked.select("key", (-F.col("hub.low")).alias("hub"), F.col("hub.n").alias("hub_n")), "key"), "starred")
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), "text")
 
-    def checked(pairs: DataFrame, name: str) -> DataFrame:
-        """Links among distinct pairs (a < b)."""
-        known = reps.select("rep", "signature")
-        screened = pairs.join(known.select(F.col("rep").alias("a"), F.col("signature").alias("sa")), "a").join(known.select(F.col("rep").alias("b"), F.col("signature").alias("sb")), "b")
-        close = store(_close(screened), f"{name}-close")
-        # texts of classes in pairs only
-        needed = close.select(F.col("a").alias("rep")).union(close.select("b")).distinct()
-        return store(_confirmed(close, texts.join(needed, "rep").dropDuplicates(["rep"])), f"{name}-links")
-
-    star = buckets.filter((F.col("rep") != F.col("hub")) & _fits(F.col("n"), F.col("hub_n"))).select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
-    links = checked(star, "star")
+    def only(df: DataFrame, needed: DataFrame) -> DataFrame:
+        """Rows of ``df`` whose rep is needed, before anything of them is shuffled."""
+        return df.join(_few(store(needed.distinct(), "needed")), "rep", "left_semi")
+
+    ends = lambda pairs: pairs.select(F.col("a").alias("rep")).union(pairs.select("b"))
+    star = store(starred.filter((F.col("rep") != F.col("hub")) & _fits(F.col("n"), F.col("hub_n"))).select(F.least("hub", "rep").alias("a"), F.greatest("hub", "rep").alias("b")).distinct(), "star")
+    known = only(reps.select("rep", "signature"), ends(star))
+    screened = star.join(known.select(F.col("rep").alias("a"), F.col("signature").alias("sa")), "a").join(known.select(F.col("rep").alias("b"), F.col("signature").alias("sb")), "b")
+    close = store(_close(screened), "close")
+    links = store(_confirmed(close, only(texts, ends(close)).dropDuplicates(["rep"])), "links")
     label = components(links, "first")
-    # buckets of three or more that still hold several components
-    wide = buckets.filter("m > 2").select("band", "key", "rep", "n").join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").withColumn("label", F.coalesce("label", "rep"))
-    mixed = wide.groupBy("band", "key").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least <> most")
-    open_ = store(wide.join(mixed.select("band", "key", "least"), ["band", "key"]), "open")
+    # what stars can miss: buckets of three or more that still hold several components
+    wide = starred.filter("m > 2").select("key", "rep", "n").join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").withColumn("label", F.coalesce("label", "rep"))
+    mixed = wide.groupBy("key").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least <> most")
+    open_ = store(wide.join(mixed.select("key", "least"), "key"), "open")
     if not open_.isEmpty():
-        outer = open_.filter("label <> least").select("band", "key", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("label").alias("la"))
-        inner = open_.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("label").alias("lb"))
-        more = outer.join(inner, ["band", "key"]).filter((F.col("la") != F.col("lb")) & _fits(F.col("na"), F.col("nb")))
-        # two members outside the first component meet from both sides: keep one
-        more = more.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(star, ["a", "b"], "left_anti")
-        found = checked(store(more, "more"), "more")
+        # components that meet in a bucket are one cluster: links between labels, not between ids
+        clusters = components(open_.select(F.col("least").alias("a"), F.col("label").alias("b")), "cluster")
+        inside = open_.select("rep", "n", "label").distinct().join(clusters.select(F.col("id").alias("label"), F.col("label").alias("cluster")), "label")
+        found = store(_tile_links(inside, only(texts, inside.select("rep")).dropDuplicates(["rep"])), "tile-links")
         if not found.isEmpty():
-            label = components(links.union(found), "second")
+            # found links name the labels that they join
+            later = components(found, "second").select(F.col("id").alias("label"), F.col("label").alias("later"))
+            alone = later.select(F.col("label").alias("id")).join(label.select("id"), "id", "left_anti")
+            label = label.union(alone.select("id", F.col("id").alias("label")))
+            label = label.join(later, "label", "left").select("id", F.coalesce("later", "label").alias("label"))
     named = members.join(classes.drop("row_key"), key).select("doc_id", "n_shingles", "rep")
     linked = named.join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("label", "rep").alias("component_id"))
     alone = rows.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return linked.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+_WORDS = rf"list_filter(string_split_regex(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '{BLANK}'), lambda x: x <> '')"
+ORACLE_SQL = f"""
+WITH RECURSIVE d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) >= {SHINGLE} THEN list_transform(range(1, len(w) - {SHINGLE - 2}), lambda i: array_to_string(w[i:i + {SHINGLE - 1}], ' '))
+  WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS g FROM d),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM s a JOIN s b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+l AS (SELECT x, y FROM p JOIN n a ON a.doc_id = x JOIN n b ON b.doc_id = y WHERE 100 * c >= {LINK} * (a.n + b.n - c)),
+r(x, y) AS (SELECT doc_id, doc_id FROM d UNION SELECT r.x, l.y FROM r JOIN l ON r.y = l.x)
+SELECT d.doc_id, CAST(coalesce(max(n.n), 0) AS BIGINT) AS n_shingles, CAST(min(r.y) AS BIGINT) AS component_id, d.doc_id = min(r.y) AS kept
+FROM d JOIN r ON r.x = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.doc_id
+"""
+
+
 def query(spark, sf_dir):
     return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
