@@ -58,16 +58,12 @@ def grid(results: DataFrame) -> DataFrame:
     return results.groupBy("dim", "scenario").pivot("measure", list(K.MEASURES)).agg(F.first("value"))
 
 
-def time_measure(measure: str, pair, reps: int = 50, literal: bool = True) -> dict:
+def time_measure(measure: str, pair, reps: int = 50) -> dict:
     """Microseconds of one pair's measure: the first call, and the median of warm ones. js is computed literally and vr from determinants."""
     (n1, m1, s1), (n2, m2, s2) = pair
-    args = (np.array([n1]), m1[None], s1[None], np.array([n2]), m2[None], s2[None])
 
     def call():
-        if measure == "vr":
-            fused = K.fused_cov(np.array([float(n1)]), m1[None], s1[None], np.array([float(n2)]), m2[None], s2[None])
-            return np.linalg.det(fused) / (np.linalg.det(s1[None]) + np.linalg.det(s2[None]))
-        return K.pair_measures(*args, (measure,), literal)[measure]
+        return K.one_pair(measure, n1, m1, s1, n2, m2, s2)
 
     took = []
     for _ in range(reps + 1):

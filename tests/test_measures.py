@@ -22,6 +22,7 @@ def test_kernels_match_brute_force(dim):
     want, got = brute.measures(*args), kernel(*args, literal_js=True)
     for m in K.MEASURES:
         assert got[m] == pytest.approx(want[m], rel=1e-8, abs=1e-8), m
+        assert K.one_pair(m, *args) == pytest.approx(want[m], rel=1e-8, abs=1e-8), m
 
 
 @settings(max_examples=30, deadline=None)
