@@ -1,9 +1,10 @@
 """Main text of web pages by consensus paths of their hosts.
 
-Each page scores its containers by the running text that they hold themselves (length and commas, less links). Its best
-container casts a vote, weighed by its share of the page's score, for its path: the tags and classes from the root with
-digits generalised. Votes are added up in Spark for each host, and pages are then read again with the winning paths of
-their host: the first winner that holds text on the page gives the text, else the page's own best container.
+Each page scores its containers by the text that they and all containers in them hold (length and commas, less links).
+Its best container is the smallest that surrounds all running text; it casts a vote, weighed by its share of the page's
+score, for its path: the tags and classes from the root with digits generalised. Votes are added up in Spark for each
+host, and pages are then read again with the winning paths of their host: all containers of the first winner that holds
+text on the page give the text in page order, else the page's own best container does.
 
 Dropped everywhere: menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles, comments of readers and
 hidden parts, told by tag, role and class. Character references are decoded, white space in a block becomes one space,
@@ -38,6 +39,8 @@ MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\
 ATTRIBUTE = re.compile(r"([a-zA-Z-]+)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 #: An opening element ends an open one of these, up to the named borders.
 ENDS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dd": ({"dd", "dt"}, {"dl"}), "dt": ({"dd", "dt"}, {"dl"}), "tr": ({"tr"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"})}
+#: Parts that a page itself marks as its text.
+MARKED = re.compile(r">(article|main)[^>]*$")
 WINNERS = 3
 
 
@@ -150,44 +153,74 @@ class Page:
             pop()
         flush()
 
-    def scores(self) -> list[float]:
-        """Score of each container: its own blocks whole, those of a container right inside it by half."""
-        own = [0.0] * len(self.paths)
+    def scores(self) -> tuple[list[float], list[bool]]:
+        """Of each container with all that it holds: the score of its text, and whether running text is among it."""
+        score, running = [0.0] * len(self.paths), [False] * len(self.paths)
         for text, linked, c in self.blocks:
-            own[c] += max(0.0, 1 - linked / max(len(text), 1)) * (min(len(text) / 100, 30) + text.count(",") + (len(text) > 80))
-        total = list(own)
+            prose = max(0.0, 1 - linked / max(len(text), 1))
+            score[c] += prose * (min(len(text) / 100, 30) + text.count(",") + (len(text) > 80))
+            running[c] |= len(text) > 80 and prose > 0.5
+        for c in range(len(self.paths) - 1, 0, -1):  # a parent stands before its children
+            score[self.parents[c]] += score[c]
+            running[self.parents[c]] |= running[c]
+        return score, running
+
+    def best(self) -> tuple[int, float]:
+        """The smallest container with all running text, and its share of the page's score; (-1, 0) without text.
+
+        Without running text it is the smallest with more than half of the score. What stands beside an article or main
+        part counts only if it is such a part too or holds half of that part's score."""
+        if not self.blocks:
+            return -1, 0.0
+        score, running = self.scores()
+        if score[0] <= 0:
+            return 0, 0.0
+        children: list[list[int]] = [[] for _ in self.paths]
         for c, parent in enumerate(self.parents):
             if parent >= 0:
-                total[parent] += own[c] / 2
-        return [s * (1.5 if re.search(r">(article|main)[^>]*$", p) else 1) for s, p in zip(total, self.paths)]
+                children[parent].append(c)
+        direct = [False] * len(self.paths)
+        for text, linked, c in self.blocks:
+            direct[c] |= len(text) > 80 and 2 * linked < len(text)
+        at = 0
+        while children[at]:
+            k = max(children[at], key=lambda c: (score[c], -c))
+            beside = [c for c in children[at] if c != k and running[c] and not NAMES.search(self.paths[c].rpartition(">")[2].replace(".", " "))]
+            if MARKED.search(self.paths[k]):
+                stay = score[at] > 1.5 * score[k] or any(MARKED.search(self.paths[c]) for c in beside)
+            elif running[at]:
+                stay = direct[at] or bool(beside) or not running[k]
+            else:
+                stay = 2 * score[k] <= score[at]
+            if stay:
+                break
+            at = k
+        return at, score[at] / score[0]
 
-    def best(self) -> tuple[int, float]:
-        """The best container and its share of all scores; (-1, 0) without text."""
-        s = self.scores()
-        if not self.blocks or sum(s) <= 0:
-            return (0, 0.0) if self.blocks else (-1, 0.0)
-        k = max(range(len(s)), key=lambda c: (s[c], -c))
-        return k, s[k] / sum(s)
-
-    def text(self, container: int) -> str:
+    def text(self, containers: list[int]) -> str:
+        """Text of all ``containers`` in page order."""
         inside = [False] * len(self.paths)
-        inside[container] = True
+        for c in containers:
+            inside[c] = True
         for c, parent in enumerate(self.parents):
             if parent >= 0 and inside[parent]:
                 inside[c] = True
         return "\n".join(t for t, _, c in self.blocks if inside[c])
 
     def extract(self, winners: list[str]) -> str:
-        """Text by the first winner that holds any, the best-scored one of its containers."""
+        """Text of all containers of the first winner that holds any.
+
+        Where the page's own best container surrounds them, is a winner too and is not the whole page, its text is taken."""
         best, _ = self.best()
         if best < 0:
             return ""
-        scores = self.scores()
+        own = self.paths[best]
         for path in winners:
-            for c in sorted((c for c, p in enumerate(self.paths) if p == path), key=lambda c: (-scores[c], c)):
-                if found := self.text(c):
-                    return found
-        return self.text(best)
+            if found := self.text([c for c, p in enumerate(self.paths) if p == path]):
+                if own in winners and own.count(">") > 1 and path.startswith(f"{own}>"):
+                    return self.text([c for c, p in enumerate(self.paths) if p == own])
+                return found
+        return self.text([best])
 
 
 def host_of(url):

@@ -276,6 +276,24 @@ def test_html(spark):
     assert html_text.main_text(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_html_of_split_and_repeated_parts(spark):
+    said = lambda k, n: f"Part {k} says, " + f"word{k} " * n + "end."
+    page = lambda *parts: "<html><body><div class=wrap>" + "".join(parts) + "</div><footer>foot</footer></body></html>"
+    section = lambda k, n=30: f"<div class=section><p>{said(k, n)}</p></div>"
+    split = "<div class=post><div class=lead><p>" + said(0, 30) + "</p></div><div class=text><p>" + said(1, 330) + "</p></div></div>"
+    rows = [(k, "http://one.example/", page(section(k))) for k in range(5)]
+    rows += [(5, "http://one.example/", page(*[section(k) for k in range(8)]))]
+    rows += [(6, "http://two.example/", page(split)), (7, "http://two.example/", page("<div><div>", split, "</div></div>"))]
+    rows += [(8, "http://three.example/", page("<article><p>" + said(3, 300) + "</p></article><div class=x><p>" + said(4, 20) + "</p></div>"))]
+    rows += [(9, "http://four.example/", page(section(0, 300), "<div class=deep><div><div><p>" + said(9, 30) + "</p></div></div></div>"))]
+    got = {r.page_id: r.text for r in html_text.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[k] == said(k, 30) for k in range(5))
+    assert got[5] == "\n".join(said(k, 30) for k in range(8))
+    assert got[6] == got[7] == said(0, 30) + "\n" + said(1, 330)
+    assert got[8] == said(3, 300)
+    assert got[9] == said(0, 300) + "\n" + said(9, 30)
+
+
 def test_html_of_the_given_pages(spark):
     import html
 
