@@ -15,7 +15,8 @@ After that no two classes that share a bucket are unchecked. A link with similar
 
 Components are smallest-label propagation with pointer jumping, in tables of the shared folder. Null, empty and blank
 texts have no shingles and stay alone; a text of fewer than five words is one shingle; repeated rows give a row each; a
-row without doc_id links to texts with an equal set only.  An empty table gives an empty result. Columns other than doc_id and text are ignored.
+row without doc_id belongs to the component of the texts with an equal set that have one. A set that only rows without
+doc_id hold links to nothing. An empty table gives an empty result. Columns other than doc_id and text are ignored.
 """
 
 from __future__ import annotations
@@ -270,9 +271,9 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row of ``docs`` (doc_id, text)."""
     rows = store(signed(docs).withColumn("row_key", F.monotonically_increasing_id()), "signed")
     key = ["n_shingles", "set_hi", "set_lo"]
-    # classes of equal sets; the hot ones are added up before they are shuffled
+    # classes of equal sets, named by their least doc_id; the hot ones are added up before they are shuffled
     members = rows.filter("n_shingles > 0").select("doc_id", "row_key", *key)
-    classes = store(members.groupBy(*key).agg(F.min(F.struct("doc_id", "row_key")).alias("first")).select(*key, F.col("first.doc_id").alias("rep"), F.col("first.row_key").alias("row_key")), "classes")
+    classes = store(members.groupBy(*key).agg(F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "row_key"))).alias("first")).select(*key, F.col("first.doc_id").alias("rep"), F.col("first.row_key").alias("row_key")), "classes")
     # one row for a class: its bands and signature come from its first row
     chosen = classes.filter(F.col("rep").isNotNull()).select("rep", "row_key")
     reps = rows.join(_few(chosen), "row_key").select("rep", F.col("n_shingles").alias("n"), "bands", "signature")

@@ -145,6 +145,15 @@ def test_near_duplicates_of_odd_rows(spark, odd, none):
     assert near_dup.near_duplicates(none).count() == 0
 
 
+def test_near_duplicates_with_a_copy_without_id(spark):
+    words = [f"w{i}" for i in range(200)]
+    one, two, three = " ".join(words), " ".join(words[:196]), " ".join(words[4:])
+    rows = [(30, one), (20, one), (None, one), (10, two), (40, three), (None, PROSE), (None, PROSE)]
+    got = near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    linked = [r for r in got if r.n_shingles == 196 or r.doc_id is not None]
+    assert len(got) == 7 and len(linked) == 5 and all(r.component_id == 10 and r.kept == (r.doc_id == 10) for r in linked)
+
+
 def test_components_of_a_path_and_stars(spark):
     edges = [(i, i + 1) for i in range(50)] + [(100, 200 + i) for i in range(20)] + [(7, 7)]
     got = {r.id: r.label for r in near_dup.components(spark.createDataFrame(edges, "a long, b long")).collect()}
