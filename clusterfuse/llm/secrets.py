@@ -1,13 +1,16 @@
 """Secret scanning: candidates by pattern, false positives removed by a random forest.
 
-A candidate is a run of at least 16 key characters with a digit in it. Its features are length, character classes and
+A candidate is a run of at least 16 key characters with a digit in it, a known key prefix with 12 or more key characters,
+a value of 8 or more characters that is quoted or assigned after a secret word, or the password of a connection string.
+Its features are length, character classes and
 transitions between them, distinct characters, dictionary coverage, path signs and the words around it. The forest is
 trained on labelled findings (texts with their verdict); without a table of those, ``labelled_findings`` makes a set of
 known formats and look-alikes by rule. The trees are emitted as conditional expressions, so a scan is one projection in
 the JVM without a shuffle.
 
-Null and empty texts have no candidates. A candidate that stands in a text several times is one finding, judged by its
-first place, and all its places are redacted. Repeated rows are scanned one by one; an empty table gives an empty result.
+Null and empty texts have no candidates. Every place of a candidate is scored with its own neighbours; a string
+that stands in a text several times is one finding, at its first place with the best score, and if that passes all its
+places are redacted. Repeated rows are scanned one by one; an empty table gives an empty result.
 Columns other than doc_id and text pass through ``redacted`` unchanged.
 """
 
@@ -19,7 +22,21 @@ from pyspark.sql import functions as F
 
 from .common import let, table
 
-CANDIDATE = r"(?<![A-Za-z0-9_/+=-])(?=[A-Za-z_/+=-]*[0-9])[A-Za-z0-9_/+=-]{16,}"
+#: What may stand before a candidate: a secret word with a sign or a quote, or the user of a connection string.
+_WORD = r"(?i:token|secret|passw(?:or)?d|passphrase|pwd|api[_.-]?key|access[_.-]?key|auth|credential|private[_.-]?key|bearer)[A-Za-z0-9_-]{0,16}+[\"']?"
+_QUOTED = _WORD + r"[ \t]{0,3}(?:=>|:=|[=:])?[ \t]{0,3}[\"'](?=[^\s\"']{8})"
+_ASSIGNED = _WORD + r"[ \t]{0,3}(?:=>|:=|[=:])[ \t]{0,3}(?=[^\s\"'`<>,;(){}\[\]]{8})"
+_LOGIN = r"://[^\s/:@\"'<>]{0,64}:(?=[^\s/\"'<>]{8,256}@)"
+_VALUES = [
+    (_LOGIN, r"[^\s/\"'<>]{8,256}(?=@)"),
+    (_QUOTED, r"[^\s\"']{8,}+"),
+    (_ASSIGNED, r"[^\s\"'`<>,;(){}\[\]]{7,}[^\s\"'`<>,;(){}\[\].:]"),
+    (r"(?<![A-Za-z0-9_/+=-])", r"(?:AKIA|ASIA|ghp_|gho_|ghs_|github_pat_|xox[abp]-|sk_live_|rk_live_|sk-|AIza|glpat-|npm_|eyJ)[A-Za-z0-9_/+=-]{12,}+"),
+    (r"(?<![A-Za-z0-9_/+=-])", r"(?=[A-Za-z_/+=-]*[0-9])[A-Za-z0-9_/+=-]{16,}+"),
+]
+CANDIDATE = "|".join(f"(?:{before}{value})" for before, value in _VALUES)
+#: What stands before the value in a match of CANDIDATE.
+LEAD = f"^(?:{_LOGIN.partition('(?=')[0]}|{_QUOTED}|{_ASSIGNED})"
 #: Labelled findings that a forest is trained on, at most.
 MAX_LABELLED = 4000
 TREES, DEPTH, LEAST = 12, 6, 8
@@ -31,7 +48,7 @@ DICTIONARY = "test example sample dummy placeholder user name data file path pag
 SECRET_NEAR = r"(token|secret|passw|pwd|api.?key|access.?key|auth|credential|private|bearer)[^\n]{0,16}$"
 HASH_NEAR = r"(sha-?\d*|md5|commit|checksum|digest|hash|revision|uuid|guid|etag|integrity|blob|tree)[^\n]{0,16}$"
 KNOWN = r"^(AKIA|ASIA|ghp_|gho_|ghs_|github_pat_|xox[abp]-|sk_live_|rk_live_|sk-|AIza|glpat-|npm_|eyJ)"
-FEATURES = ["length", "digits", "upper", "lower", "transitions", "distinct", "hexadecimal", "coverage", "slashes", "joints", "path", "secret_near", "hash_near", "assigned", "quoted", "known", "all_digits", "run"]
+FEATURES = ["length", "digits", "upper", "lower", "transitions", "distinct", "hexadecimal", "coverage", "slashes", "joints", "path", "secret_near", "hash_near", "assigned", "quoted", "known", "all_digits", "run", "symbols", "consonants", "code", "login"]
 
 
 def _features(c: Column, b: Column, a: Column) -> list[Column]:
@@ -60,31 +77,52 @@ def _features(c: Column, b: Column, a: Column) -> list[Column]:
         flag(c.rlike(KNOWN)),
         flag(c.rlike(r"^[0-9]+$")),
         share(r"(.)\1\1"),
+        share("[^A-Za-z0-9_/+=-]"),
+        share("(?i)[bcdfghjklmnpqrstvwxz]{4}"),
+        flag(c.rlike(r"^[$%]|^[a-z_]+(?:[.][A-Za-z_]+)+$|://")),
+        flag(b.rlike(r"://[^\s/:@]*:$") & a.startswith("@")),
     ]
     return [x.cast("double").alias(f) for f, x in zip(FEATURES, out)]
 
 
 def candidates(text: Column) -> Column:
-    """Array of (value, start, x) of the distinct candidates; start counts characters from 1, x holds the features."""
-    whole = F.coalesce(text, F.lit(""))
+    """Array of (value, start, x) of all places of candidates; start counts characters from 1, x holds the features."""
 
-    def described(t: Column) -> Column:
-        def one(c: Column) -> Column:
-            return let(
-                F.call_function("locate", c, t),
-                lambda p: F.struct(
-                    c.alias("value"),
-                    p.alias("start"),
-                    let(
-                        F.struct(F.substring(t, F.greatest(p - BEFORE, F.lit(1)), F.least(F.lit(BEFORE), p - 1)).alias("b"), F.substring(t, p + F.char_length(c), F.lit(AFTER)).alias("a")),
-                        lambda near: F.struct(*_features(c, near["b"], near["a"])),
-                    ).alias("x"),
-                ),
+    def placed(gaps: Column, found: Column) -> Column:
+        """Each match with its place and the text around it, from the matches and what stands between them."""
+
+        def piece(g: Column, f: Column) -> Column:
+            return F.struct(g.alias("gap"), f.alias("match"), F.regexp_extract(f, LEAD, 0).alias("lead"))
+
+        pieces = F.zip_with(F.slice(gaps, F.lit(1), F.size(found)), found, piece)
+        after = F.transform(found, lambda f, i: F.substring(F.concat(F.get(gaps, i + 1), F.coalesce(F.get(found, i + 1), F.lit(""))), 1, AFTER))
+        start = F.struct(F.lit(0).alias("pos"), F.lit("").alias("tail"), F.array().cast("array<struct<value:string,start:int,b:string,a:string>>").alias("out"))
+
+        def step(acc: Column, x: Column) -> Column:
+            p = x["piece"]
+            skip = F.char_length(p["lead"])
+            entry = F.struct(
+                F.substr(p["match"], skip + 1).alias("value"),
+                (acc["pos"] + F.char_length(p["gap"]) + skip + 1).alias("start"),
+                F.right(F.concat(acc["tail"], p["gap"], p["lead"]), F.lit(BEFORE)).alias("b"),
+                x["a"].alias("a"),
             )
+            return F.struct(
+                (acc["pos"] + F.char_length(p["gap"]) + F.char_length(p["match"])).alias("pos"),
+                F.right(F.concat(acc["tail"], p["gap"], p["match"]), F.lit(BEFORE)).alias("tail"),
+                F.concat(acc["out"], F.array(entry)).alias("out"),
+            )
+
+        return F.aggregate(F.zip_with(pieces, after, lambda p, a: F.struct(p.alias("piece"), a.alias("a"))), start, step, lambda acc: acc["out"])
 
-        return F.transform(F.array_distinct(F.regexp_extract_all(t, F.lit(CANDIDATE), F.lit(0))), one)
+    def one(c: Column) -> Column:
+        return F.struct(c["value"].alias("value"), c["start"].alias("start"), F.struct(*_features(c["value"], c["b"], c["a"])).alias("x"))
+
+    def described(t: Column) -> Column:
+        cut = F.struct(F.split(t, CANDIDATE, -1).alias("gaps"), F.regexp_extract_all(t, F.lit(CANDIDATE), F.lit(0)).alias("found"))
+        return let(cut, lambda x: F.transform(placed(x["gaps"], x["found"]), one))
 
-    return let(whole, described)
+    return let(F.coalesce(text, F.lit("")), described)
 
 
 def labelled_findings(spark: SparkSession, rows: int = MAX_LABELLED) -> DataFrame:
@@ -102,6 +140,9 @@ def labelled_findings(spark: SparkSession, rows: int = MAX_LABELLED) -> DataFram
     said = pick(["token", "TOKEN", "secret", "api_key", "apiKey", "password", "access_key", "auth_token", "client_secret"], 3)
     word = lambda s: pick(["user", "name", "page", "index", "image", "config", "module", "article", "release", "package"], s)
     number = F.conv(F.substring(sha, 1, 4), 16, 10)
+    letters = F.translate(F.upper(long_), "0123456789", "QRSTUVWXYZ")
+    strong = F.concat(F.substring(plain, 5, 5), pick([".", "!", "@", "$", ":", "#"], 32), F.substring(plain, 12, 4), pick(["!", "", ".x", "$9", "@q"], 33))
+    prose = pick("required everything undefined expired mandatory generated documentation forgotten available important published information registration something authentication tomorrow erforderlich verschiedene necesario importante seulement toujours disponible".split(), 34)
     text = (
         F.when(F.col("kind") == 0, F.concat(said, sign, sha, close))
         .when(F.col("kind") == 1, F.concat(pick(["aws ", "key: ", "AWS_ACCESS_KEY_ID="], 4), F.lit("AKIA"), F.substring(b32, 1, 16)))
@@ -118,10 +159,20 @@ def labelled_findings(spark: SparkSession, rows: int = MAX_LABELLED) -> DataFram
         .when(F.col("kind") == 12, F.concat(F.lit("https://www.example.com/2021/"), word(16), F.lit("-for-the-"), word(17), F.lit("-"), number))
         .when(F.col("kind") == 13, F.concat(said, sign, pick(["your-api-key-here-0000", "xxxxxxxxxxxxxxxxxxxx0000", "EXAMPLE_TOKEN_1234567890", "test-token-placeholder-1", "change_me_please_1234", "0000000000000000"], 18), close))
         .when(F.col("kind") == 14, F.concat(word(19), F.lit("-release-build-"), number, F.lit("-"), word(20)))
-        .otherwise(F.concat(F.lit('integrity="sha512-'), b64, F.lit('"')))
+        .when(F.col("kind") == 15, F.concat(F.lit('integrity="sha512-'), b64, F.lit('"')))
+        .when(F.col("kind") == 16, F.concat(pick(["aws ", "key: ", "AWS_ACCESS_KEY_ID="], 4), F.lit("AKIA"), F.substring(letters, 1, 16)))
+        .when(F.col("kind") == 17, F.concat(said, sign, strong, close))
+        .when(F.col("kind") == 18, F.concat(said, sign, F.substring(F.regexp_replace(plain, "[0-9]", ""), 1, 24), close))
+        .when(F.col("kind") == 19, F.concat(pick(["postgres://", "mysql://", "amqp://", "redis://"], 22), word(23), F.lit(":"), strong, F.lit("@db.internal/x")))
+        .when(F.col("kind") == 20, F.concat(said, sign, F.substring(plain, 1, 11), close))
+        .when(F.col("kind") == 21, F.concat(said, sign, prose, close))
+        .when(F.col("kind") == 22, F.concat(said, sign, pick(["config.", "os.environ.", "self.", "settings.", "process.env."], 24), word(25), F.lit("_"), word(26), close))
+        .when(F.col("kind") == 23, F.concat(said, sign, pick(["${", "$", "%", "https://example.com/"], 27), word(28), F.lit("_"), word(29), close))
+        .when(F.col("kind") == 24, F.concat(F.lit("http://localhost:"), number, F.lit("/"), word(30), F.lit(" and "), said, F.lit(" "), prose))
+        .otherwise(F.concat(said, sign, word(31), F.lit("-"), prose, close))
     )
-    # each kind of secret as often as the kinds of look-alikes together deserve: 6 of 16
-    return spark.range(rows).withColumn("kind", F.pmod(F.col("id"), F.lit(16))).select(F.concat(filler, text, pick([".", " and so on", "", ", he said", "\n"], 21)).alias("text"), (F.col("kind") < 6).cast("int").alias("secret"))
+    # 11 of 26 kinds are secrets
+    return spark.range(rows).withColumn("kind", F.pmod(F.col("id"), F.lit(26))).select(F.concat(filler, text, pick([".", " and so on", "", ", he said", "\n"], 21)).alias("text"), ((F.col("kind") < 6) | F.col("kind").between(16, 20)).cast("int").alias("secret"))
 
 
 class Tree:
@@ -180,8 +231,11 @@ def score_column(forest: list[Tree], x: Column) -> Column:
 
 
 def findings_column(text: Column, forest: list[Tree]) -> Column:
-    """Array of (value, start, score) of all candidates."""
-    return F.transform(candidates(text), lambda c: F.struct(c["value"].alias("value"), c["start"].alias("start"), score_column(forest, c["x"]).alias("score")))
+    """Array of (value, start, score) of the distinct candidates, each at its first place with the best score."""
+    places = F.transform(candidates(text), lambda c: F.struct(c["value"].alias("value"), (-score_column(forest, c["x"])).alias("low"), c["start"].alias("start")))
+    first = let(F.array_sort(places), lambda p: F.filter(p, lambda c, i: (i == 0) | (F.get(p, i - 1)["value"] != c["value"])))
+    ordered = F.array_sort(F.transform(first, lambda c: F.struct(c["start"].alias("start"), c["value"].alias("value"), c["low"].alias("low"))))
+    return F.transform(ordered, lambda c: F.struct(c["value"].alias("value"), c["start"].alias("start"), (-c["low"]).alias("score")))
 
 
 def scanned(docs: DataFrame, forest: list[Tree], cut: float = CUT) -> DataFrame:
