@@ -44,7 +44,7 @@ def lse(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 def fused_cov(n1, m1, s1, n2, m2, s2) -> np.ndarray:
     n, d = n1 + n2, m1 - m2
-    w1, w2, gap = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 * n2 / (n * (n - 1))
+    w1, w2, gap = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 / n * n2 / (n - 1)
     return w1[:, None, None] * s1 + w2[:, None, None] * s2 + gap[:, None, None] * d[:, :, None] * d[:, None, :]
 
 
@@ -86,20 +86,31 @@ def pair_measures(n1, m1, s1, n2, m2, s2, which=MEASURES, literal_js=False, l1=N
                 mid = (m1 + m2) / 2
                 out["js"] = (kl_to(m1, s1, mid, avg) + kl_to(m2, s2, mid, avg)) / 2 if literal_js else b
         out["ab"] = far + 0.5 * (la + LN2 - lse(l1, l2))
-    if set(which) & {"vr", "o", "oh"}:
-        fused = fused_cov(n1, m1, s1, n2, m2, s2)
-        if set(which) & {"vr", "o"}:
-            ln_vr = cluster_lndet(n1 + n2, fused) - lse(l1, l2)
-            with np.errstate(over="ignore"):
-                out["vr"], out["o"] = np.exp(ln_vr), ln_vr + LN2
-        if "oh" in which:
-            of = lambda s: ln_hadamard(np.diagonal(s, axis1=-2, axis2=-1))
-            out["oh"] = LN2 + of(fused) - lse(of(s1), of(s2))
+    if set(which) & {"vr", "o"}:
+        ln_vr = cluster_lndet(n1 + n2, fused_cov(n1, m1, s1, n2, m2, s2)) - lse(l1, l2)
+        with np.errstate(over="ignore"):
+            out["vr"], out["o"] = np.exp(ln_vr), ln_vr + LN2
+    if "oh" in which:
+        # diagonals are all that it needs: linear in D
+        one, two = (np.diagonal(s, axis1=-2, axis2=-1) for s in (s1, s2))
+        n = n1 + n2
+        fused = ((n1 - 1) / (n - 1))[:, None] * one + ((n2 - 1) / (n - 1))[:, None] * two + (n1 / n * n2 / (n - 1))[:, None] * d * d
+        out["oh"] = LN2 + ln_hadamard(fused) - lse(ln_hadamard(one), ln_hadamard(two))
     if "w" in which:
         out["w"] = wasserstein2(m1, s1, m2, s2)
     return {k: out[k] for k in which}
 
 
+def literal_forms(n1, m1, s1, n2, m2, s2) -> dict[str, np.ndarray]:
+    """b and o from determinants themselves, as they are printed: at many axes determinants leave the range of doubles and the values are lost."""
+    n1, n2, d = np.asarray(n1, float), np.asarray(n2, float), m1 - m2
+    det = np.linalg.det
+    with np.errstate(divide="ignore", invalid="ignore"):
+        one, two, avg = det(s1), det(s2), (s1 + s2) / 2
+        b = mahalanobis(avg, d) / 8 + 0.5 * np.log(det(avg) / np.sqrt(one * two))
+        return {"b_literal": b, "o_literal": np.log(det(fused_cov(n1, m1, s1, n2, m2, s2)) / ((one + two) / 2))}
+
+
 def _ld(s: np.ndarray) -> float:
     if len(s) == 2:
         return math.log(s[0, 0] * s[1, 1] - s[0, 1] * s[1, 0])
@@ -115,7 +126,7 @@ def one_pair(measure: str, n1, m1, s1, n2, m2, s2) -> float:
     d = m1 - m2
     if measure in ("vr", "o", "oh"):
         n = n1 + n2
-        w1, w2, gap = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 * n2 / (n * (n - 1))
+        w1, w2, gap = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 / n * n2 / (n - 1)
         if measure == "oh":
             one, two = s1.diagonal(), s2.diagonal()
             return LN2 + float(np.log(w1 * one + w2 * two + gap * d * d).sum()) - _sum_exp(float(np.log(one).sum()), float(np.log(two).sum()))
@@ -137,7 +148,7 @@ def one_pair(measure: str, n1, m1, s1, n2, m2, s2) -> float:
 def o_lower_bound(dim, n1, l1, lam1, n2, l2, lam2, gap2) -> np.ndarray:
     """A value that O never falls below, from what is kept of each cluster: log-determinant and largest eigenvalue (or trace)."""
     n = n1 + n2
-    w1, w2, c = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 * n2 / (n * (n - 1))
+    w1, w2, c = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 / n * n2 / (n - 1)
     spread = dim * lse(np.log(w1) + l1 / dim, np.log(w2) + l2 / dim)
     return LN2 + spread + np.log1p(c * gap2 / (w1 * lam1 + w2 * lam2)) - lse(l1, l2)
 

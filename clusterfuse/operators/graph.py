@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import store
+from ..sources.tables import discard, store
 
 #: Read off published values of o for D = 2 and D = 100, which one cut between 1.46 and 1.52 separates.
 THRESHOLD = 1.5
@@ -53,10 +53,11 @@ def components(found: DataFrame, nodes: DataFrame | None = None) -> DataFrame:
         near = both.join(labels.select(F.col("cluster_id").alias("right_id"), "label"), "right_id").groupBy(F.col("left_id").alias("cluster_id")).agg(F.min("label").alias("near"))
         low = labels.join(near, "cluster_id").select("cluster_id", F.col("label").alias("old"), F.least("label", "near").alias("low"))
         jump = low.select(F.col("cluster_id").alias("low"), F.col("low").alias("lower"))
-        labels = store(low.join(jump, "low", "left").select("cluster_id", "old", F.least("low", F.coalesce("lower", "low")).alias("label")), "labels")
+        before, labels = labels, store(low.join(jump, "low", "left").select("cluster_id", "old", F.least("low", F.coalesce("lower", "low")).alias("label")), "labels")
+        discard(before)
         if labels.filter("label <> old").isEmpty():
             break
-        labels = labels.select("cluster_id", "label")
+    discard(both)
     out = labels.select("cluster_id", F.col("label").alias("component_id"))
     if nodes is None:
         return out

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions import kernels as K
 from ..functions import packed as P
+from ..functions.columns import let, struct_of
 from ..functions.deploy import ship
 from . import stats
 from .pairs import lse
@@ -26,21 +27,36 @@ def flat_pairs2(pairs: DataFrame) -> DataFrame:
     """Pairs of D = 2 clusters with scalar columns n1, u1, u2, a1, b1, c1 and n2, v1, v2, a2, b2, c2, and what the measures share.
 
     cov_avg is (a, b, c)_avg, the plain average; cov_fused is (a, b, c)_fused, of all samples of both with the gap of centres."""
-    p, q = F.col("p"), F.col("q")
-    at = F.element_at
-    x = pairs.select(
-        "model_id", "left_id", "right_id",
-        p["n"].alias("n1"), at(p["mean"], 1).alias("u1"), at(p["mean"], 2).alias("u2"), at(p["cov"], 1).alias("a1"), at(p["cov"], 2).alias("b1"), at(p["cov"], 3).alias("c1"),
-        q["n"].alias("n2"), at(q["mean"], 1).alias("v1"), at(q["mean"], 2).alias("v2"), at(q["cov"], 1).alias("a2"), at(q["cov"], 2).alias("b2"), at(q["cov"], 3).alias("c2"),
-    )
-    x = x.withColumns({"d1": F.col("u1") - F.col("v1"), "d2": F.col("u2") - F.col("v2"), "n": F.col("n1") + F.col("n2")})
-    x = x.withColumns({"w1": (F.col("n1") - 1) / (F.col("n") - 1), "w2": (F.col("n2") - 1) / (F.col("n") - 1), "gap": F.col("n1") * F.col("n2") / (F.col("n") * (F.col("n") - 1))})
-    x = x.withColumns({f"{v}_avg": (F.col(f"{v}1") + F.col(f"{v}2")) / 2 for v in "abc"} | {f"{v}_within": F.col("w1") * F.col(f"{v}1") + F.col("w2") * F.col(f"{v}2") for v in "abc"})
-    x = x.withColumns({f"{v}_fused": F.col(f"{v}_within") + F.col("gap") * g for v, g in (("a", F.col("d1") * F.col("d1")), ("b", F.col("d1") * F.col("d2")), ("c", F.col("d2") * F.col("d2")))})
-    of = lambda n, s: stats.lndet2(n, F.col(f"a{s}"), F.col(f"b{s}"), F.col(f"c{s}"))
-    x = x.withColumns({"l1": of(F.col("n1"), "1"), "l2": of(F.col("n2"), "2"), "l_avg": of(F.lit(3), "_avg"), "l_fused": of(F.col("n"), "_fused"), "l_within": of(F.col("n"), "_within")})
-    quad = lambda s: (F.col(f"c{s}") * F.col("d1") * F.col("d1") - 2 * F.col(f"b{s}") * F.col("d1") * F.col("d2") + F.col(f"a{s}") * F.col("d2") * F.col("d2"))
-    return x.withColumns({"far": quad("_avg") / F.exp("l_avg"), "far_within": quad("_within") / F.exp("l_within"), "l_both": lse(F.col("l1"), F.col("l2"))})
+    # bound step by step: generated code for all of it at once outgrows what the JVM compiles
+    p, q, at = F.col("p"), F.col("q"), F.element_at
+    side = lambda c, k, m: {f"n{k}": c["n"].cast("double"), f"{m}1": at(c["mean"], 1), f"{m}2": at(c["mean"], 2), **{f"{v}{k}": at(c["cov"], i + 1) for i, v in enumerate("abc")}}
+    sides = side(p, 1, "u") | side(q, 2, "v")
+
+    def gaps(x: Column) -> Column:
+        n = x["n1"] + x["n2"]
+        return let(struct_of(n=n, d1=x["u1"] - x["v1"], d2=x["u2"] - x["v2"], w1=(x["n1"] - 1) / (n - 1), w2=(x["n2"] - 1) / (n - 1), gap=x["n1"] / n * x["n2"] / (n - 1)), lambda y: covs(x, y))
+
+    def covs(x: Column, y: Column) -> Column:
+        avg = {f"{v}_avg": (x[f"{v}1"] + x[f"{v}2"]) / 2 for v in "abc"}
+        within = {f"{v}_within": y["w1"] * x[f"{v}1"] + y["w2"] * x[f"{v}2"] for v in "abc"}
+        fused = {f"{v}_fused": within[f"{v}_within"] + y["gap"] * y[g] * y[h] for v, g, h in (("a", "d1", "d1"), ("b", "d1", "d2"), ("c", "d2", "d2"))}
+        return let(struct_of(**avg, **within, **fused), lambda z: volumes(x, y, z))
+
+    def volumes(x: Column, y: Column, z: Column) -> Column:
+        of = lambda n, c, s: stats.lndet2(n, c[f"a{s}"], c[f"b{s}"], c[f"c{s}"])
+        return let(struct_of(l1=of(x["n1"], x, "1"), l2=of(x["n2"], x, "2"), l_avg=of(F.lit(3), z, "_avg"), l_fused=of(y["n"], z, "_fused"), l_within=of(y["n"], z, "_within")), lambda l: shared(x, y, z, l))
+
+    def shared(x: Column, y: Column, z: Column, l: Column) -> Column:
+        quad = lambda s: z[f"c{s}"] * y["d1"] * y["d1"] - 2 * z[f"b{s}"] * y["d1"] * y["d2"] + z[f"a{s}"] * y["d2"] * y["d2"]
+        far = {"far": quad("_avg") / F.exp(l["l_avg"]), "far_within": quad("_within") / F.exp(l["l_within"]), "l_both": lse(l["l1"], l["l2"])}
+        return struct_of(**{k: x[k] for k in sides}, **{k: y[k] for k in ("n", "d1", "d2", "w1", "w2", "gap")}, **{f"{v}_{s}": z[f"{v}_{s}"] for v in "abc" for s in ("avg", "within", "fused")}, **{k: l[k] for k in ("l1", "l2", "l_avg", "l_fused", "l_within")}, **far)
+
+    return pairs.select("model_id", "left_id", "right_id", let(struct_of(**sides), gaps).alias("shared")).select("model_id", "left_id", "right_id", "shared.*")
+
+
+def _counts() -> list[Column]:
+    """Sample counts as they came; sums and products of them are taken in doubles, which no number of rows overflows."""
+    return [F.col(c).cast("long").alias(c) for c in ("n1", "n2")]
 
 
 def _kl2(s: str) -> Column:
@@ -83,21 +99,22 @@ def measure2(name: str, literal: bool = False) -> Column:
 def measures1(pairs: DataFrame, which: list[str] | None = None) -> DataFrame:
     """Closed forms for D = 1."""
     p, q = F.col("p"), F.col("q")
-    x = pairs.select("model_id", "left_id", "right_id", p["n"].alias("n1"), p["mean"][0].alias("u"), p["cov"][0].alias("s1"), q["n"].alias("n2"), q["mean"][0].alias("v"), q["cov"][0].alias("s2"))
+    x = pairs.select("model_id", "left_id", "right_id", p["n"].cast("double").alias("n1"), p["mean"][0].alias("u"), p["cov"][0].alias("s1"), q["n"].cast("double").alias("n2"), q["mean"][0].alias("v"), q["cov"][0].alias("s2"))
     n, d = F.col("n1") + F.col("n2"), F.col("u") - F.col("v")
-    x = x.withColumn("fused", ((F.col("n1") - 1) * F.col("s1") + (F.col("n2") - 1) * F.col("s2") + F.col("n1") * F.col("n2") / n * d * d) / (n - 1)).withColumn("avg", (F.col("s1") + F.col("s2")) / 2)
+    x = x.withColumn("fused", ((F.col("n1") - 1) * F.col("s1") + (F.col("n2") - 1) * F.col("s2") + F.col("n1") / n * F.col("n2") * d * d) / (n - 1)).withColumn("avg", (F.col("s1") + F.col("s2")) / 2)
     far, total = d * d / F.col("avg") / 8, F.col("s1") + F.col("s2")
     b = far + 0.5 * F.log(F.col("avg") / F.sqrt(F.col("s1") * F.col("s2")))
     o = F.log(2 * F.col("fused") / total)
     forms = {"b": b, "js": b, "w": d * d + F.pow(F.sqrt("s1") - F.sqrt("s2"), F.lit(2)), "vr": F.col("fused") / total, "ab": far + 0.0 * d, "o": o, "oh": o}
-    return x.select("model_id", "left_id", "right_id", "n1", "n2", *[forms[m].alias(m) for m in which or MEASURES])
+    return x.select("model_id", "left_id", "right_id", *_counts(), *[forms[m].alias(m) for m in which or MEASURES])
 
 
 def overlap_oh(pairs: DataFrame) -> DataFrame:
     """oh of pairs for any D, from n, mean and diag alone: linear in D and free of Python."""
     p, q = F.col("p"), F.col("q")
-    n = p["n"] + q["n"]
-    w1, w2, gap = (p["n"] - 1) / (n - 1), (q["n"] - 1) / (n - 1), p["n"] * q["n"] / (n * (n - 1))
+    n1, n2 = p["n"].cast("double"), q["n"].cast("double")
+    n = n1 + n2
+    w1, w2, gap = (n1 - 1) / (n - 1), (n2 - 1) / (n - 1), n1 / n * n2 / (n - 1)
     d2 = F.zip_with(p["mean"], q["mean"], lambda a, b: (a - b) * (a - b))
     within = F.zip_with(p["diag"], q["diag"], lambda a, b: w1 * a + w2 * b)
     fused = F.zip_with(within, d2, lambda a, g: a + gap * g)
@@ -136,7 +153,27 @@ def measure_pairs(pairs: DataFrame, dim: int, measures: list[str] | None = None,
         return _arrow(pairs, dim, which, literal, ridge)
     if dim == 1:
         return measures1(pairs, which)
-    return flat_pairs2(pairs).select("model_id", "left_id", "right_id", "n1", "n2", *[measure2(m, literal).alias(m) for m in which])
+    return flat_pairs2(pairs).select("model_id", "left_id", "right_id", *_counts(), *[measure2(m, literal).alias(m) for m in which])
+
+
+def literal_measures(pairs: DataFrame, dim: int) -> DataFrame:
+    """b_literal and o_literal of pairs (p, q): from determinants as printed, to show what logarithms avoid; infinite or nan where they underflow."""
+    ship(pairs.sparkSession)
+    p, q = F.col("p"), F.col("q")
+    flat = pairs.select("model_id", "left_id", "right_id", p["n"].alias("n1"), q["n"].alias("n2"), p["mean"].alias("u"), q["mean"].alias("v"), p["cov"].alias("s"), q["cov"].alias("t"))
+    step = max(1, STEP_BYTES // (8 * dim * dim * 6))
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            for at in range(0, b.num_rows, step):
+                x = b.slice(at, step)
+                rows = lambda k: np.asarray(x.column(k).flatten().to_numpy(zero_copy_only=False), float).reshape(x.num_rows, -1)  # noqa: B023, E731
+                out = K.literal_forms(x.column("n1").to_numpy(), rows("u"), P.dense(rows("s"), dim), x.column("n2").to_numpy(), rows("v"), P.dense(rows("t"), dim))
+                yield pa.RecordBatch.from_arrays([*[x.column(k) for k in ("model_id", "left_id", "right_id")], *[pa.array(v) for v in out.values()]], names=["model_id", "left_id", "right_id", *out])
+
+    return flat.mapInArrow(run, "model_id string, left_id bigint, right_id bigint, b_literal double, o_literal double")
 
 
 def null_corrected(measured: DataFrame, dim: int) -> DataFrame:

@@ -75,11 +75,69 @@ def ellipse(clusters: DataFrame, k: float = 2.0) -> DataFrame:
     return x.select("cluster_id", F.col("m1").alias("cx"), F.col("m2").alias("cy"), axis(half + root).alias("semi_major"), axis(half - root).alias("semi_minor"), (0.5 * F.atan2(2 * F.col("b"), F.col("a") - F.col("c"))).alias("angle"))
 
 
+#: Clusters that one native assignment holds, and bytes of one block of clusters that is sent to the workers.
+NATIVE_CLUSTERS, BLOCK_BYTES = 1_000, 64 << 20
+
+
 def assign2(rows: DataFrame, x1: str, x2: str, clusters: DataFrame) -> DataFrame:
-    """``rows`` with the D = 2 cluster of the highest Gaussian density; clusters are few and checked for it."""
-    if clusters.limit(10_001).count() > 10_000:
-        raise ValueError("too many clusters to broadcast")
+    """``rows`` with ``assigned``, the D = 2 cluster of the highest Gaussian density (ties: the smaller id; null without a usable cluster).
+
+    Up to NATIVE_CLUSTERS clusters it is one JVM expression; above, ``assign`` takes over."""
+    if clusters.limit(NATIVE_CLUSTERS + 1).count() > NATIVE_CLUSTERS:
+        return assign(rows, [x1, x2], clusters, 2)
     k = flat2(clusters).filter("lndet is not null")
     each = k.agg(F.array_sort(F.collect_list(F.struct("cluster_id", "m1", "m2", "a", "b", "c", "lndet"))).alias("ks"))
     of = lambda s: F.struct(((s["c"] * (F.col(x1) - s["m1"]) * (F.col(x1) - s["m1"]) - 2 * s["b"] * (F.col(x1) - s["m1"]) * (F.col(x2) - s["m2"]) + s["a"] * (F.col(x2) - s["m2"]) * (F.col(x2) - s["m2"])) / (s["a"] * s["c"] - s["b"] * s["b"]) + s["lndet"]).alias("cost"), s["cluster_id"].alias("cluster_id"))
     return rows.crossJoin(F.broadcast(each)).withColumn("assigned", F.array_min(F.transform("ks", of))["cluster_id"]).drop("ks")
+
+
+def assign(rows: DataFrame, features: list[str], clusters: DataFrame, dim: int, blocks: int | None = None) -> DataFrame:
+    """``rows`` with ``assigned``, the cluster of the highest Gaussian density in any D; works on streams too.
+
+    Clusters without a volume take no part, rows with missing or non-finite features get null, ties the smaller id. The
+    clusters go to the workers in blocks of bounded bytes, one pass of a chain of narrow maps for each, so any number of
+    them is compared exactly and rows are never shuffled."""
+    spark = rows.sparkSession
+    ship(spark)
+    known = clusters.filter(F.col("dim") == dim).select("cluster_id", "n", "mean", "cov")
+    k = blocks or max(1, -(-known.count() * 8 * dim * (dim + 3) // BLOCK_BYTES))
+    schema = T.StructType([*rows.schema.fields, T.StructField("assigned", T.LongType()), T.StructField("_cost", T.DoubleType())])
+    out = rows.withColumn("assigned", F.lit(None).cast("long")).withColumn("_cost", F.lit(None).cast("double"))
+    for b in range(k):
+        block = sorted(known.filter(F.pmod(F.xxhash64("cluster_id"), F.lit(k)) == b).collect())
+        ids = np.array([r["cluster_id"] for r in block], np.int64)
+        ln, roots, means = np.zeros(0), np.zeros((0, dim, dim)), np.zeros((0, dim))
+        if block:
+            s = P.dense(np.array([r["cov"] for r in block], float), dim)
+            ln = K.cluster_lndet(np.array([r["n"] for r in block], float), s)
+            fit = np.isfinite(ln)
+            ids, ln, means = ids[fit], ln[fit], np.array([r["mean"] for r in block], float)[fit]
+            # whitening maps: the squared length of what they make of a gap is its Mahalanobis distance
+            roots = np.linalg.inv(np.linalg.cholesky(s[fit]))
+        shared = spark.sparkContext.broadcast((ids, ln, roots, means))
+        out = out.mapInArrow(_nearest(shared, features, dim), schema)
+    return out.drop("_cost")
+
+
+def _nearest(shared, features: list[str], dim: int):
+    def run(batches):
+        import pyarrow as pa
+
+        ids, ln, roots, means = shared.value
+        for b in batches:
+            x = np.stack([b.column(f).to_numpy(zero_copy_only=False).astype(float) for f in features], axis=1).reshape(-1, dim)
+            fine = np.isfinite(x).all(1)
+            best = b.column("assigned").to_pylist()
+            cost = b.column("_cost").to_numpy(zero_copy_only=False).astype(float)
+            for at in range(0, len(x) if len(ids) else 0, 1024):
+                here = np.flatnonzero(fine[at : at + 1024]) + at
+                each = np.empty((len(here), len(ids)))
+                for j in range(len(ids)):
+                    each[:, j] = (((x[here] - means[j]) @ roots[j].T) ** 2).sum(1) + ln[j]
+                first = each.argmin(1) if len(here) else np.zeros(0, int)
+                for row, j, c in zip(here, first, each[np.arange(len(here)), first]):
+                    if not cost[row] < c and (cost[row] != c or int(ids[j]) < best[row]):
+                        best[row], cost[row] = int(ids[j]), c
+            yield pa.RecordBatch.from_arrays([*b.columns[:-2], pa.array(best, pa.int64()), pa.array(cost, pa.float64(), from_pandas=True)], names=b.schema.names)
+
+    return run

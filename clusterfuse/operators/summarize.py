@@ -1,4 +1,6 @@
-"""Clusters (n, mean, packed covariance) from rows, in one scan: raw rows are never shuffled, only partial moments are."""
+"""Clusters (n, mean, packed covariance) from rows, in one scan: raw rows are never shuffled, only partial moments are.
+
+All summaries use the same rows: those with a cluster_id whose features are all there and finite."""
 
 from __future__ import annotations
 
@@ -42,7 +44,8 @@ def standardize(df: DataFrame, features: list[str], names: list[str] | None = No
 def summarize_columns(df: DataFrame, cluster_id: Column, features: list[str], model_id: Column | str = "all") -> DataFrame:
     """Clusters by an id expression from scalar columns: partial and final hash aggregates in the JVM; for up to about 12 features."""
     model = F.lit(model_id) if isinstance(model_id, str) else model_id
-    x = clean(df.select(model.alias("model_id"), cluster_id.cast("long").alias("cluster_id"), *[F.col(f).cast("double").alias(f"x{i}") for i, f in enumerate(features)]), [f"x{i}" for i in range(len(features))])
+    x = df.select(model.alias("model_id"), cluster_id.cast("long").alias("cluster_id"), *[F.col(f).cast("double").alias(f"x{i}") for i, f in enumerate(features)])
+    x = clean(x.filter("cluster_id is not null"), [f"x{i}" for i in range(len(features))])
     d = len(features)
     cov = [F.var_samp(f"x{i}") if i == j else F.covar_samp(f"x{i}", f"x{j}") for i, j in P.slots(d)]
     out = x.groupBy("model_id", "cluster_id").agg(F.count(F.lit(1)).alias("n"), *[F.avg(f"x{i}").alias(f"m{i}") for i in range(d)], *[c.alias(f"c{k}") for k, c in enumerate(cov)])
@@ -53,7 +56,7 @@ def summarize_columns(df: DataFrame, cluster_id: Column, features: list[str], mo
 def summarize_vectors_sql(df: DataFrame, cluster_id: Column, vec: str, dim: int, model_id: str = "all") -> DataFrame:
     """Clusters from the first ``dim`` entries of a vector column without Python: pairs of slots as rows; for up to about 16 axes."""
     x = df.select(cluster_id.cast("long").alias("cluster_id"), F.transform(F.slice(vec, 1, dim), lambda v: v.cast("double")).alias("v"))
-    x = x.filter((F.size("v") == dim) & F.forall("v", lambda v: v.isNotNull() & ~F.isnan(v)))
+    x = x.filter(F.col("cluster_id").isNotNull() & (F.size("v") == dim) & F.forall("v", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) != float("inf"))))
     one = x.select("cluster_id", "v", F.posexplode("v").alias("i", "a")).select("cluster_id", "i", "a", F.posexplode("v").alias("j", "b")).filter("i <= j")
     each = one.groupBy("cluster_id", "i", "j").agg(F.count(F.lit(1)).alias("n"), F.avg("a").alias("m"), F.covar_samp("a", "b").alias("c"))
     slot = F.struct("i", "j", "m", F.coalesce("c", F.lit(0.0)).alias("c"))
@@ -61,46 +64,91 @@ def summarize_vectors_sql(df: DataFrame, cluster_id: Column, vec: str, dim: int,
     return got.select(F.lit(model_id).alias("model_id"), "cluster_id", F.lit(dim).alias("dim"), "n", F.transform(F.filter("s", lambda s: s["i"] == s["j"]), lambda s: s["m"]).alias("mean"), F.transform("s", lambda s: s["c"]).alias("cov"))
 
 
-def _moments(x: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
-    m = x.mean(0)
-    y = x - m
-    return len(x), m, P.packed(y.T @ y)
+#: Bytes of partial moments that a task holds before it sends them on, and parts that a hot key's partial moments are added up in first.
+HELD_BYTES, PARTS = 128 << 20, 64
+
+
+def vectors(column, dim: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first ``dim`` entries of an Arrow list column as rows, and which of its entries they belong to; short and missing ones are left out."""
+    import pyarrow.compute as pc
+
+    offsets = column.offsets.to_numpy()
+    values = column.values.to_numpy(zero_copy_only=False).astype(float)
+    fit = np.flatnonzero(pc.fill_null(pc.is_valid(column), False).to_numpy(zero_copy_only=False) & (np.diff(offsets) >= dim))
+    return values[offsets[:-1][fit][:, None] + np.arange(dim)], fit
+
+
+def joined_moments(one: tuple | None, n: float, mean: np.ndarray, m2: np.ndarray) -> tuple:
+    """Moments (n, mean, packed scatter) of two sets of rows together."""
+    if one is None:
+        return n, mean, m2
+    total, d = one[0] + n, mean - one[1]
+    return total, one[1] + d * (n / total), one[2] + m2 + P.packed(np.outer(d, d) * (one[0] * n / total))
 
 
 def summarize_vectors(df: DataFrame, cluster_id: Column, vec: str, dim: int, model_id: str = "all") -> DataFrame:
-    """Clusters of any D from a vector column: centred partial moments for each key and Arrow batch, combined by the fusion identity.
+    """Clusters of any D from a vector column: centred moments of each key, added up within a task and combined by the fusion identity.
 
-    A hot key is one small row for each batch, so the combining side reads as many rows as there were batches at most."""
+    A task sends one row for each of its keys (or more, when its moments outgrow HELD_BYTES and are sent early). The rows of
+    a hot key, one for each task, are combined in PARTS parts first, so that no task reads a key's rows of all tasks."""
     ship(df.sparkSession)
+    schema = "cluster_id long, part int, n double, mean array<double>, m2 array<double>"
 
     def partial(batches):
         import pyarrow as pa
+        from pyspark import TaskContext
+
+        part = (TaskContext.get().partitionId() if TaskContext.get() else 0) % PARTS
+        held: dict[int, tuple] = {}
+        most = max(1, HELD_BYTES // (4 * dim * (dim + 3)))
+
+        def sent():
+            keys = list(held)
+            cols = [pa.array(keys, pa.int64()), pa.array([part] * len(keys), pa.int32()), pa.array([held[k][0] for k in keys], pa.float64()), *[pa.array([held[k][i] for k in keys], pa.list_(pa.float64())) for i in (1, 2)]]
+            held.clear()
+            return pa.RecordBatch.from_arrays(cols, names=["cluster_id", "part", "n", "mean", "m2"])
 
         for b in batches:
-            ids = b.column(0).to_numpy(zero_copy_only=False)
-            sized = np.array([v is not None and len(v) >= dim for v in b.column(1).to_pylist()], bool)
-            x = np.array([v[:dim] for v, ok in zip(b.column(1).to_pylist(), sized) if ok], float).reshape(-1, dim)
+            x, at = vectors(b.column(1), dim)
+            ids = b.column(0).to_numpy(zero_copy_only=False)[at]
             fine = np.isfinite(x).all(1)
-            x, ids = x[fine], ids[sized][fine]
-            rows = [(int(k), *_moments(x[ids == k])) for k in np.unique(ids)]
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.list_(pa.float64())), pa.array([r[3] for r in rows], pa.list_(pa.float64()))], names=["cluster_id", "n", "mean", "m2"])
+            order = np.argsort(ids[fine], kind="stable")
+            x, ids = x[fine][order], ids[fine][order]
+            edge = np.flatnonzero(np.diff(ids, prepend=ids[0] - 1)) if len(ids) else np.zeros(0, int)
+            for lo, hi in zip(edge, np.append(edge[1:], len(ids))):
+                rows = x[lo:hi]
+                mean = rows.mean(0)
+                y = rows - mean
+                held[int(ids[lo])] = joined_moments(held.get(int(ids[lo])), float(hi - lo), mean, P.packed(y.T @ y))
+            if len(held) > most:
+                yield sent()
+        yield sent()
+
+    def added(t):
+        n = t["n"].to_numpy()
+        means, m2 = (np.asarray(t[c].combine_chunks().flatten().to_numpy(zero_copy_only=False)).reshape(len(n), -1) for c in ("mean", "m2"))
+        # rows come in the order of the shuffle; sums in a fixed order give the same digits in every run
+        order = np.lexsort((means[:, 0], n))
+        n, means, m2 = n[order], means[order], m2[order]
+        total = n.sum()
+        mean = n @ means / total
+        d = means - mean
+        return total, mean, m2.sum(0) + P.packed((d * n[:, None]).T @ d)
+
+    def combine_part(t):
+        import pyarrow as pa
 
-    parts = df.select(cluster_id.cast("long").alias("cluster_id"), vec).filter("cluster_id is not null").mapInArrow(partial, "cluster_id long, n long, mean array<double>, m2 array<double>")
+        total, mean, m2 = added(t)
+        return pa.table({"cluster_id": [t["cluster_id"][0].as_py()], "part": pa.array([0], pa.int32()), "n": [total], "mean": pa.array([mean]), "m2": pa.array([m2])})
 
     def combine(t):
         import pyarrow as pa
 
-        n = t["n"].to_numpy().astype(float)
-        order = np.lexsort((np.array([m[0] for m in t["mean"].to_pylist()]), n))
-        means, m2 = np.array(t["mean"].to_pylist())[order], np.array(t["m2"].to_pylist())[order]
-        n = n[order]
-        total = n.sum()
-        mean = n @ means / total
-        d = means - mean
-        scatter = m2.sum(0) + P.packed((d * n[:, None]).T @ d)
+        total, mean, scatter = added(t)
         return pa.table({"model_id": [model_id], "cluster_id": [t["cluster_id"][0].as_py()], "dim": pa.array([dim], pa.int32()), "n": pa.array([int(total)], pa.int64()), "mean": pa.array([mean]), "cov": pa.array([scatter / max(total - 1, 1)])})
 
-    return parts.groupBy("cluster_id").applyInArrow(combine, CLUSTER)
+    parts = df.select(cluster_id.cast("long").alias("cluster_id"), vec).filter("cluster_id is not null").mapInArrow(partial, schema)
+    return parts.groupBy("cluster_id", "part").applyInArrow(combine_part, schema).groupBy("cluster_id").applyInArrow(combine, CLUSTER)
 
 
 def distinct_per_cluster(df: DataFrame, keys: list[str], col: str, approx: bool = False) -> DataFrame:

@@ -8,12 +8,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import sqlfuncs
 from ..functions.deploy import ship
 from ..operators import cliques, fuse, graph, measures, pairs, stats
 from ..operators import summarize as S
 from ..sources import exchange, scenarios, tables
 from ..streaming import summaries
-from . import experiment
+from . import experiment, surface
 from .sql import BRANDS, DISCS, FLAGS, MEASURE_SQL, PAIRS, SCENARIO_K, SUPPLIERS, Z, fused_rows
 
 CATALOG: dict = {}
@@ -43,6 +44,13 @@ def r(c, k: int = 6) -> Column:
     return F.round(F.col(c) if isinstance(c, str) else c, k) + F.lit(0.0)
 
 
+def second(pairs_sql: str) -> str:
+    """The CTEs of pairs once more, over k2 and ending in y2."""
+    for name in ("pr", "x", "y"):
+        pairs_sql = pairs_sql.replace(f"{name} AS (SELECT", f"{name}2 AS (SELECT").replace(f"FROM {name})", f"FROM {name}2)")
+    return pairs_sql.replace("FROM k p JOIN k q", "FROM k2 p JOIN k2 q")
+
+
 def flag_id() -> Column:
     return F.ascii("l_returnflag") * 1000 + F.ascii("l_linestatus")
 
@@ -263,6 +271,26 @@ def _(spark, d):
     return stats.assign2(li, "z1", "z2", stored(flags(spark, d))).groupBy(F.col("assigned").alias("cluster_id")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("assign_lineitem_any_d", SQL["assign_lineitem"])
+def _(spark, d):
+    return stats.assign(scenarios.lineitem_z(spark, d).select("z1", "z2"), ["z1", "z2"], stored(flags(spark, d)), 2, blocks=2).groupBy(F.col("assigned").alias("cluster_id")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("assign_events", "WITH k AS (SELECT CAST(ascii(event_type)*1000+length(event_type) AS BIGINT) AS id, avg(value) AS m, var_samp(value) AS s FROM events WHERE value IS NOT NULL AND isfinite(value) GROUP BY 1), a AS (SELECT event_id, id, row_number() OVER (PARTITION BY event_id ORDER BY (value-m)*(value-m)/s+ln(s), id) AS r FROM events, k WHERE value IS NOT NULL AND isfinite(value)) SELECT event_id, id AS assigned FROM a WHERE r = 1")
+def _(spark, d):
+    ev = tables.read_table(spark, d, "events", ["event_id", "value"]).filter(S.usable(["value"]))
+    return summaries.assigned_events(ev, stored(event_types(spark, d))).select("event_id", "assigned")
+
+
+@query("sampling_error_o", f"WITH {Z}, {FLAGS}, {PAIRS}, {FLAGS.replace('k AS', 'k2 AS').replace('FROM z', 'FROM z WHERE l_orderkey % 10 = 0')}, {second(PAIRS)} SELECT y.left_id, y.right_id, round({MEASURE_SQL['o']},6)+0.0 AS o, round((SELECT {MEASURE_SQL['o']} FROM y2 WHERE y2.left_id = y.left_id AND y2.right_id = y.right_id),6)+0.0 AS o_sample FROM y")
+def _(spark, d):
+    li = scenarios.lineitem_z(spark, d, 2, ("l_orderkey", "l_returnflag", "l_linestatus"))
+    of = lambda rows: measures.measure_pairs(pairs.all_pairs(stored(S.summarize_columns(rows, flag_id(), ["z1", "z2"])), ["n", "mean", "cov"]), 2, ["o"])
+    # the feature is the sample: how far the overlap of every tenth order lies from that of all
+    sample = of(li.filter("l_orderkey % 10 = 0")).select("left_id", "right_id", r("o").alias("o_sample"))
+    return of(li).select("left_id", "right_id", r("o").alias("o")).join(sample, ["left_id", "right_id"])
+
+
 # measures
 def d2_pairs(spark, d, of=flags):
     return measures.flat_pairs2(pairs.all_pairs(stored(of(spark, d)), ["n", "mean", "cov"]))
@@ -320,6 +348,25 @@ def _(spark, d):
     return d2_pairs(spark, d).select("left_id", "right_id", *[r(measures.measure2(m)).alias(m) for m in ("o_spread", "o_gap", "o")])
 
 
+@query("literal_forms_d2", f"WITH {Z}, {FLAGS}, {PAIRS} SELECT left_id, right_id, round({MEASURE_SQL['b']},6)+0.0 AS b_literal, round({MEASURE_SQL['o']},6)+0.0 AS o_literal FROM y")
+def _(spark, d):
+    return rounded(measures.literal_measures(pairs.all_pairs(stored(flags(spark, d)), ["n", "mean", "cov"]), 2), "b_literal", "o_literal").drop("model_id")
+
+
+@query("literal_forms_docs100")
+def _(spark, d):
+    vec = tables.hashed_words(tables.read_table(spark, d, "documents", ["doc_id", "lang", "text"]))
+    k = stored(S.summarize_vectors(vec, F.ascii("lang") * 1000 + F.ascii(F.substring("lang", 2, 1)), "vec", 100))
+    return measures.literal_measures(pairs.all_pairs(k, ["n", "mean", "cov"]), 100).join(measures.measure_pairs(pairs.all_pairs(k, ["n", "mean", "cov"]), 100, ["b", "o"]).drop("n1", "n2", "model_id"), ["left_id", "right_id"]).drop("model_id")
+
+
+@query("measure_o_udf", SQL["measure_o_d2"])
+def _(spark, d):
+    sqlfuncs.register(spark)
+    pairs.all_pairs(stored(flags(spark, d)), ["n", "mean", "cov"]).createOrReplaceTempView("cluster_pairs")
+    return spark.sql("SELECT left_id, right_id, round(gauss_o(p, q), 6) + 0.0D AS o FROM cluster_pairs")
+
+
 _E1 = "k AS (SELECT CAST(ascii(event_type)*1000+length(event_type) AS BIGINT) AS id, count(*) AS n, avg(value) AS m, var_samp(value) AS s FROM events WHERE value IS NOT NULL AND isfinite(value) GROUP BY 1), p AS (SELECT x.id AS left_id, y.id AS right_id, x.n AS n1, y.n AS n2, x.m-y.m AS d, x.s AS s1, y.s AS s2 FROM k x JOIN k y ON x.id < y.id)"
 
 
@@ -446,6 +493,31 @@ def _(spark, d):
     return o_pairs(spark, d).agg(F.count_if(F.col("o") < 1.5).alias("n_edges"), F.count_if((F.col("o") < 1.5) & (F.col("oh") < 1.5)).alias("n_found"), F.count_if(F.col("oh") < 1.5).alias("n_candidates"))
 
 
+_BOX = "p.m1-2*sqrt(p.a) <= q.m1+2*sqrt(q.a) AND q.m1-2*sqrt(q.a) <= p.m1+2*sqrt(p.a) AND p.m2-2*sqrt(p.c) <= q.m2+2*sqrt(q.c) AND q.m2-2*sqrt(q.c) <= p.m2+2*sqrt(p.c)"
+
+
+@query("candidate_recall_box", f"WITH {_DISC_O}, bx AS (SELECT CAST(p.id AS BIGINT) AS left_id, CAST(q.id AS BIGINT) AS right_id FROM k p JOIN k q ON p.id < q.id WHERE {_BOX}) SELECT CAST((SELECT count(*) FROM o WHERE o < 1.5) AS BIGINT) AS n_edges, CAST((SELECT count(*) FROM o JOIN bx USING (left_id, right_id) WHERE o < 1.5) AS BIGINT) AS n_found, CAST((SELECT count(*) FROM bx) AS BIGINT) AS n_candidates")
+def _(spark, d):
+    k = stored(disc_clusters(spark, d))
+    near = pairs.box_candidates(k).select("left_id", "right_id", F.lit(True).alias("near"))
+    x = measures.measure_pairs(pairs.all_pairs(k, ["n", "mean", "cov"]), 2, ["o"]).join(near, ["left_id", "right_id"], "left")
+    near_ = F.coalesce("near", F.lit(False))
+    return x.agg(F.count_if(F.col("o") < 1.5).alias("n_edges"), F.count_if((F.col("o") < 1.5) & near_).alias("n_found"), F.count_if(near_).alias("n_candidates"))
+
+
+_BOUND = "bd AS (SELECT left_id, right_id, ln(2.0)+2*ln(w1*sqrt(e1)+w2*sqrt(e2))+ln(1+cc*(d1*d1+d2*d2)/(w1*(a1+c1)+w2*(a2+c2)))-ln(e1+e2) AS bound FROM (SELECT *, (n1-1)/(n1+n2-1) AS w1, (n2-1)/(n1+n2-1) AS w2, n1*n2/((n1+n2)*(n1+n2-1)) AS cc FROM y))"
+
+
+@query("candidate_pair_counts", f"WITH {_DISC_O}, {_BOUND}, bx AS (SELECT count(*) AS n FROM k p JOIN k q ON p.id < q.id WHERE {_BOX}) SELECT CAST((SELECT count(*) FROM o) AS BIGINT) AS n_none, CAST((SELECT count(*) FROM bd WHERE bound < 1.5) AS BIGINT) AS n_bound, CAST((SELECT count(*) FROM o WHERE oh < 1.5) AS BIGINT) AS n_oh, CAST((SELECT n FROM bx) AS BIGINT) AS n_box")
+def _(spark, d):
+    k = stored(disc_clusters(spark, d))
+    counts = [fuse.candidate_pairs(k, 2, criterion=c).agg(F.count(F.lit(1)).alias(f"n_{c}")) for c in ("none", "bound", "oh", "box")]
+    out = counts[0]
+    for c in counts[1:]:
+        out = out.crossJoin(c)  # one row each
+    return out
+
+
 @query("overlap_sign", f"WITH {Z}, {FLAGS}, {PAIRS} SELECT left_id, right_id, {MEASURE_SQL['o']} < 0 AS smaller FROM y")
 def _(spark, d):
     return d2_pairs(spark, d).select("left_id", "right_id", (measures.measure2("o") < 0).alias("smaller"))
@@ -521,12 +593,41 @@ def _(spark, d):
     return cliques.cliques_by_join(found).select(F.concat_ws(",", F.transform("members", lambda v: v.cast("string"))).alias("members"), "size")
 
 
-for _policy in ("largest_first", "greedy"):
+@query("cliques_recursive", SQL["maximal_cliques"])
+def _(spark, d):
+    _, found = disc_graph(spark, d)
+    return cliques.cliques_recursive(found).select(F.concat_ws(",", F.transform("members", lambda v: v.cast("string"))).alias("members"), "size")
+
+
+# the largest clique of what is left, one after another: ties by least weight, then by smallest ids
+_GROUPS = "w AS (SELECT m, len(m) AS k, (SELECT round(sum(weight), 12) FROM e WHERE list_contains(c.m, e.left_id) AND list_contains(c.m, e.right_id)) AS t FROM c), pick(step, m, taken) AS (SELECT 0, CAST([] AS BIGINT[]), CAST([] AS BIGINT[]) UNION ALL SELECT step + 1, m, list_concat(taken, m) FROM (SELECT p.step, p.taken, w.m, row_number() OVER (ORDER BY w.k DESC, w.t, w.m) AS r FROM pick p JOIN w ON NOT list_has_any(w.m, p.taken)) WHERE r = 1), gr AS (SELECT m[1] AS group_id, unnest(m) AS cluster_id, len(m) AS size FROM pick WHERE step > 0), grp AS (SELECT CAST(coalesce(gr.group_id, k.id) AS BIGINT) AS group_id, CAST(k.id AS BIGINT) AS cluster_id, CAST(coalesce(gr.size, 1) AS INTEGER) AS size FROM k LEFT JOIN gr ON gr.cluster_id = k.id)"
+
+
+@query("disjoint_groups", f"WITH RECURSIVE {_DISC_O}, {_EDGE}, {_CLIQUES}, {_GROUPS} SELECT group_id, cluster_id, size, true AS exact FROM grp")
+def _(spark, d):
+    k, found = disc_graph(spark, d)
+    return cliques.disjoint_groups(found, k)
+
+
+@query("cliques_of_udtf", f"WITH RECURSIVE {_DISC_O}, {_EDGE}, {_CLIQUES}, {_GROUPS} SELECT group_id, cluster_id FROM grp WHERE size > 1")
+def _(spark, d):
+    sqlfuncs.register(spark)
+    _, found = disc_graph(spark, d)
+    comp = graph.components(found).select(F.col("cluster_id").alias("left_id"), "component_id")
+    found.join(comp, "left_id").createOrReplaceTempView("edges_by_component")
+    return spark.sql("SELECT group_id, cluster_id FROM cliques_of(TABLE(edges_by_component) PARTITION BY component_id) WHERE group_id IN (SELECT group_id FROM cliques_of(TABLE(edges_by_component) PARTITION BY component_id) GROUP BY 1 HAVING count(*) > 1)")
+
+
+@query("disjoint_groups_greedy")
+def _(spark, d):
+    k, found = disc_graph(spark, d)
+    return cliques.disjoint_groups(found, k, "greedy")
 
-    @query("disjoint_groups" if _policy == "largest_first" else "disjoint_groups_greedy")
-    def _(spark, d, policy=_policy):
-        k, found = disc_graph(spark, d)
-        return cliques.disjoint_groups(found, k, policy)
+
+@query("sql_surface", f"WITH RECURSIVE {_DISC_O}, {_EDGE}, {_CLIQUES}, {_GROUPS} SELECT CAST((SELECT count(*) FROM k) AS BIGINT) AS n_clusters, CAST((SELECT count(*) FROM o) AS BIGINT) AS n_pairs, CAST((SELECT count(*) FROM e) AS BIGINT) AS n_edges, CAST((SELECT count(DISTINCT group_id) FROM grp) AS BIGINT) AS n_groups, CAST((SELECT sum(n) FROM k) AS BIGINT) AS n_rows")
+def _(spark, d):
+    surface.create_views(stored(disc_clusters(spark, d)), 2)
+    return spark.sql("SELECT (SELECT count(*) FROM clusters) AS n_clusters, (SELECT count(*) FROM pairs) AS n_pairs, (SELECT count(*) FROM edges) AS n_edges, (SELECT count(DISTINCT group_id) FROM groups) AS n_groups, (SELECT sum(n) FROM fused) AS n_rows")
 
 
 @query("groups_valid", f"WITH {Z}, {DISCS} SELECT CAST(count(*) AS BIGINT) AS n_clusters, true AS each_in_one_group, true AS all_pairs_are_edges FROM k")
@@ -589,6 +690,20 @@ def _(spark, d):
     return flat2(disc_clusters(spark, d))
 
 
+@query("discs_edges", SQL["overlap_edges"])
+def _(spark, d):
+    # the same edges by way of the sound bound, which leaves out pairs before they are measured
+    near = fuse.candidate_pairs(stored(disc_clusters(spark, d)), 2)
+    return rounded(graph.edges(measures.measure_pairs(near, 2, ["o"])), "weight")
+
+
+@query("discs_cliques", SQL["maximal_cliques"])
+def _(spark, d):
+    k = stored(disc_clusters(spark, d))
+    found = stored(graph.edges(measures.measure_pairs(fuse.candidate_pairs(k, 2), 2, ["o"])), "edges")
+    return cliques.maximal_cliques(found).select(F.concat_ws(",", F.transform("members", lambda v: v.cast("string"))).alias("members"), "size")
+
+
 @query("discs_pairs", f"WITH {_DISC_O} SELECT left_id, right_id, round(o,6)+0.0 AS o, round(oh,6)+0.0 AS oh FROM o")
 def _(spark, d):
     return o_pairs(spark, d).select("left_id", "right_id", r("o").alias("o"), r("oh").alias("oh"))
@@ -637,6 +752,22 @@ def _(spark, d):
     return flat2(fuse.fuse_by(suppliers(spark, d).withColumn("one", F.lit(1).cast("long")), ["one"]).withColumn("cluster_id", F.col("one")))
 
 
+for _hint in ("merge", "shuffle_hash"):
+
+    @query(f"fuse_groups_{_hint}", _BY_FLAG)
+    def _(spark, d, hint=_hint):
+        k = stored(flags(spark, d))
+        groups = k.select(F.floor(F.col("cluster_id") / 1000).alias("group_id"), "cluster_id")
+        return flat2(fuse.fuse_groups(k, groups, hint=hint).withColumn("cluster_id", F.col("group_id")))
+
+
+@query("fuse_clusters_udaf", _BY_FLAG)
+def _(spark, d):
+    sqlfuncs.register(spark)
+    stored(flags(spark, d)).createOrReplaceTempView("flag_clusters")
+    return flat2(spark.sql("SELECT cluster_id, fused_n(f) AS n, fused_mean(f, 2) AS mean, fused_cov(f, 2) AS cov FROM (SELECT cluster_id DIV 1000 AS cluster_id, fuse_clusters(n, mean, cov) AS f FROM flag_clusters GROUP BY 1)"))
+
+
 @query("fuse_mean", f"WITH {Z} SELECT CAST(ascii(l_returnflag) AS BIGINT) AS upper, CAST(count(*) AS BIGINT) AS n, round(avg(z1),6)+0.0 AS m1, round(avg(z2),6)+0.0 AS m2 FROM z GROUP BY 1")
 def _(spark, d):
     x = fuse.fuse_mean(stored(flags(spark, d)).withColumn("upper", F.floor(F.col("cluster_id") / 1000)), ["upper"])
@@ -681,9 +812,36 @@ def _(spark, d):
     return both.select("cluster_id", n.alias("n"), r(total / n, 4).alias("mean"))
 
 
-@query("fuse_overlapping")
+_DOCS16 = "w AS (SELECT doc_id, lang, unnest(string_split_regex(lower(text), '[ \\t\\n\\x0B\\f\\r]+')) AS t FROM documents), c AS (SELECT doc_id, lang, CAST(('0x' || substr(md5(t),1,8)) AS BIGINT) % 16 AS axis, count(*) AS k FROM w WHERE t <> '' GROUP BY ALL), x AS (SELECT lang, axis, k * 1.0 / sum(k) OVER (PARTITION BY doc_id) AS share FROM c), docs AS (SELECT lang, count(DISTINCT doc_id) AS n FROM c GROUP BY 1)"
+
+
+@query("federated_docs_lang", f"WITH {_DOCS16} SELECT lang, CAST(axis AS INTEGER) AS axis, CAST(n AS BIGINT) AS n, round(sum(sqrt(share))/n,6)+0.0 AS mean, round((sum(share)-n*(sum(sqrt(share))/n)*(sum(sqrt(share))/n))/(n-1),6)+0.0 AS var FROM x JOIN docs USING (lang) GROUP BY lang, axis, n")
 def _(spark, d):
-    return fuse.fuse_overlapping(stored(disc_clusters(spark, d)), dim=2).select("group_id", "n", "mean", "cov", "members", "within", "between")
+    # every source keeps its documents and shares clusters by language; owner and language stand in the cluster_id
+    docs = tables.hashed_words(tables.read_table(spark, d, "documents", ["doc_id", "lang", "source", "text"]), 16, ("lang", "source"))
+    lang = F.ascii("lang") * 1000 + F.ascii(F.substring("lang", 2, 1))
+    local = S.summarize_vectors(docs, F.pmod(F.xxhash64("source"), F.lit(1 << 32)) * 1_000_000 + lang, "vec", 16)
+    whole = stats.with_diagonal(fuse.fuse_models(local.withColumn("cluster_id", F.pmod("cluster_id", F.lit(1_000_000)))))
+    name = F.concat(F.char(F.floor(F.col("cluster_id") / 1000)), F.char(F.pmod("cluster_id", F.lit(1000))))
+    x = whole.select(name.alias("lang"), "n", F.posexplode(F.arrays_zip("mean", "diag")).alias("axis", "x"))
+    return x.filter("x.mean > 0").select("lang", "axis", "n", r("x.mean").alias("mean"), r("x.diag").alias("var"))
+
+
+@query("fraud_watch", "WITH v AS (SELECT user_id, value FROM events WHERE event_type = 'purchase' AND value IS NOT NULL AND isfinite(value)), g AS (SELECT count(*) AS n2, avg(value) AS m2, var_samp(value) AS s2 FROM v), u AS (SELECT user_id, count(*) AS n1, avg(value) AS m1, var_samp(value) AS s1 FROM v GROUP BY 1 HAVING count(*) > 2), f AS (SELECT user_id, n1, ln(2*(((n1-1)*s1+(n2-1)*s2+n1*n2/(n1+n2)*(m1-m2)*(m1-m2))/(n1+n2-1))/(s1+s2)) AS o FROM u, g) SELECT CAST(user_id AS BIGINT) AS user_id, CAST(n1 AS BIGINT) AS n, round(o,6)+0.0 AS o, o >= 0.65 AS apart FROM f")
+def _(spark, d):
+    # one user's purchases against everybody's: users whose cluster barely overlaps the common one are to be looked at
+    ev = tables.read_table(spark, d, "events", ["user_id", "event_type", "value"]).filter("event_type = 'purchase'")
+    users = S.summarize_columns(ev, F.col("user_id"), ["value"]).filter("n > 2")
+    common = stored(S.summarize_columns(ev, F.lit(-1), ["value"])).select("model_id", F.struct("n", "mean", "cov").alias("q"))
+    both = users.select("model_id", F.col("cluster_id").alias("left_id"), F.struct("n", "mean", "cov").alias("p")).join(F.broadcast(common), "model_id").withColumn("right_id", F.lit(-1).cast("long"))
+    x = measures.measures1(both, ["o"])
+    return x.select(F.col("left_id").alias("user_id"), F.col("n1").alias("n"), r("o").alias("o"), (F.col("o") >= 0.65).alias("apart"))
+
+
+@query("fuse_overlapping", f"WITH RECURSIVE {_DISC_O}, {_EDGE}, {_CLIQUES}, {_GROUPS}, f AS (SELECT grp.group_id, count(*) AS n, avg(z1) AS m1, avg(z2) AS m2, var_samp(z1) AS a, covar_samp(z1,z2) AS b, var_samp(z2) AS c FROM z JOIN dk ON (z1-x)*(z1-x)+(z2-y)*(z2-y) <= r*r JOIN grp ON grp.cluster_id = dk.disc GROUP BY 1), mem AS (SELECT group_id, string_agg(CAST(cluster_id AS VARCHAR), ',' ORDER BY cluster_id) AS members FROM grp GROUP BY 1) SELECT group_id, members, CAST(n AS BIGINT) AS n, round(m1,6)+0.0 AS m1, round(m2,6)+0.0 AS m2, round(a,6)+0.0 AS a, round(b,6)+0.0 AS b, round(c,6)+0.0 AS c FROM f JOIN mem USING (group_id)")
+def _(spark, d):
+    x = fuse.fuse_overlapping(stored(disc_clusters(spark, d)), dim=2).withColumn("members", F.concat_ws(",", F.transform("members", lambda v: v.cast("string"))))
+    return flat2(x.withColumn("cluster_id", F.col("group_id"))).withColumnRenamed("cluster_id", "group_id").join(x.select("group_id", "members"), "group_id")
 
 
 @query("fused_count_conserved", f"WITH {Z}, {DISCS} SELECT CAST(sum(n) AS BIGINT) AS n FROM k")
@@ -782,7 +940,14 @@ def _(spark, d):
     return experiment.run_pair_grid(spark, reps=5)
 
 
-@query("cost_model")
+@query("generated_verdicts")
+def _(spark, d):
+    k = [scenarios.generated_clusters(spark, dim) for dim in (2, 100)]
+    long = [measures.measure_pairs(pairs.all_pairs(stored(x), ["n", "mean", "cov"]), dim).unpivot(["model_id"], measures.MEASURES, "measure", "value").select(F.lit(dim).alias("dim"), F.col("model_id").alias("scenario"), "measure", "value") for x, dim in zip(k, (2, 100))]
+    return experiment.compared_with_published(long[0].union(long[1]))
+
+
+@query("cost_model", "SELECT CAST(d AS INTEGER) AS dim, m AS measure, CAST(CASE m WHEN 'js' THEN 2*(d*d*d/3) + 4*d*d*d WHEN 'w' THEN 2*(9*d*d*d) + 4*d*d*d WHEN 'oh' THEN 8*d WHEN 'vr' THEN d*d*d/3 + 3*d*d WHEN 'o' THEN d*d*d/3 + 3*d*d ELSE d*d*d/3 + 2*d*d + d*d END AS DOUBLE) AS flops FROM (SELECT unnest([1, 2, 4, 16, 64, 100])::DOUBLE AS d), (SELECT unnest(['b', 'js', 'w', 'vr', 'ab', 'o', 'oh']) AS m)")
 def _(spark, d):
     return experiment.cost_model(spark)
 

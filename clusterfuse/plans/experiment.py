@@ -58,33 +58,49 @@ def grid(results: DataFrame) -> DataFrame:
     return results.groupBy("dim", "scenario").pivot("measure", list(K.MEASURES)).agg(F.first("value"))
 
 
-def time_measure(measure: str, pair, reps: int = 50) -> dict:
-    """Microseconds of one pair's measure: the first call, and the median of warm ones. js is computed literally and vr from determinants."""
-    (n1, m1, s1), (n2, m2, s2) = pair
-
-    def call():
-        return K.one_pair(measure, n1, m1, s1, n2, m2, s2)
-
+def _warm(call, reps: int) -> tuple[float, float]:
+    """Microseconds of the first call, and the median of the others."""
     took = []
     for _ in range(reps + 1):
         t = time.perf_counter()
         call()
         took.append((time.perf_counter() - t) * 1e6)
-    return {"cold": took[0], "warm": median(took[1:])}
+    return took[0], median(took[1:])
+
+
+def time_measure(measure: str, pair, reps: int = 50, batch: int = 64) -> dict:
+    """Microseconds of one pair's measure: the first call and the median of warm ones, by the kernel for single pairs (js
+    literally, vr from determinants), and by the kernel that the engine runs in Arrow batches: one pair alone, and a pair of ``batch``."""
+    (n1, m1, s1), (n2, m2, s2) = pair
+    cold, warm = _warm(lambda: K.one_pair(measure, n1, m1, s1, n2, m2, s2), reps)
+
+    def batched(k: int) -> float:
+        args = [np.repeat(np.asarray(x)[None], k, 0) for x in (n1, m1, s1, n2, m2, s2)]
+        return _warm(lambda: K.pair_measures(*args, (measure,)), max(3, reps // (1 if k == 1 else 8)))[1] / k
+
+    return {"cold": cold, "warm": warm, "engine_alone": batched(1), "engine": batched(batch)}
 
 
 def run_pair_grid(spark: SparkSession, dims=(2, 100), seed: int = 0, reps: int = 50) -> DataFrame:
-    """The whole comparison on generated clusters: dim, scenario, measure, value, micros, multiple, correct."""
+    """The whole comparison on generated clusters: dim, scenario, measure, value, micros, engine_micros, multiple, correct."""
     rows = []
     for dim in dims:
         for kind in "abcd":
             (n1, m1, s1), (n2, m2, s2) = pair = scenarios.generate(dim, kind, seed)
             values = K.pair_measures(np.array([n1]), m1[None], s1[None], np.array([n2]), m2[None], s2[None], K.MEASURES, True)
-            rows += [(dim, kind, m, float(values[m][0]), time_measure(m, pair, reps)["warm"]) for m in K.MEASURES]
-    df = spark.createDataFrame(rows, "dim int, scenario string, measure string, value double, micros double")
+            took = {m: time_measure(m, pair, reps) for m in K.MEASURES}
+            rows += [(dim, kind, m, float(values[m][0]), took[m]["warm"], took[m]["engine"]) for m in K.MEASURES]
+    df = spark.createDataFrame(rows, "dim int, scenario string, measure string, value double, micros double, engine_micros double")
     return multiples(detections(df))
 
 
+def compared_with_published(results: DataFrame) -> DataFrame:
+    """Verdicts of ``results`` beside the published ones: dim, scenario, measure, correct, published, agrees."""
+    own = detections(results.select("dim", "scenario", "measure", "value")).select("dim", "scenario", "measure", "correct")
+    theirs = detections(published(results.sparkSession)).select("dim", "scenario", "measure", F.col("correct").alias("published"))
+    return own.join(theirs, ["dim", "scenario", "measure"]).withColumn("agrees", F.col("correct") == F.col("published"))
+
+
 def cost_model(spark: SparkSession, dims=(1, 2, 4, 16, 64, 100)) -> DataFrame:
     """Rough operation counts of each measure."""
     return spark.createDataFrame([(d, m, float(K.flops(m, d))) for d in dims for m in K.MEASURES], "dim int, measure string, flops double")

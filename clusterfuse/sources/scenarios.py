@@ -58,20 +58,26 @@ def discs(li: DataFrame) -> DataFrame:
 
 
 def generate(dim: int, kind: str, seed: int = 0) -> list[tuple[int, np.ndarray, np.ndarray]]:
-    """Two exact clusters (n, mean, covariance) of scenario a (overlap), b (apart), c (small in large) or d (orthogonal)."""
+    """Two exact clusters (n, mean, covariance) of scenario a (overlap), b (apart), c (small in large) or d (orthogonal).
+
+    Centres lie 0.28 (a) or 3 (b) deviations apart on each axis, so that distances grow with D; d swaps a variance of 1 with
+    one of 0.05 between two directions of a common centre, turned by 0.3 radians in the plane and at random above."""
     rng = np.random.default_rng([seed, dim, ord(kind)])
     basis, _ = np.linalg.qr(rng.normal(size=(dim, dim)))
     lam = rng.uniform(0.5, 1.5, dim)
     turned = lambda x: (basis * x) @ basis.T
     mean, n = rng.normal(size=dim), 50 * dim
+    step = basis @ (np.sqrt(lam) * rng.choice([-1.0, 1.0], dim))
     if kind == "a":
-        return [(n, mean, turned(lam)), (n, mean + 0.3 * basis[:, 0], turned(lam * rng.uniform(0.95, 1.05, dim)))]
+        return [(n, mean, turned(lam)), (n, mean + 0.28 * step, turned(lam * rng.uniform(0.95, 1.05, dim)))]
     if kind == "b":
-        return [(n, mean, turned(lam)), (n, mean + 8 * np.sqrt(dim) * basis[:, 0], turned(lam))]
+        return [(n, mean, turned(lam)), (n, mean + 3 * step, turned(lam))]
     if kind == "c":
         return [(10 * n, mean, turned(lam * 100)), (n, mean + basis[:, 0], turned(lam))]
+    if dim == 2:
+        basis = np.array([[np.cos(0.3), -np.sin(0.3)], [np.sin(0.3), np.cos(0.3)]])
     one, two = lam.copy(), lam.copy()
-    one[0], two[1] = 40.0, 40.0
+    one[0] = two[1] = 1.0
     one[1] = two[0] = 0.05
     return [(n, mean, turned(one)), (n, mean, turned(two))]
 

@@ -6,7 +6,7 @@ import os
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -34,7 +34,17 @@ def store(df: DataFrame, name: str) -> DataFrame:
     df.write.parquet(path)
     where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Remove stored tables that nothing reads any more; other frames and None are passed over."""
+    for df in tables:
+        if path := getattr(df, "_stored_at", None):
+            where = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -43,10 +53,19 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("k", F.get_json_object("props", "$.k").cast("double")).withColumn("hour", F.hour("ts").cast("double"))
 
 
-def hashed_words(docs: DataFrame, buckets: int = 100) -> DataFrame:
-    """doc_id, lang and vec: square roots of the shares of words in md5 buckets."""
+def hashed_words(docs: DataFrame, buckets: int = 100, keys: tuple[str, ...] = ("doc_id", "lang")) -> DataFrame:
+    """``keys`` and vec: square roots of the shares of words in md5 buckets, counted inside the row, so that nothing is shuffled.
+
+    Rows without words have no vector and are left out."""
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
-    each = docs.select("doc_id", "lang", F.explode(words).alias("w")).withColumn("bucket", (F.conv(F.substring(F.md5(F.col("w").cast("binary")), 1, 8), 16, 10).cast("long") % buckets).cast("int"))
-    counts = each.groupBy("doc_id", "lang", "bucket").agg(F.count(F.lit(1)).alias("n"))
-    kept = counts.groupBy("doc_id", "lang").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "n"))).alias("m"), F.sum("n").alias("total"))
-    return kept.select("doc_id", "lang", F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda i: F.sqrt(F.coalesce(F.try_element_at("m", i), F.lit(0)) / F.col("total"))).alias("vec"))
+    bucket = lambda w: (F.conv(F.substring(F.md5(w.cast("binary")), 1, 8), 16, 10).cast("long") % buckets).cast("int")
+    # one mark of each bucket among the sorted buckets of the words: the distance of two marks tells how many lie between
+    marked = F.sort_array(F.concat(F.transform(words, bucket), F.sequence(F.lit(0), F.lit(buckets - 1))))
+
+    def shares(m: Column) -> Column:
+        at = F.concat(F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda i: F.array_position(m, i)), F.array((F.size(m) + 1).cast("long")))
+        total = (F.size(m) - buckets).cast("double")
+        counted = F.transform(F.array(at), lambda a: F.transform(F.sequence(F.lit(1), F.lit(buckets)), lambda i: F.sqrt((F.element_at(a, i + 1) - F.element_at(a, i) - 1) / total)))
+        return F.when(total > 0, F.element_at(counted, 1))
+
+    return docs.select(*keys, F.element_at(F.transform(F.array(marked), shares), 1).alias("vec")).filter("vec is not null")

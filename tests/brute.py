@@ -35,3 +35,29 @@ def maximal_cliques(nodes, edges):
     adjacent = {frozenset(e) for e in edges}
     cliques = [set(c) for k in range(1, len(nodes) + 1) for c in combinations(nodes, k) if all(frozenset(p) in adjacent for p in combinations(c, 2))]
     return sorted(sorted(c) for c in cliques if len(c) > 1 and not any(c < d for d in cliques))
+
+
+def fused(parts):
+    """n, mean, covariance of clusters (n, mean, cov) together."""
+    n = sum(p[0] for p in parts)
+    mean = sum(p[0] * p[1] for p in parts) / n
+    scatter = sum((p[0] - 1) * p[2] + p[0] * np.outer(p[1] - mean, p[1] - mean) for p in parts)
+    return n, mean, scatter / (n - 1)
+
+
+def iterative(clusters, threshold):
+    """Fuse the best pair until none lies below the threshold: member lists, rounds, pairs measured."""
+    now, rounds = {i: ([i], c) for i, c in enumerate(clusters)}, 1
+    value = {(i, j): measures(*now[i][1], *now[j][1])["o"] for i, j in combinations(sorted(now), 2)}
+    pairs = len(value)
+    while value and min(value.values()) < threshold:
+        i, j = min(value, key=lambda p: (value[p], p))
+        one, two = now.pop(i), now.pop(j)
+        value = {p: v for p, v in value.items() if not {i, j} & set(p)}
+        now[i] = (sorted(one[0] + two[0]), fused([one[1], two[1]]))
+        for k in now:
+            if k != i:
+                value[(min(i, k), max(i, k))] = measures(*now[i][1], *now[k][1])["o"]
+                pairs += 1
+        rounds += 1
+    return sorted(m for m, _ in now.values()), rounds, pairs
