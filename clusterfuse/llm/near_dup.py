@@ -13,10 +13,14 @@ a time are compared on full sets by an inverted list; only links between compone
 After that no two classes that share a bucket are unchecked. A link with similarity 0.75 shares no bucket with chance
 (1 - 0.75**6)**64 < 4e-6.
 
-Components are smallest-label propagation with pointer jumping, in tables of the shared folder. Null, empty and blank
-texts have no shingles and stay alone; a text of fewer than five words is one shingle; repeated rows give a row each; a
-row without doc_id belongs to the component of the texts with an equal set that have one. A set that only rows without
-doc_id hold links to nothing. An empty table gives an empty result. Columns other than doc_id and text are ignored.
+Links are found between classes, which have ids of their own, so doc_ids may be null or stand on several texts: each row
+belongs to its own text's class. The centre of a star is joined to its members in parts of at most ``PART`` of them, so
+neither a large star nor a large bucket is one task's work, and the centre's text travels once for each part.
+
+Components are smallest-label propagation with pointer jumping, in tables of the shared folder; a component is named by
+the smallest doc_id in it, null if no row of it has one. Null, empty and blank texts have no shingles and stay alone; a
+text of fewer than five words is one shingle; repeated rows give a row each. kept is doc_id = component_id (null ids
+count as equal to a null name). An empty table gives an empty result. Columns other than doc_id and text are ignored.
 """
 
 from __future__ import annotations
@@ -25,7 +29,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import BLANK, LOWER, UPPER, store, table
+from .common import BLANK, LOWER, UPPER, few, store, table, text_key, without_rows
 
 SHINGLE = 5
 BINS, BANDS = 384, 64
@@ -37,9 +41,9 @@ LINK = 75
 SCREEN = 0.60
 #: Sets and shingles of a tile, about.
 TILE_SETS, TILE_SHINGLES = 1000, 1_000_000
-#: Ids or keys that may be broadcast.
-FEW = 500_000
-SIGNED = "doc_id long, n_shingles long, set_hi long, set_lo long, bands array<long>, signature binary"
+#: Members of a star or bucket that meet their centre in one group.
+PART = 64
+SIGNED = "doc_id long, text_hash long, text_crc long, n_shingles long, set_hi long, set_lo long, bands array<long>, signature binary"
 
 _U = np.uint64
 _B = 0x9E3779B97F4A7C15 | 1
@@ -134,32 +138,43 @@ def signature(s: np.ndarray) -> np.ndarray:
 
 
 def signed(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, 128 bits that identify the set, band keys, one byte of each bin; bands and signature null without shingles."""
+    """doc_id, text_hash, text_crc, n_shingles, 128 bits that identify the set, band keys, one byte of each bin; bands and signature null without shingles."""
 
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
-            rows = [[], [], [], [], [], []]
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).cast(pa.binary())):
+            rows = [[], [], [], [], []]
+            for text in batch.column(3).cast(pa.binary()):
                 s = shingle_set(text.as_py() or b"")
                 if len(s):
                     bins = signature(s)
                     keys = (_mix(bins.reshape(BANDS, ROWS)) * _BAND).sum(axis=1, dtype=_U) + np.arange(BANDS, dtype=_U)
                     hi, lo = int(_mix(s).sum(dtype=_U).astype(np.int64)), int(np.bitwise_xor.reduce(_mix(s + _U(_B))).astype(np.int64))
-                    found = (doc, len(s), hi, lo, _mix(keys).astype(np.int64), (_mix(bins) & _U(255)).astype(np.uint8).tobytes())
+                    found = (len(s), hi, lo, _mix(keys).astype(np.int64), (_mix(bins) & _U(255)).astype(np.uint8).tobytes())
                 else:
-                    found = (doc, 0, 0, 0, None, None)
+                    found = (0, 0, 0, None, None)
                 for c, v in zip(rows, found):
                     c.append(v)
-            kinds = [pa.int64()] * 4 + [pa.list_(pa.int64()), pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(rows, kinds)], names=["doc_id", "n_shingles", "set_hi", "set_lo", "bands", "signature"])
+            kinds = [pa.int64()] * 3 + [pa.list_(pa.int64()), pa.binary()]
+            yield pa.RecordBatch.from_arrays([*[batch.column(k) for k in range(3)], *[pa.array(c, k) for c, k in zip(rows, kinds)]], names=["doc_id", "text_hash", "text_crc", "n_shingles", "set_hi", "set_lo", "bands", "signature"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, SIGNED)
+    return docs.select(F.col("doc_id").cast("long"), *text_key(), "text").mapInArrow(run, SIGNED)
 
 
-def _close(pairs: DataFrame) -> DataFrame:
-    """Pairs (a, b) of (a, b, sa, sb) that may be links: enough bins agree, by one byte of each."""
+def _parted(stars: DataFrame) -> DataFrame:
+    """Pairs (hub, rep) with ``part``: members of a star are dealt into parts of about PART, so that no hub is a hot key."""
+    large = stars.groupBy("hub").agg(F.count(F.lit(1)).alias("size")).filter(F.col("size") > PART)
+    sized = stars.join(few(store(large, "large-stars")), "hub", "left")
+    parts = F.coalesce(F.ceil(F.col("size") / PART), F.lit(1))
+    return sized.select("hub", "rep", F.pmod(F.xxhash64("rep"), parts).cast("int").alias("part"))
+
+
+def _close(stars: DataFrame, known: DataFrame) -> DataFrame:
+    """Pairs (hub, rep) that may be links: enough bins agree, by one byte of each. known: rep, signature."""
+    parted = store(_parted(stars), "parted")
+    hubs = parted.select("hub", "part").distinct().join(known.select(F.col("rep").alias("hub"), F.col("signature").alias("of_hub")), "hub")
+    both = parted.join(known, "rep").join(hubs, ["hub", "part"])
 
     def run(batches):
         import pyarrow as pa
@@ -168,9 +183,9 @@ def _close(pairs: DataFrame) -> DataFrame:
             if batch.num_rows:
                 one, two = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(-1, BINS) for k in (2, 3))
                 mask = pa.array((one == two).sum(axis=1) >= SCREEN * BINS)
-                yield pa.RecordBatch.from_arrays([batch.column(k).filter(mask) for k in (0, 1)], names=["a", "b"])
+                yield pa.RecordBatch.from_arrays([batch.column(k).filter(mask) for k in (0, 1)], names=["hub", "rep"])
 
-    return pairs.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
+    return both.select("hub", "rep", "signature", "of_hub").mapInArrow(run, "hub long, rep long")
 
 
 def _fits(n: Column, m: Column) -> Column:
@@ -178,28 +193,25 @@ def _fits(n: Column, m: Column) -> Column:
     return 100 * F.least(n, m) >= LINK * F.greatest(n, m)
 
 
-def _confirmed(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """Pairs (a, b) of class ids whose full sets are linked. texts: rep, text."""
+def _confirmed(close: DataFrame, texts: DataFrame) -> DataFrame:
+    """Links (a, b) among pairs (hub, rep): their full sets are compared, part by part of each star. texts: rep, text."""
+    parted = store(_parted(close), "parted")
+    members = parted.join(texts, "rep").select("hub", "part", "rep", "text")
+    hubs = parted.select("hub", "part").distinct().join(texts.select(F.col("rep").alias("hub"), "text"), "hub").select(F.col("hub").alias("centre"), F.col("part").alias("piece"), F.col("text").alias("of_centre"))
 
-    def run(batches):
+    def run(mine, centre):
         import pyarrow as pa
 
-        for batch in batches:
-            col = [batch.column(0).to_pylist(), batch.column(1).to_pylist()]
-            one, two = (batch.column(k).cast(pa.binary()) for k in (2, 3))
-            keep, last, of_last = [], None, None
-            for i, a in enumerate(col[0]):
-                if a != last:
-                    last, of_last = a, shingle_set(one[i].as_py() or b"")
-                other = shingle_set(two[i].as_py() or b"")
-                both = len(of_last) + len(other) - len(np.union1d(of_last, other))
-                keep.append(100 * both >= LINK * (len(of_last) + len(other) - both))
-            mask = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()).filter(mask) for c in col], names=["a", "b"])
-
-    first = pairs.join(texts.select(F.col("rep").alias("b"), F.col("text").alias("text_b")), "b")
-    both = first.join(texts.select(F.col("rep").alias("a"), F.col("text").alias("text_a")), "a")
-    return both.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
+        hub, linked = mine["hub"][0].as_py(), []
+        of_hub = shingle_set(centre["of_centre"].cast(pa.binary())[0].as_py() or b"")
+        for rep, text in zip(mine["rep"].to_pylist(), mine["text"].cast(pa.binary())):
+            other = shingle_set(text.as_py() or b"")
+            both = len(of_hub) + len(other) - len(np.union1d(of_hub, other))
+            if 100 * both >= LINK * (len(of_hub) + len(other) - both):
+                linked.append(rep)
+        return pa.table({"a": pa.array([min(hub, r) for r in linked], pa.int64()), "b": pa.array([max(hub, r) for r in linked], pa.int64())})
+
+    return members.groupBy("hub", "part").cogroup(hubs.groupBy("centre", "piece")).applyInArrow(run, "a long, b long")
 
 
 def components(links: DataFrame, name: str = "component") -> DataFrame:
@@ -225,11 +237,6 @@ def components(links: DataFrame, name: str = "component") -> DataFrame:
     return out
 
 
-def _few(df: DataFrame) -> DataFrame:
-    """Broadcast ``df``, a list of ids or keys, if its count allows that; otherwise Spark shuffles both sides."""
-    return F.broadcast(df) if df.limit(FEW + 1).count() <= FEW else df
-
-
 def _tile_links(members: DataFrame, texts: DataFrame) -> DataFrame:
     """Pairs (a, b) of labels that a link between two members (rep, n, label, cluster) of one cluster joins.
 
@@ -267,57 +274,91 @@ def _tile_links(members: DataFrame, texts: DataFrame) -> DataFrame:
     return dealt.groupBy("cluster", "i", "j").applyInArrow(run, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for each row of ``docs`` (doc_id, text)."""
+def _to_bucket(members: DataFrame, of_key: DataFrame) -> DataFrame:
+    """``members`` (key, m, rep, ...) with the columns of ``of_key`` (key, m, ...), one row for each key; large buckets meet it in parts of about PART * 8 members."""
+    parts = F.ceil(F.col("m") / (8 * PART)).cast("int")
+    dealt = members.withColumn("part", F.pmod(F.xxhash64("rep"), parts).cast("int"))
+    copies = of_key.withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("m")
+    return dealt.join(copies, ["key", "part"]).drop("part")
+
+
+def labelled(docs: DataFrame) -> DataFrame:
+    """near_duplicates with text_hash and text_crc, which tell the rows of one doc_id apart, and an id of the component that is there without doc_ids too."""
     rows = store(signed(docs).withColumn("row_key", F.monotonically_increasing_id()), "signed")
     key = ["n_shingles", "set_hi", "set_lo"]
-    # classes of equal sets, named by their least doc_id; the hot ones are added up before they are shuffled
-    members = rows.filter("n_shingles > 0").select("doc_id", "row_key", *key)
-    classes = store(members.groupBy(*key).agg(F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "row_key"))).alias("first")).select(*key, F.col("first.doc_id").alias("rep"), F.col("first.row_key").alias("row_key")), "classes")
+    # classes of equal sets, named by a row of theirs; the hot ones are added up before they are shuffled
+    members = rows.filter("n_shingles > 0").select("doc_id", "row_key", "text_hash", "text_crc", *key)
+    first = F.min(F.struct("row_key", "text_hash", "text_crc")).alias("first")
+    classes = store(members.groupBy(*key).agg(first, F.min("doc_id").alias("least")).select(*key, F.col("first.row_key").alias("rep"), F.col("first.text_hash").alias("text_hash"), F.col("first.text_crc").alias("text_crc"), "least"), "classes")
     # one row for a class: its bands and signature come from its first row
-    chosen = classes.filter(F.col("rep").isNotNull()).select("rep", "row_key")
-    reps = rows.join(_few(chosen), "row_key").select("rep", F.col("n_shingles").alias("n"), "bands", "signature")
+    reps = rows.withColumnRenamed("row_key", "rep").join(few(classes.select("rep")), "rep").select("rep", F.col("n_shingles").alias("n"), "bands", "signature")
     entries = reps.select("rep", "n", F.explode("bands").alias("key"))
     crowded = store(entries.groupBy("key").agg(F.count(F.lit(1)).alias("m")).filter("m > 1"), "crowded")
-    buckets = store(entries.join(_few(crowded), "key"), "buckets")
+    buckets = store(entries.join(few(crowded), "key"), "buckets")
     # the centre of a star: the class that meets most others, which is the likeliest to be linked to them
     degree = buckets.groupBy("rep").agg(F.sum("m").alias("degree"))
-    ranked = buckets.join(degree, "rep").groupBy("key").agg(F.max(F.struct("degree", (-F.col("rep")).alias("low"), "n")).alias("hub"))
-    starred = store(buckets.join(ranked.select("key", (-F.col("hub.low")).alias("hub"), F.col("hub.n").alias("hub_n")), "key"), "starred")
-    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), "text")
-
-    def only(df: DataFrame, needed: DataFrame) -> DataFrame:
-        """Rows of ``df`` whose rep is needed, before anything of them is shuffled."""
-        return df.join(_few(store(needed.distinct(), "needed")), "rep", "left_semi")
-
-    ends = lambda pairs: pairs.select(F.col("a").alias("rep")).union(pairs.select("b"))
-    star = store(starred.filter((F.col("rep") != F.col("hub")) & _fits(F.col("n"), F.col("hub_n"))).select(F.least("hub", "rep").alias("a"), F.greatest("hub", "rep").alias("b")).distinct(), "star")
-    known = only(reps.select("rep", "signature"), ends(star))
-    screened = star.join(known.select(F.col("rep").alias("a"), F.col("signature").alias("sa")), "a").join(known.select(F.col("rep").alias("b"), F.col("signature").alias("sb")), "b")
-    close = store(_close(screened), "close")
-    links = store(_confirmed(close, only(texts, ends(close)).dropDuplicates(["rep"])), "links")
+    hubs = buckets.join(degree, "rep").groupBy("key").agg(F.max("m").alias("m"), F.max(F.struct("degree", (-F.col("rep")).alias("low"), "n")).alias("top"))
+    hubs = hubs.select("key", "m", (-F.col("top.low")).alias("hub"), F.col("top.n").alias("hub_n"))
+    starred = store(_to_bucket(buckets, hubs), "starred")
+
+    def texts_of(needed: DataFrame) -> DataFrame:
+        """rep, text of the classes in ``needed`` (rep): texts that are not needed are left out before anything is shuffled."""
+        wanted = store(classes.select("rep", "text_hash", "text_crc").join(few(store(needed.distinct(), "needed")), "rep", "left_semi"), "wanted")
+        found = docs.select(*text_key(), "text").join(few(wanted), ["text_hash", "text_crc"])
+        return found.select("rep", "text").dropDuplicates(["rep"])
+
+    ends = lambda pairs: pairs.select(F.col("hub").alias("rep")).union(pairs.select("rep"))
+    star = store(starred.filter((F.col("rep") != F.col("hub")) & _fits(F.col("n"), F.col("hub_n"))).select("hub", "rep").distinct(), "star")
+    known = reps.select("rep", "signature").join(few(store(ends(star).distinct(), "ends")), "rep", "left_semi")
+    close = store(_close(star, known), "close")
+    links = store(_confirmed(close, texts_of(ends(close))), "links")
     label = components(links, "first")
     # what stars can miss: buckets of three or more that still hold several components
-    wide = starred.filter("m > 2").select("key", "rep", "n").join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").withColumn("label", F.coalesce("label", "rep"))
-    mixed = wide.groupBy("key").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least <> most")
-    open_ = store(wide.join(mixed.select("key", "least"), "key"), "open")
+    wide = starred.filter("m > 2").select("key", "m", "rep", "n").join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").withColumn("label", F.coalesce("label", "rep"))
+    mixed = wide.groupBy("key").agg(F.max("m").alias("m"), F.min("label").alias("lowest"), F.max("label").alias("highest")).filter("lowest <> highest").select("key", "m", "lowest")
+    open_ = store(_to_bucket(wide, mixed), "open")
     if not open_.isEmpty():
         # components that meet in a bucket are one cluster: links between labels, not between ids
-        clusters = components(open_.select(F.col("least").alias("a"), F.col("label").alias("b")), "cluster")
+        clusters = components(open_.select(F.col("lowest").alias("a"), F.col("label").alias("b")), "cluster")
         inside = open_.select("rep", "n", "label").distinct().join(clusters.select(F.col("id").alias("label"), F.col("label").alias("cluster")), "label")
-        found = store(_tile_links(inside, only(texts, inside.select("rep")).dropDuplicates(["rep"])), "tile-links")
+        found = store(_tile_links(inside, texts_of(inside.select("rep"))), "tile-links")
         if not found.isEmpty():
             # found links name the labels that they join
             later = components(found, "second").select(F.col("id").alias("label"), F.col("label").alias("later"))
             alone = later.select(F.col("label").alias("id")).join(label.select("id"), "id", "left_anti")
             label = label.union(alone.select("id", F.col("id").alias("label")))
             label = label.join(later, "label", "left").select("id", F.coalesce("later", "label").alias("label"))
-    named = members.join(classes.drop("row_key"), key).select("doc_id", "n_shingles", "rep")
-    linked = named.join(label.select(F.col("id").alias("rep"), "label"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("label", "rep").alias("component_id"))
-    alone = rows.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+    # a component's name: the least doc_id of its classes
+    joined = store(label.select(F.col("id").alias("rep"), "label").join(classes.select("rep", "least"), "rep"), "labels")
+    names = joined.select("rep", "label").join(joined.groupBy("label").agg(F.min("least").alias("name")), "label").select("rep", "label", "name")
+    one = F.col("label").isNull()
+    named = classes.select(*key, "rep", "least").join(names, "rep", "left").select(*key, F.coalesce("label", "rep").alias("component"), F.when(one, F.col("least")).otherwise(F.col("name")).alias("component_id"))
+    linked = members.join(named, key).select("doc_id", "text_hash", "text_crc", "n_shingles", "component", "component_id")
+    alone = rows.filter("n_shingles = 0").select("doc_id", "text_hash", "text_crc", "n_shingles", F.lit(None).cast("long").alias("component"), F.col("doc_id").alias("component_id"))
     return linked.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def near_duplicates(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept for each row of ``docs`` (doc_id, text)."""
+    return labelled(docs).select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def without_copies(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs``, with the caller's columns alone, without near copies: of each component one row stays.
+
+    It is the row with the least doc_id (rows with an id before those without), then the least hash of its text; of equal
+    rows any one. Rows without shingles stay."""
+    found = store(labelled(docs.select("doc_id", "text")).filter("n_shingles > 0").select("component", "doc_id", "text_hash", "text_crc"), "labelled")
+    row = ["doc_id", "text_hash", "text_crc"]
+    order = F.struct(F.col("doc_id").isNull().alias("last"), *row)
+    stays = found.groupBy("component").agg(F.min(order).alias("s")).select("s.doc_id", "s.text_hash", "s.text_crc", F.lit(True).alias("stays"))
+    counts = found.groupBy(*row).agg(F.count(F.lit(1)).alias("rows")).alias("c")
+    s = stays.alias("s")
+    same = F.col("c.doc_id").eqNullSafe(F.col("s.doc_id")) & (F.col("c.text_hash") == F.col("s.text_hash")) & (F.col("c.text_crc") == F.col("s.text_crc"))
+    told = store(counts.join(s, same, "left").select(*[F.col(f"c.{c}") for c in row], "rows", F.coalesce("stays", F.lit(False)).alias("stays")), "told")
+    return without_rows(docs, told.filter("not stays").select(*row), told.filter("stays and rows > 1").select(*row))
+
+
 _WORDS = rf"list_filter(string_split_regex(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '{BLANK}'), lambda x: x <> '')"
 ORACLE_SQL = f"""
 WITH RECURSIVE d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
