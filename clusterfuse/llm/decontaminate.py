@@ -5,7 +5,7 @@ benchmark's vocabulary (other words can't take part in a match), and one mark at
 A phrase is looked up from its rarest words: the postings of the rarest give candidate starts (place less offset), the
 list of the second rarest is intersected with them at its own offset, and only what is left meets the lists of the other
 words. What stays has every word at its place: exact occurrences. ``proximity_matches`` finds items whose rarest words
-lie close together in any order.
+lie close together in any order, which the result counts beside the exact phrases.
 
 Benchmark tables are broadcast only when a count shows that they have at most ``SMALL`` rows; otherwise Spark joins them
 like any table. Null and empty texts have no words: such documents are clean, such items have no window. Repeated rows
@@ -18,11 +18,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import LOWER, UPPER, let, plain_words, store, table
+from .common import LOWER, UPPER, let, plain_words, store, table, text_key, without_texts
 
 WINDOW = 10
 SMALL = 500_000
 MARK = "\x00"
+#: Proximity: so many of an item's rarest words within so many words of a text.
+NEAR_TERMS, NEAR_SPAN = 3, 20
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -41,7 +43,7 @@ def benchmark_windows(items: DataFrame, window: int = WINDOW) -> DataFrame:
 
 def build_index(docs: DataFrame, vocabulary: DataFrame) -> DataFrame:
     """Postings of ``docs`` (doc_id, text) for the words of ``vocabulary`` (term, code from 1); code 0 marks documents."""
-    with_mark = vocabulary.unionByName(docs.sparkSession.range(1).select(F.lit(MARK).alias("term"), F.lit(0).alias("code")))
+    with_mark = vocabulary.unionByName(docs.sparkSession.range(1).select(F.lit(MARK).alias("term"), F.lit(0).cast("long").alias("code")))
     words = let(plain_words(F.col("text")), lambda w: F.struct(F.size(w).alias("n"), F.concat(F.array(F.lit(MARK)), w).alias("w")))
     places = docs.select(F.monotonically_increasing_id().alias("row_key"), "doc_id", words.alias("x")).select("row_key", "doc_id", F.col("x.n").alias("n"), F.posexplode("x.w").alias("pos", "term"))
     at_mark = lambda c: F.when(F.col("code") == 0, F.col(c))
@@ -49,9 +51,9 @@ def build_index(docs: DataFrame, vocabulary: DataFrame) -> DataFrame:
 
 
 def vocabulary_of(windows: DataFrame) -> DataFrame:
+    """Distinct words of the windows (term) with a ``code`` from 1; codes are unique, not gapless, and given without gathering the words."""
     terms = windows.select(F.explode("terms").alias("term")).distinct()
-    # the benchmark's words alone, which the training text does not add to
-    return store(terms.withColumn("code", F.row_number().over(Window.orderBy("term"))), "vocabulary")
+    return store(terms.withColumn("code", F.monotonically_increasing_id() + 1), "vocabulary")
 
 
 def probe_order(windows: DataFrame, vocabulary: DataFrame, index: DataFrame) -> DataFrame:
@@ -82,23 +84,29 @@ def phrase_matches(index: DataFrame, probes: DataFrame) -> DataFrame:
     return whole.union(two.filter("size <= 2"))
 
 
-def proximity_matches(index: DataFrame, vocabulary: DataFrame, items: DataFrame, terms: int = 3, span: int = 20) -> DataFrame:
-    """Items whose ``terms`` rarest distinct words lie within ``span`` words of a text, in any order: row_key, item_id, first_pos."""
-    counts = index.filter("code > 0").groupBy("code").agg(F.count(F.lit(1)).alias("n"))
-    words = items.select("item_id", F.explode(F.array_distinct(plain_words(F.col("text")))).alias("term")).join(vocabulary, "term").join(counts, "code")
-    order = Window.partitionBy("item_id").orderBy("n", "code")
-    rare = store(words.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= terms).withColumn("k", F.count(F.lit(1)).over(Window.partitionBy("item_id"))).select("item_id", "code", "k"), "rare-words")
-    near = index.select("row_key", "pos", "code").join(_small(rare), "code")
+def proximity_matches(index: DataFrame, vocabulary: DataFrame, items: DataFrame, terms: int = NEAR_TERMS, span: int = NEAR_SPAN) -> DataFrame:
+    """Items whose ``terms`` rarest distinct words (of those that occur; ties: the smaller word) lie within ``span`` words of a text, in any order.
+
+    row_key, item_id, first_pos. An item with fewer such words needs all of them; one without any matches nowhere."""
+    counts = store(index.filter("code > 0").groupBy("code").agg(F.count(F.lit(1)).alias("n")), "term-counts")
+    words = items.select("item_id", F.explode(F.array_distinct(plain_words(F.col("text")))).alias("term")).join(_small(vocabulary), "term").join(_small(counts), "code")
+    order = Window.partitionBy("item_id").orderBy("n", "term")
+    ranked = words.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= terms)
+    rare = store(ranked.withColumn("k", F.count(F.lit(1)).over(Window.partitionBy("item_id"))).select("item_id", "code", "k"), "rare-words")
+    near = index.filter("code > 0").select("row_key", "pos", "code").join(_small(rare), "code")
     # a place belongs to its own stretch and the one before it, so each span lies whole in one; a stretch has 2 * span places
     stretch = F.explode(F.array(F.floor(F.col("pos") / span), F.floor(F.col("pos") / span) - 1)).alias("stretch")
     held = near.select("row_key", "item_id", "k", "pos", "code", stretch).groupBy("row_key", "item_id", "k", "stretch").agg(F.sort_array(F.collect_set(F.struct("pos", "code"))).alias("at"))
+    held = held.filter(F.size("at") >= F.col("k"))
     from_here = lambda e: F.size(F.array_distinct(F.transform(F.filter("at", lambda x: (x["pos"] >= e["pos"]) & (x["pos"] < e["pos"] + span)), lambda x: x["code"])))
     first = F.get(F.filter("at", lambda e: from_here(e) == F.col("k")), F.lit(0))["pos"]
     return held.select("row_key", "item_id", first.alias("first_pos")).filter("first_pos is not null").groupBy("row_key", "item_id").agg(F.min("first_pos").alias("first_pos"))
 
 
 def contamination(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """One row for each document: row_key, doc_id, n_words, n_hit, n_items, items_sha256, contaminated."""
+    """One row for each document: row_key, doc_id, n_words, n_hit, n_items, items_sha256, contaminated; and n_near, near_sha256 of the items close by.
+
+    Only exact phrases make a document contaminated."""
     windows = store(benchmark_windows(items), "windows")
     vocabulary = vocabulary_of(windows)
     index = build_index(docs, vocabulary)
@@ -107,11 +115,19 @@ def contamination(docs: DataFrame, items: DataFrame) -> DataFrame:
     hit = found.select("row_key", F.explode(F.sequence("start", F.col("start") + F.col("size") - 1)).alias("pos")).distinct().groupBy("row_key").agg(F.count(F.lit(1)).alias("n_hit"))
     which = found.select("row_key", "wid").distinct().join(_small(probes.select("wid", "item_ids")), "wid")
     which = which.select("row_key", F.explode("item_ids").alias("item_id")).groupBy("row_key").agg(F.sort_array(F.collect_set(F.col("item_id").cast("string"))).alias("ids"))
+    close = proximity_matches(index, vocabulary, items).groupBy("row_key").agg(F.sort_array(F.collect_set(F.col("item_id").cast("string"))).alias("near"))
     marks = index.filter("code = 0").select("row_key", "doc_id", "n_words")
-    out = marks.join(hit, "row_key", "left").join(which, "row_key", "left")
+    out = marks.join(hit, "row_key", "left").join(which, "row_key", "left").join(close, "row_key", "left")
     n = F.coalesce("n_hit", F.lit(0)).cast("long")
-    ids = F.coalesce("ids", F.array().cast("array<string>"))
-    return out.select("row_key", "doc_id", "n_words", n.alias("n_hit"), F.size(ids).cast("long").alias("n_items"), F.sha2(F.array_join(ids, ",").cast("binary"), 256).alias("items_sha256"), (n > 0).alias("contaminated"))
+    ids, near = (F.coalesce(c, F.array().cast("array<string>")) for c in ("ids", "near"))
+    digest = lambda of: F.sha2(F.array_join(of, ",").cast("binary"), 256)
+    return out.select("row_key", "doc_id", "n_words", n.alias("n_hit"), F.size(ids).cast("long").alias("n_items"), digest(ids).alias("items_sha256"), (n > 0).alias("contaminated"), F.size(near).cast("long").alias("n_near"), digest(near).alias("near_sha256"))
+
+
+def without_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """The rows of ``docs``, with the caller's columns alone, whose text holds no window of ``items``."""
+    texts = docs.select(F.struct(*text_key()).alias("doc_id"), "text")
+    return without_texts(docs, contamination(texts, items).filter("contaminated").select("doc_id.*"))
 
 
 def query(spark, sf_dir):
@@ -127,9 +143,17 @@ sizes AS (SELECT DISTINCT len(terms) AS k FROM win),
 grams AS (SELECT doc_id, s, w[s:s + k - 1] AS terms, k FROM (SELECT doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS s FROM d, sizes WHERE len(w) >= k)),
 occ AS (SELECT g.doc_id, g.s, g.k, win.item_id FROM grams g JOIN win ON win.terms = g.terms),
 hit AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + k)) AS p FROM occ) GROUP BY doc_id),
-ids AS (SELECT doc_id, list_sort(list(DISTINCT CAST(item_id AS VARCHAR))) AS l FROM occ GROUP BY doc_id)
+ids AS (SELECT doc_id, list_sort(list(DISTINCT CAST(item_id AS VARCHAR))) AS l FROM occ GROUP BY doc_id),
+post AS (SELECT doc_id, unnest(w) AS term, generate_subscripts(w, 1) AS pos FROM d),
+cnt AS (SELECT term, count(*) AS n FROM post GROUP BY term),
+rare AS (SELECT item_id, term, count(*) OVER (PARTITION BY item_id) AS k FROM (SELECT item_id, term, row_number() OVER (PARTITION BY item_id ORDER BY n, term) AS r
+  FROM (SELECT DISTINCT item_id, unnest(w) AS term FROM b) JOIN cnt USING (term)) WHERE r <= {NEAR_TERMS}),
+spot AS (SELECT doc_id, item_id, k, pos, term FROM post JOIN rare USING (term)),
+met AS (SELECT DISTINCT doc_id, item_id FROM (SELECT x.doc_id, x.item_id, x.pos, x.k FROM spot x JOIN spot y ON x.doc_id = y.doc_id AND x.item_id = y.item_id AND y.pos BETWEEN x.pos AND x.pos + {NEAR_SPAN - 1}
+  GROUP BY x.doc_id, x.item_id, x.pos, x.k HAVING count(DISTINCT y.term) = x.k)),
+near AS (SELECT doc_id, list_sort(list(DISTINCT CAST(item_id AS VARCHAR))) AS m FROM met GROUP BY doc_id)
 SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit,
   CAST(coalesce(len(l), 0) AS BIGINT) AS n_items, sha256(coalesce(array_to_string(l, ','), '')) AS items_sha256,
-  coalesce(n_hit, 0) > 0 AS contaminated
-FROM d LEFT JOIN hit USING (doc_id) LEFT JOIN ids USING (doc_id)
+  coalesce(n_hit, 0) > 0 AS contaminated, CAST(coalesce(len(m), 0) AS BIGINT) AS n_near, sha256(coalesce(array_to_string(m, ','), '')) AS near_sha256
+FROM d LEFT JOIN hit USING (doc_id) LEFT JOIN ids USING (doc_id) LEFT JOIN near USING (doc_id)
 """
