@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import let, plain_words, table
+from .common import LOWER, UPPER, let, plain_words, store, table
 
 # Phrases that name a licence, and opening or operative passages of well-known licence texts.
 BASE_PHRASES = [("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl")]
@@ -93,7 +93,9 @@ def license_spans(docs: DataFrame) -> DataFrame:
     start = F.when(F.col("k") == 0, 0).when(F.col("k") == PHRASE_K, F.col("at") - 1).otherwise(F.col("at") - 1 - two)
     votes = hit.withColumn("start", start).withColumn("diagonal", F.col("start") - F.col("t_pos"))
     by = ["row_key", "doc_id", "n_words", "template", "label", "base", "k", "n_template", "n_grams"]
-    diagonals = votes.groupBy(*by, "diagonal").agg(F.count(F.lit(1)).alias("votes"), F.min("start").alias("lo"), F.max("start").alias("hi"), F.collect_set("t_pos").alias("met"))
+    summed = votes.groupBy(*by, "diagonal").agg(F.count(F.lit(1)).alias("votes"), F.min("start").alias("lo"), F.max("start").alias("hi"), F.collect_set("t_pos").alias("met"))
+    # phrases and spans both read them: a small table, so that texts are split and hashed once
+    diagonals = store(summed, "diagonals")
     phrases = diagonals.filter((F.col("k") <= PHRASE_K) & (F.col("votes") == F.col("n_grams")))
     exact = phrases.select("row_key", "doc_id", "n_words", "label", "base", (F.col("k") == PHRASE_K).alias("exact"), F.col("diagonal").alias("first_word"), (F.col("diagonal") + F.col("n_template") - 1).alias("last_word"), F.lit(1.0).alias("share"))
     whole = Window.partitionBy("row_key", "template").orderBy("diagonal")
@@ -125,3 +127,27 @@ def license_labels(docs: DataFrame) -> DataFrame:
 
 def query(spark, sf_dir):
     return license_labels(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+_WORDS = rf"list_filter(string_split_regex(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '')"
+_TEMPLATES = ", ".join(f"({n}, '{label}', {str(base).lower()}, {k}, string_split('{body}', ' '))" for n, (label, base, k, body) in enumerate([*((l, True, PHRASE_K, p) for p, l in BASE_PHRASES), *((l, False, PHRASE_K, p) for p, l in MORE_PHRASES), *((l, False, TEXT_K, t) for l, t in TEXTS)]))
+#: From the definition: phrases are compared word by word, k-grams are texts and not hashes.
+ORACLE_SQL = f"""
+WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+t(template, label, base, k, tw) AS (VALUES {_TEMPLATES}),
+two AS (SELECT doc_id, w, unnest(range(1, len(w))) AS i FROM d),
+phrase AS (SELECT doc_id, label, base, i - 1 AS at, 1.0::DOUBLE AS share FROM two JOIN t ON t.k = {PHRASE_K} AND w[i] = tw[1] AND w[i + 1] = tw[2] WHERE w[i:i + len(tw) - 1] = tw),
+dg AS (SELECT doc_id, i, array_to_string(w[i:i + {TEXT_K - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - {TEXT_K - 2})) AS i FROM d)),
+tg AS (SELECT template, label, base, len(tw) AS size, j, array_to_string(tw[j:j + {TEXT_K - 1}], ' ') AS g FROM (SELECT *, unnest(range(1, len(tw) - {TEXT_K - 2})) AS j FROM t WHERE k = {TEXT_K})),
+vote AS (SELECT doc_id, template, label, base, size, i - j AS diagonal, i, j FROM dg JOIN tg USING (g)),
+lines AS (SELECT DISTINCT doc_id, template, diagonal FROM vote),
+fresh AS (SELECT *, CASE WHEN diagonal - lag(diagonal) OVER (PARTITION BY doc_id, template ORDER BY diagonal) <= {MERGE} THEN 0 ELSE 1 END AS new FROM lines),
+spans AS (SELECT doc_id, template, diagonal, sum(new) OVER (PARTITION BY doc_id, template ORDER BY diagonal ROWS UNBOUNDED PRECEDING) AS span FROM fresh),
+under AS (SELECT DISTINCT doc_id, template, span, label, base, size, unnest(range(j, j + {TEXT_K})) AS word FROM vote JOIN spans USING (doc_id, template, diagonal)),
+body AS (SELECT doc_id, label, base, count(*) * 1.0::DOUBLE / size AS share FROM under GROUP BY doc_id, template, span, label, base, size HAVING count(*) * 1.0::DOUBLE / size >= {SHARE}),
+every AS (SELECT doc_id, label, base, at, share FROM phrase UNION ALL SELECT doc_id, label, base, NULL, share FROM body)
+SELECT d.doc_id, CAST(len(any_value(d.w)) AS BIGINT) AS n_words, CAST(count(*) FILTER (WHERE base) AS BIGINT) AS n_base,
+  CAST(min(at) FILTER (WHERE base) AS BIGINT) AS first_word, CAST(max(at) FILTER (WHERE base) AS BIGINT) AS last_word,
+  coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (WHERE base), '') AS base_labels, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS labels, coalesce(max(share), 0.0::DOUBLE) AS score
+FROM d LEFT JOIN every USING (doc_id) GROUP BY d.doc_id
+"""
