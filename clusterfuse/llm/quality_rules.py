@@ -17,7 +17,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import blank_words, let, table
+from ..functions.columns import struct_of
+from .common import blank_words, let, table, unused
 
 WINDOW = 8
 SYMBOLS = r"[#*$%&|<>]"
@@ -54,42 +55,41 @@ def _repeated(h: Column) -> Column:
     return let(windows, lambda win: F.when(F.size(F.array_distinct(win)) == F.size(win), F.lit(0)).otherwise(covered(win)))
 
 
-def with_statistics(docs: DataFrame) -> DataFrame:
-    """``docs`` with ``q``: a struct of the counts that the base rule and the list use."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    lines = F.filter(F.split(text, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    of_lines = let(lines, lambda a: F.struct(F.size(a).alias("n_lines"), (F.size(a) - F.size(F.array_distinct(a))).alias("n_dup")))
+def statistics(text: Column) -> Column:
+    """A struct of the counts that the base rule and the list use; no helper column meets the caller's."""
+    whole = F.coalesce(text, F.lit(""))
+    lines = F.filter(F.split(whole, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    of_lines = let(lines, lambda a: struct_of(n=F.size(a), dup=F.size(a) - F.size(F.array_distinct(a))))
+
+    def same_next(h: Column) -> Column:
+        start = struct_of(p=F.lit(None).cast("bigint"), n=F.lit(0))
+        return F.aggregate(h, start, lambda a, x: struct_of(p=x, n=a["n"] + x.eqNullSafe(a["p"]).cast("int")))["n"]
 
     def of_words(w: Column) -> Column:
-        return F.struct(
-            F.size(w).alias("n"),
-            F.char_length(F.array_join(w, "")).alias("chars"),
-            let(F.transform(w, lambda x: F.xxhash64(x)), lambda h: F.struct(_repeated(h).alias("repeat"), F.size(F.array_distinct(h)).alias("distinct"), F.aggregate(h, F.struct(F.lit(None).cast("bigint").alias("p"), F.lit(0).alias("n")), lambda a, x: F.struct(x.alias("p"), (a["n"] + (x.eqNullSafe(a["p"])).cast("int")).alias("n")))["n"].alias("same"))).alias("h"),
+        hashed = let(F.transform(w, lambda x: F.xxhash64(x)), lambda h: struct_of(repeat=_repeated(h), distinct=F.size(F.array_distinct(h)), same=same_next(h)))
+        return struct_of(n=F.size(w), chars=F.char_length(F.array_join(w, "")), h=hashed)
+
+    def all_of(c: Column) -> Column:
+        w, l, symbols = c["w"], c["l"], c["symbols"]
+        n, one = w["n"].cast("double"), F.greatest(w["n"].cast("double"), F.lit(1.0))
+        per_line = F.greatest(l["n"].cast("double"), F.lit(1.0))
+        return struct_of(
+            n_words_=w["n"].cast("long"),
+            word_chars=w["chars"].cast("long"),
+            n_symbols=symbols.cast("long"),
+            n_dup_lines=l["dup"].cast("long"),
+            n_repeat_words=w["h"]["repeat"].cast("long"),
+            n_words=n,
+            word_length=w["chars"] / one,
+            symbol_share=symbols / one,
+            dup_line_share=l["dup"] / per_line,
+            repeat_share=w["h"]["repeat"] / one,
+            distinct_share=w["h"]["distinct"] / one,
+            same_next_share=w["h"]["same"] / one,
+            words_a_line=n / per_line,
         )
 
-    x = docs.withColumn("q_words", let(blank_words(F.col("text")), of_words)).withColumn("q_lines", of_lines)
-    w, l = F.col("q_words"), F.col("q_lines")
-    n, one = w["n"].cast("double"), F.greatest(w["n"].cast("double"), F.lit(1.0))
-    symbols = F.regexp_count(text, F.lit(SYMBOLS))
-    per_line = F.greatest(l["n_lines"].cast("double"), F.lit(1.0))
-    return x.withColumn(
-        "q",
-        F.struct(
-            w["n"].cast("long").alias("n_words_"),
-            w["chars"].cast("long").alias("word_chars"),
-            symbols.cast("long").alias("n_symbols"),
-            l["n_dup"].cast("long").alias("n_dup_lines"),
-            w["h"]["repeat"].cast("long").alias("n_repeat_words"),
-            n.alias("n_words"),
-            (w["chars"] / one).alias("word_length"),
-            (symbols / one).alias("symbol_share"),
-            (l["n_dup"] / per_line).alias("dup_line_share"),
-            (w["h"]["repeat"] / one).alias("repeat_share"),
-            (w["h"]["distinct"] / one).alias("distinct_share"),
-            (w["h"]["same"] / one).alias("same_next_share"),
-            (n / per_line).alias("words_a_line"),
-        ),
-    ).drop("q_words", "q_lines")
+    return let(struct_of(w=let(blank_words(text), of_words), l=of_lines, symbols=F.regexp_count(whole, F.lit(SYMBOLS))), all_of)
 
 
 @dataclass(frozen=True)
@@ -176,7 +176,7 @@ def learn_from(docs: DataFrame, labels: DataFrame, limit: int = MAX_LABELLED) ->
     """The list learned from at most ``limit`` labelled documents (labels: doc_id, quality 0 or 1)."""
     sample = labels.filter(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", "quality").orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(limit)
     known = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id")  # bounded by ``limit``
-    found = with_statistics(known).select("doc_id", (F.col("quality") == 0).alias("low"), "q.*").collect()
+    found = known.select("doc_id", (F.col("quality") == 0).alias("low"), statistics(F.col("text")).alias("q")).select("doc_id", "low", "q.*").orderBy(F.xxhash64("doc_id"), "doc_id", "low", *FEATURES).limit(limit).collect()
     return learn([{k: r[k] for k in [*FEATURES, "low"]} for r in sorted(found, key=lambda r: (hash_place(r["doc_id"]), r["low"]))])
 
 
@@ -195,17 +195,31 @@ def list_column(rules: list[Rule], of: Column) -> Column:
     return out.otherwise(0)
 
 
-def judged(docs: DataFrame, rules: list[Rule]) -> DataFrame:
-    """``docs`` with q, base_failed, rule (0: none) and kept."""
-    x = with_statistics(docs)
-    q = F.col("q")
-    failed = (q["n_words_"] < 20) | (100 * q["n_repeat_words"] > 30 * q["n_words_"])
-    x = x.withColumn("base_failed", failed).withColumn("rule", list_column(rules, q))
-    return x.withColumn("kept", ~F.col("base_failed") & (F.col("rule") == 0))
+def verdict(text: Column, rules: list[Rule]) -> Column:
+    """A struct: q (statistics), base_failed, rule (place of the first that rejects, 0: none), kept."""
+
+    def judge(q: Column) -> Column:
+        failed = (q["n_words_"] < 20) | (100 * q["n_repeat_words"] > 30 * q["n_words_"])
+        rule = list_column(rules, q)
+        return struct_of(q=q, base_failed=failed, rule=rule, kept=~failed & (rule == 0))
+
+    return let(statistics(text), judge)
+
+
+def judged(docs: DataFrame, rules: list[Rule], name: str = "verdict") -> DataFrame:
+    """``docs`` with one more column ``name``, the verdict; a caller's column of that name is an error, not overwritten."""
+    if unused(docs.columns, name) != name:
+        raise ValueError(f"there is a column {name} already")
+    return docs.withColumn(name, verdict(F.col("text"), rules))
+
+
+def kept(docs: DataFrame, rules: list[Rule]) -> DataFrame:
+    """The rows of ``docs`` that the base rule and the list keep, with the caller's columns alone."""
+    return docs.filter(verdict(F.col("text"), rules)["kept"])
 
 
 def query(spark, sf_dir):
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     out = judged(docs, learn_from(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
-    q = F.col("q")
-    return out.select("doc_id", q["n_words_"].alias("n_words"), q["word_chars"].alias("word_chars"), q["n_symbols"].alias("n_symbols"), q["n_dup_lines"].alias("n_dup_lines"), q["n_repeat_words"].alias("n_repeat_words"), "base_failed", "kept", "rule")
+    v, q = F.col("verdict"), F.col("verdict.q")
+    return out.select("doc_id", q["n_words_"].alias("n_words"), *[q[c].alias(c) for c in ("word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], v["base_failed"].alias("base_failed"), v["kept"].alias("kept"), v["rule"].alias("rule"))

@@ -11,7 +11,7 @@ the JVM without a shuffle.
 Null and empty texts have no candidates. Every place of a candidate is scored with its own neighbours; a string
 that stands in a text several times is one finding, at its first place with the best score, and if that passes all its
 places are redacted. Repeated rows are scanned one by one; an empty table gives an empty result.
-Columns other than doc_id and text pass through ``redacted`` unchanged.
+Columns other than doc_id and text pass through ``redacted`` unchanged, whatever their names.
 """
 
 from __future__ import annotations
@@ -20,7 +20,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import let, table
+from ..functions.columns import struct_of
+from .common import let, table, unused
 
 #: What may stand before a candidate: a secret word with a sign or a quote, or the user of a connection string.
 _WORD = r"(?i:token|secret|passw(?:or)?d|passphrase|pwd|api[_.-]?key|access[_.-]?key|auth|credential|private[_.-]?key|bearer)[A-Za-z0-9_-]{0,16}+[\"']?"
@@ -238,10 +239,29 @@ def findings_column(text: Column, forest: list[Tree]) -> Column:
     return F.transform(ordered, lambda c: F.struct(c["value"].alias("value"), c["start"].alias("start"), (-c["low"]).alias("score")))
 
 
-def scanned(docs: DataFrame, forest: list[Tree], cut: float = CUT) -> DataFrame:
-    """``docs`` with n_candidates and secrets: array of (value, start, score) from ``cut`` on."""
-    found = docs.withColumn("secret_candidates", findings_column(F.col("text"), forest))
-    return found.withColumn("n_candidates", F.size("secret_candidates").cast("long")).withColumn("secrets", F.filter("secret_candidates", lambda c: c["score"] >= cut)).drop("secret_candidates")
+def scan(text: Column, forest: list[Tree], cut: float = CUT) -> Column:
+    """A struct: n_candidates, and secrets, an array of (value, start, score) from ``cut`` on."""
+    return let(findings_column(text, forest), lambda f: struct_of(n_candidates=F.size(f).cast("long"), secrets=F.filter(f, lambda c: c["score"] >= cut)))
+
+
+def scanned(docs: DataFrame, forest: list[Tree], cut: float = CUT, name: str = "scan") -> DataFrame:
+    """``docs`` with one more column ``name``, the scan; a caller's column of that name is an error, not overwritten."""
+    if unused(docs.columns, name) != name:
+        raise ValueError(f"there is a column {name} already")
+    return docs.withColumn(name, scan(F.col("text"), forest, cut))
+
+
+def redacted(docs: DataFrame, forest: list[Tree], cut: float = CUT) -> DataFrame:
+    """All rows with the caller's columns alone: every secret of ``text`` is masked, and n_chars, if there is one, counted anew where a text changed."""
+    name = unused(docs.columns, "redacted")
+
+    def masked(f: Column) -> Column:
+        return F.when(F.size(f["secrets"]) > 0, redacted_text(F.col("text"), f["secrets"]))
+
+    out = docs.withColumn(name, let(scan(F.col("text"), forest, cut), masked))
+    n_chars = F.when(F.col(name).isNotNull(), F.char_length(name))
+    new = {"text": F.coalesce(name, "text")} | ({"n_chars": F.coalesce(n_chars.cast(dict(docs.dtypes)["n_chars"]), F.col("n_chars"))} if "n_chars" in docs.columns else {})
+    return out.select(*[new[c].alias(c) if c in new else F.col(f"`{c}`") for c in docs.columns])
 
 
 def redacted_text(text: Column, secrets: Column) -> Column:
@@ -253,10 +273,10 @@ def redacted_text(text: Column, secrets: Column) -> Column:
 def query(spark, sf_dir):
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     out = scanned(docs, train(labelled_findings(spark)))
-    s = F.col("secrets")
+    s = F.col("scan.secrets")
     return out.select(
         "doc_id",
-        "n_candidates",
+        "scan.n_candidates",
         F.size(s).cast("long").alias("n_secrets"),
         F.coalesce(F.array_max(F.transform(s, lambda x: x["score"])), F.lit(0.0)).alias("score"),
         F.transform(s, lambda x: F.struct(x["start"].alias("start"), F.char_length(x["value"]).alias("length"), F.sha2(x["value"].cast("binary"), 256).alias("sha256"), x["score"].alias("score"))).alias("secrets"),
