@@ -1,22 +1,20 @@
 """From raw documents to packed sequences: quality rules, near duplicates, benchmark passages, secrets, packing.
 
 Each stage is a function of (spark, docs, sf_dir); its result is written as Parquet and read back as the docs of the next.
-All stages but the last return the columns of documents. A stage removes the scratch tables of the stage before it, whose
+All stages but the last return the columns that they were given, whatever their names, and no others; verdicts hold for
+rows, so rows without doc_id or with one that stands twice are judged like any other. A stage removes the scratch tables of the stage before it, whose
 result has been written by then.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from clusterfuse.functions.deploy import ship
 from clusterfuse.llm import decontaminate, near_dup, packing, quality_rules, secrets
 from clusterfuse.llm.common import release, scope, store, table
 
 SCRATCH = "pipeline"
-#: Ids that may be broadcast; beyond that Spark shuffles.
-FEW = 500_000
 
 
 def _stage(work):
@@ -28,43 +26,24 @@ def _stage(work):
     return run
 
 
-def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose doc_id is not in ``ids``; rows without doc_id stay."""
-    gone = store(ids.distinct(), "gone")
-    return docs.join(F.broadcast(gone) if gone.limit(FEW + 1).count() <= FEW else gone, "doc_id", "left_anti").select(docs.columns)
-
-
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rule and the learned list keep."""
-    rules = quality_rules.learn_from(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
-    return quality_rules.judged(docs, rules).filter("kept").select(docs.columns)
+    return quality_rules.kept(docs, quality_rules.learn_from(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
 
 
 def keep_one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest doc_id of each group of near duplicates, once."""
-    found = near_dup.near_duplicates(docs.select("doc_id", "text"))
-    rest = _without(docs, found.filter(~F.col("kept")).select("doc_id"))
-    again = store(rest.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1 and doc_id is not null").select("doc_id"), "again")
-    if again.isEmpty():
-        return rest
-    return _without(rest, again).union(rest.join(again, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]))
+    return near_dup.without_copies(docs)
 
 
 def keep_clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a benchmark window."""
-    found = decontaminate.contamination(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
-    return _without(docs, found.filter("contaminated").select("doc_id"))
+    return decontaminate.without_contaminated(docs, table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with every secret masked in the text and n_chars counted anew where a text changed."""
-    forest = secrets.train(secrets.labelled_findings(spark))
-    found = secrets.scanned(docs, forest)
-    masked = F.size("secrets") > 0
-    out = found.withColumn("text", F.when(masked, secrets.redacted_text(F.col("text"), F.col("secrets"))).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(masked, F.char_length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(docs.columns)
+    return secrets.redacted(docs, secrets.train(secrets.labelled_findings(spark)))
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
