@@ -136,7 +136,7 @@ ORACLE_SQL = f"""
 WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 t(template, label, base, k, tw) AS (VALUES {_TEMPLATES}),
 two AS (SELECT doc_id, w, unnest(range(1, len(w))) AS i FROM d),
-phrase AS (SELECT doc_id, label, base, i - 1 AS at, 1.0::DOUBLE AS share FROM two JOIN t ON t.k = {PHRASE_K} AND w[i] = tw[1] AND w[i + 1] = tw[2] WHERE w[i:i + len(tw) - 1] = tw),
+phrase AS (SELECT doc_id, label, base, i - 1 AS place, 1.0::DOUBLE AS share FROM two JOIN t ON t.k = {PHRASE_K} AND w[i] = tw[1] AND w[i + 1] = tw[2] WHERE w[i:i + len(tw) - 1] = tw),
 dg AS (SELECT doc_id, i, array_to_string(w[i:i + {TEXT_K - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - {TEXT_K - 2})) AS i FROM d)),
 tg AS (SELECT template, label, base, len(tw) AS size, j, array_to_string(tw[j:j + {TEXT_K - 1}], ' ') AS g FROM (SELECT *, unnest(range(1, len(tw) - {TEXT_K - 2})) AS j FROM t WHERE k = {TEXT_K})),
 vote AS (SELECT doc_id, template, label, base, size, i - j AS diagonal, i, j FROM dg JOIN tg USING (g)),
@@ -145,9 +145,9 @@ fresh AS (SELECT *, CASE WHEN diagonal - lag(diagonal) OVER (PARTITION BY doc_id
 spans AS (SELECT doc_id, template, diagonal, sum(new) OVER (PARTITION BY doc_id, template ORDER BY diagonal ROWS UNBOUNDED PRECEDING) AS span FROM fresh),
 under AS (SELECT DISTINCT doc_id, template, span, label, base, size, unnest(range(j, j + {TEXT_K})) AS word FROM vote JOIN spans USING (doc_id, template, diagonal)),
 body AS (SELECT doc_id, label, base, count(*) * 1.0::DOUBLE / size AS share FROM under GROUP BY doc_id, template, span, label, base, size HAVING count(*) * 1.0::DOUBLE / size >= {SHARE}),
-every AS (SELECT doc_id, label, base, at, share FROM phrase UNION ALL SELECT doc_id, label, base, NULL, share FROM body)
+every AS (SELECT doc_id, label, base, place, share FROM phrase UNION ALL SELECT doc_id, label, base, NULL, share FROM body)
 SELECT d.doc_id, CAST(len(any_value(d.w)) AS BIGINT) AS n_words, CAST(count(*) FILTER (WHERE base) AS BIGINT) AS n_base,
-  CAST(min(at) FILTER (WHERE base) AS BIGINT) AS first_word, CAST(max(at) FILTER (WHERE base) AS BIGINT) AS last_word,
+  CAST(min(place) FILTER (WHERE base) AS BIGINT) AS first_word, CAST(max(place) FILTER (WHERE base) AS BIGINT) AS last_word,
   coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (WHERE base), '') AS base_labels, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS labels, coalesce(max(share), 0.0::DOUBLE) AS score
 FROM d LEFT JOIN every USING (doc_id) GROUP BY d.doc_id
 """
