@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.columns import let
 from ..sources import tables
 
-__all__ = ["BLANK", "LOWER", "UPPER", "WORD_BREAK", "ascii_lower", "blank_words", "let", "plain_words", "release", "scope", "store", "table", "text_key", "unused", "without_rows", "without_texts"]
+__all__ = ["BLANK", "CRC_TABLE", "LOWER", "UPPER", "WORD_BREAK", "ascii_lower", "blank_words", "crc_sql", "few", "let", "plain_words", "release", "scope", "store", "table", "text_key", "unused", "without_rows", "without_texts"]
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Everything that is not a digit, an ASCII letter or a character beyond ASCII; applied to lower-cased text.
 WORD_BREAK = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -123,3 +123,11 @@ def without_rows(docs: DataFrame, gone: DataFrame, again: DataFrame) -> DataFram
         return rest.select(*columns)
     once = joined(rest, again, "left_semi").dropDuplicates(names)
     return joined(rest, again, "left_anti").select(*columns).union(once.select(*columns))
+
+
+#: DuckDB SQL: a CTE with the 256 steps of the checksum, made from its rule, and the unsigned crc32 of a text's UTF-8 bytes by it.
+CRC_TABLE = "tab AS (SELECT list_transform(range(256), lambda i: list_reduce([i, 0, 0, 0, 0, 0, 0, 0, 0], lambda x, y: xor(x >> 1, 3988292384 * (x & 1)))) AS crc_step)"
+
+
+def crc_sql(text: str) -> str:
+    return f"xor(list_reduce(list_concat([4294967295], list_transform(regexp_extract_all(hex(encode({text})), '..'), lambda x: CAST('0x' || x AS BIGINT))), lambda c, b: xor(crc_step[(xor(c, b) & 255) + 1], c >> 8)), 4294967295)"
