@@ -28,7 +28,8 @@ END_ID = 1
 CACHE = 400_000
 #: ASCII marks that may follow a word; not the apostrophe, which takes part in units of its own.
 MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
-SPREAD = 256
+#: Pieces that one window numbers, about.
+WINDOW_PIECES = 500_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary"
 
 _known: dict[str, tuple] = {}
@@ -141,8 +142,10 @@ def pieces(docs: DataFrame, tokenizer_path: str | None = None, window: int = WIN
 def pack(docs: DataFrame, tokenizer_path: str | None = None, window: int = WINDOW, with_ids: bool = True) -> DataFrame:
     """Pieces with sequence_id (gapless; sequences of one length are neighbours) and offset, which is always 0."""
     cut = pieces(docs, tokenizer_path, window, with_ids)
-    cut = store((cut if with_ids else cut.drop("ids")).withColumn("bucket", F.pmod(F.xxhash64("doc_id", "start"), F.lit(SPREAD))), "pieces")
-    # at most 12 lengths x 256 parts: bounded, so one task may add up and the sums may be broadcast
+    cut = store(cut if with_ids else cut.drop("ids"), "pieces")
+    spread = max(16, -(-cut.count() // WINDOW_PIECES))
+    cut = cut.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(spread)))
+    # a row for each length and bucket: one task adds them up, and they may be broadcast (12 for each half million pieces)
     sizes = cut.groupBy("length", "bucket").count()
     before = sizes.select("length", "bucket", (F.sum("count").over(Window.orderBy(F.desc("length"), "bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("count")).alias("before"))
     place = F.row_number().over(Window.partitionBy("length", "bucket").orderBy("doc_id", "start", "ids_crc32"))
