@@ -181,7 +181,9 @@ def learn_from(docs: DataFrame, labels: DataFrame, limit: int = MAX_LABELLED) ->
                 x = passages(t.as_py() or b"")
                 yield pa.RecordBatch.from_arrays([pa.array([d], pa.int64()), pa.array([q], pa.int32()), pa.array([x.tobytes()])], names=["doc_id", "quality", "bag"])
 
-    found = known.select("doc_id", F.col("quality").cast("int"), "text").mapInArrow(run, "doc_id long, quality int, bag binary").collect()
+    bags = known.select("doc_id", F.col("quality").cast("int"), "text").mapInArrow(run, "doc_id long, quality int, bag binary")
+    # a doc_id that stands on many rows joins its label to all of them: the bound holds for rows too
+    found = bags.orderBy(F.xxhash64("doc_id"), "doc_id", "quality", "bag").limit(limit).collect()
     found.sort(key=lambda r: (r["doc_id"], r["quality"], bytes(r["bag"])))
     return train([np.frombuffer(bytes(r["bag"]), np.float32).reshape(-1, N_FEATURES) for r in found], np.array([r["quality"] for r in found]))
 
