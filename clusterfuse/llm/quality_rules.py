@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.columns import struct_of
-from .common import blank_words, let, table, unused
+from .common import BLANK, blank_words, let, table, unused
 
 WINDOW = 8
 SYMBOLS = r"[#*$%&|<>]"
@@ -223,3 +223,19 @@ def query(spark, sf_dir):
     out = judged(docs, learn_from(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
     v, q = F.col("verdict"), F.col("verdict.q")
     return out.select("doc_id", q["n_words_"].alias("n_words"), *[q[c].alias(c) for c in ("word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], v["base_failed"].alias("base_failed"), v["kept"].alias("kept"), v["rule"].alias("rule"))
+
+
+def base_query(spark, sf_dir):
+    """The columns of the query that labels take no part in."""
+    return query(spark, sf_dir).drop("kept", "rule")
+
+
+BASE_SQL = rf"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t, list_filter(string_split_regex(coalesce(text, ''), '{BLANK}'), lambda x: x <> '') AS w, list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM documents),
+g AS (SELECT doc_id, i, array_to_string(w[i:i + {WINDOW - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - {WINDOW - 2})) AS i FROM d WHERE len(w) >= {WINDOW})),
+again AS (SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, g) AS c FROM g) WHERE c > 1),
+r AS (SELECT doc_id, count(DISTINCT p) AS n FROM (SELECT doc_id, unnest(range(i, i + {WINDOW})) AS p FROM again) GROUP BY doc_id)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_string(w, '')) AS BIGINT) AS word_chars, CAST(len(regexp_extract_all(t, '{SYMBOLS}')) AS BIGINT) AS n_symbols,
+  CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines, CAST(coalesce(n, 0) AS BIGINT) AS n_repeat_words, len(w) < 20 OR 100 * coalesce(n, 0) > 30 * len(w) AS base_failed
+FROM d LEFT JOIN r USING (doc_id)
+"""

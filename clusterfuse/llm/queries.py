@@ -19,17 +19,20 @@ MODULES = {
     "op9_pow2_packing": "packing",
     "op10_mil_quality": "mil_quality",
 }
+#: The columns of an operator that SQL can express, where it can't express all: query name -> module with base_query and BASE_SQL
+BASES = {"base_language_scores": "pitman_yor", "base_quality_counts": "quality_rules"}
 
 
-def _call(module: str):
-    query = import_module(f"{__package__}.{module}").query
+def _call(module: str, function: str):
+    query = getattr(import_module(f"{__package__}.{module}"), function)
     return lambda spark, sf_dir: query(ship(spark), sf_dir)
 
 
 def queries():
-    return {name: _call(module) for name, module in MODULES.items()}
+    return {name: _call(module, "query") for name, module in MODULES.items()} | {name: _call(module, "base_query") for name, module in BASES.items()}
 
 
 def oracle_sql():
     found = {name: getattr(import_module(f"{__package__}.{module}"), "ORACLE_SQL", None) for name, module in MODULES.items()}
+    found |= {name: import_module(f"{__package__}.{module}").BASE_SQL for name, module in BASES.items()}
     return {name: sql for name, sql in found.items() if sql}
