@@ -25,7 +25,7 @@ from .common import store, table
 
 WINDOW = 2048
 END_ID = 1
-CACHE = 400_000
+CACHE = 150_000
 #: ASCII marks that may follow a word; not the apostrophe, which takes part in units of its own.
 MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 #: Pieces that one window numbers, about.
@@ -70,7 +70,7 @@ class ChunkTokenizer:
         """Ids of one lower-cased unit, straight from the merges of the model."""
         found = self.base.get(unit)
         if found is None:
-            if len(self.base) > CACHE:
+            if len(self.base) >= CACHE:
                 self.base.clear()
             shown = unit if unit.isascii() else "".join([self.shown[x] for x in unit.encode()])
             found = self.base[unit] = array("I", [t.id for t in self.model.tokenize(shown)]).tobytes()

@@ -215,7 +215,8 @@ def judged(docs: DataFrame, rules: list[Rule], name: str = "verdict") -> DataFra
 
 def kept(docs: DataFrame, rules: list[Rule]) -> DataFrame:
     """The rows of ``docs`` that the base rule and the list keep, with the caller's columns alone."""
-    return docs.filter(verdict(F.col("text"), rules)["kept"])
+    name = unused(docs.columns, "verdict")
+    return docs.withColumn(name, verdict(F.col("text"), rules)).filter(F.col(name)["kept"]).drop(name)
 
 
 def query(spark, sf_dir):
