@@ -15,7 +15,7 @@ from ..operators import summarize as S
 from ..sources import exchange, scenarios, tables
 from ..streaming import summaries
 from . import experiment, surface
-from .sql import BRANDS, DISCS, FLAGS, MEASURE_SQL, PAIRS, SCENARIO_K, SUPPLIERS, Z, fused_rows
+from .sql import BEST_PAIR, BRANDS, DISCS, FLAGS, MEASURE_SQL, MUTUAL_PAIRS, PAIRS, SCENARIO_K, SUPPLIERS, Z, all_measures, fused_rows, iterated, matrix_pairs, psi, psi1
 
 CATALOG: dict = {}
 SQL: dict[str, str] = {}
@@ -384,6 +384,10 @@ def _oh_sql(rows: str, axes: str) -> str:
     return f"WITH {rows}, k AS ({axes}), f AS (SELECT p.id AS left_id, q.id AS right_id, sum(ln(((p.n-1)*p.v+(q.n-1)*q.v+p.n*q.n/(p.n+q.n)*(p.m-q.m)*(p.m-q.m))/(p.n+q.n-1))) AS hf, sum(ln(p.v)) AS h1, sum(ln(q.v)) AS h2 FROM k p JOIN k q ON p.i = q.i AND p.id < q.id GROUP BY 1, 2) SELECT left_id, right_id, round(ln(2.0)+hf-(greatest(h1,h2)+ln(1+exp(-abs(h1-h2)))),6)+0.0 AS oh FROM f"
 
 
+def emb_axes(dim: int) -> str:
+    return f"e AS (SELECT label AS id, vec_id AS rid, i, CAST(embedding[i] AS DOUBLE) AS x FROM embeddings, range(1, {dim + 1}) t(i))"
+
+
 def oh_pairs(k: DataFrame) -> DataFrame:
     x = stored(stats.with_diagonal(k).select("model_id", "cluster_id", "n", "mean", "diag", "ln_hadamard"))
     return measures.overlap_oh(pairs.all_pairs(x, ["n", "mean", "diag", "ln_hadamard"])).select("left_id", "right_id", r("oh").alias("oh"))
@@ -399,7 +403,14 @@ def _(spark, d):
     return oh_pairs(labels(spark, d, 64))
 
 
-@query("measure_oh_d100")
+# ln of a variance of zero is an error in this engine, and minus infinity in the other
+_DOCS100 = (
+    "w AS (SELECT doc_id, lang, unnest(string_split_regex(lower(text), '[ \\t\\n\\x0B\\f\\r]+')) AS t FROM documents), c AS (SELECT doc_id, lang, CAST(('0x' || substr(md5(t),1,8)) AS BIGINT) % 100 AS bucket, count(*) AS k FROM w WHERE t <> '' GROUP BY ALL), "
+    "td AS (SELECT doc_id, lang, sum(k) AS total FROM c GROUP BY ALL), e AS (SELECT ascii(td.lang)*1000+ascii(substr(td.lang,2,1)) AS id, td.doc_id AS rid, i, sqrt(coalesce(k,0)*1.0/total) AS x FROM td CROSS JOIN range(100) b(i) LEFT JOIN c ON c.doc_id = td.doc_id AND c.bucket = i)"
+)
+
+
+@query("measure_oh_d100", _oh_sql(_DOCS100, "SELECT CAST(id AS BIGINT) AS id, i, count(*) AS n, avg(x) AS m, var_samp(x) AS v FROM e GROUP BY 1, 2"))
 def _(spark, d):
     vec = tables.hashed_words(tables.read_table(spark, d, "documents", ["doc_id", "lang", "text"]))
     return oh_pairs(S.summarize_vectors(vec, F.ascii("lang") * 1000 + F.ascii(F.substring("lang", 2, 1)), "vec", 100))
@@ -412,15 +423,16 @@ def _(spark, d):
 
 for _dim in (4, 8, 16, 64):
 
-    @query(f"measures_embeddings_d{_dim}")
+    # the SQL iterates matrix products for w, which takes minutes at 64 axes
+    @query(f"measures_embeddings_d{_dim}", all_measures(emb_axes(_dim), _dim) if _dim < 64 else None)
     def _(spark, d, dim=_dim):
         # 64 axes and fewer samples at small scale: a ridge keeps singular clusters measurable
-        return measures.measure_pairs(pairs.all_pairs(stored(labels(spark, d, dim)), ["n", "mean", "cov"]), dim, engine="arrow", ridge=1e-3 if dim == 64 else None)
+        return rounded(measures.measure_pairs(pairs.all_pairs(stored(labels(spark, d, dim)), ["n", "mean", "cov"]), dim, engine="arrow", ridge=1e-3 if dim == 64 else None).drop("model_id"), *measures.MEASURES)
 
 
-@query("measures_lineitem_d4")
+@query("measures_lineitem_d4", all_measures(f"{Z}, e AS (SELECT ascii(l_returnflag)*1000+ascii(l_linestatus) AS id, rid, i, [z1,z2,z3,z4][i] AS x FROM (SELECT *, row_number() OVER () AS rid FROM z), range(1,5) t(i))", 4))
 def _(spark, d):
-    return measures.measure_pairs(pairs.all_pairs(stored(flags(spark, d, 4)), ["n", "mean", "cov"]), 4)
+    return rounded(measures.measure_pairs(pairs.all_pairs(stored(flags(spark, d, 4)), ["n", "mean", "cov"]), 4).drop("model_id"), *measures.MEASURES)
 
 
 @query("measures_docs_d100")
@@ -430,9 +442,17 @@ def _(spark, d):
     return measures.measure_pairs(pairs.all_pairs(k, ["n", "mean", "cov"]), 100)
 
 
-@query("null_corrected_o")
+def _null_sql(dim: int) -> str:
+    """Expected o of two samples of one Gaussian, over y: a sum over the axes of what a Wishart matrix's log-determinant loses."""
+    at = lambda nu: f"({nu}-i)/2.0"
+    biased = lambda nu: f"sum({psi(at(nu))})+{dim}*ln(2.0/max({nu}))"
+    return f"{biased('(n1+n2-1)')}-0.5*({biased('(n1-1)')}+{biased('(n2-1)')})-sum({psi1(at('(n1-1)'))}+{psi1(at('(n2-1)'))})/8"
+
+
+@query("null_corrected_o", f"WITH RECURSIVE {matrix_pairs(emb_axes(8), 8)}, nu AS (SELECT left_id, right_id, {_null_sql(8)} AS o_null FROM y, range(8) t(i) GROUP BY 1, 2) SELECT CAST(left_id AS BIGINT) AS left_id, CAST(right_id AS BIGINT) AS right_id, CAST(n1 AS BIGINT) AS n1, CAST(n2 AS BIGINT) AS n2, round(o,6)+0.0 AS o, round(o_null,6)+0.0 AS o_null, round(o-o_null,6)+0.0 AS o_corrected FROM y JOIN nu USING (left_id, right_id)")
 def _(spark, d):
-    return measures.null_corrected(measures.measure_pairs(pairs.all_pairs(stored(labels(spark, d, 8)), ["n", "mean", "cov"]), 8, ["o"]), 8)
+    x = measures.null_corrected(measures.measure_pairs(pairs.all_pairs(stored(labels(spark, d, 8)), ["n", "mean", "cov"]), 8, ["o"]), 8)
+    return x.select("left_id", "right_id", "n1", "n2", *[r(c).alias(c) for c in ("o", "o_null", "o_corrected")])
 
 
 _LONG = " UNION ALL ".join(f"SELECT left_id, right_id, '{m}' AS measure, round({MEASURE_SQL[m]},6)+0.0 AS value FROM y" for m in measures.MEASURES)
@@ -854,12 +874,16 @@ def _(spark, d):
     return fuse.fuse_overlapping(stored(disc_clusters(spark, d)), rounds=3, dim=2).select("group_id", "n", "members")
 
 
-@query("fuse_iterative")
+@query("fuse_iterative", f"WITH RECURSIVE {Z}, {FLAGS}, {iterated(BEST_PAIR)} SELECT CAST(id AS BIGINT) AS cluster_id, CAST(n AS BIGINT) AS n, array_to_string(members, ',') AS members FROM step WHERE round = (SELECT max(round) FROM step)")
 def _(spark, d):
-    return fuse.fuse_iterative(flags(spark, d))[0].select("cluster_id", "n", "members")
+    return fuse.fuse_iterative(flags(spark, d))[0].select("cluster_id", "n", F.concat_ws(",", F.transform("members", lambda v: v.cast("string"))).alias("members"))
+
+
+# made pairs leave c clusters; the new ones are measured against the others and against each other
+_COUNTED = f"{iterated(MUTUAL_PAIRS)}, sizes AS (SELECT round, count(*) AS c, lag(count(*)) OVER (ORDER BY round) - count(*) AS made FROM step GROUP BY 1)"
 
 
-@query("fuse_one_step_vs_iterative")
+@query("fuse_one_step_vs_iterative", f"WITH RECURSIVE {_DISC_O}, {_EDGE}, {_CLIQUES}, {_GROUPS}, {_COUNTED} SELECT CAST((SELECT count(DISTINCT group_id) FROM grp) AS BIGINT) AS one_step_clusters, CAST(min(c) AS BIGINT) AS iterative_clusters, CAST(1 AS INTEGER) AS one_step_rounds, CAST(max(c)*(max(c)-1)//2 AS INTEGER) AS one_step_pairs, CAST(count(*) AS INTEGER) AS iterative_rounds, CAST(max(c)*(max(c)-1)//2+coalesce(sum(made*(c-made)+made*(made-1)//2),0) AS INTEGER) AS iterative_pairs FROM sizes")
 def _(spark, d):
     k = stored(disc_clusters(spark, d))
     n = k.count()
