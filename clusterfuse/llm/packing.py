@@ -27,7 +27,7 @@ WINDOW = 2048
 END_ID = 1
 CACHE = 150_000
 #: ASCII marks that may follow a word; not the apostrophe, which takes part in units of its own.
-MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
+MARKS = b"!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 #: Pieces that one window numbers, about.
 WINDOW_PIECES = 500_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary"
@@ -36,44 +36,49 @@ _known: dict[str, tuple] = {}
 
 
 class ChunkTokenizer:
-    """Ids of white-space chunks as little-endian uint32 bytes, met ones from memory."""
+    """Ids of white-space chunks as little-endian uint32 bytes, met ones from memory. Units are kept as bytes, so that plain words are never decoded."""
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.model, self.met, self.base = self.tokenizer.model, {}, {"": b""}
+        self.model, self.met, self.base = self.tokenizer.model, {}, {b"": b""}
         # the printable character that stands for each byte in a byte-level vocabulary
         plain = [x for x in range(256) if 33 <= x <= 126 or 161 <= x <= 172 or x >= 174]
         others = [x for x in range(256) if x not in plain]
         self.shown = {x: chr(x) for x in plain} | {x: chr(256 + k) for k, x in enumerate(others)}
 
     def learn(self, chunks: set[bytes]) -> None:
-        if len(self.met) + len(chunks) > CACHE:
-            self.met.clear()
-        rest = []
+        met, base, rest = self.met, self.base, []
+        if len(met) + len(chunks) > CACHE:
+            met.clear()
         for c in chunks:
-            text = c.decode()
-            word = text.rstrip(MARKS)
+            word = c.rstrip(MARKS)
             # one run of letters is one unit of the tokenizer, and so is a run of marks after it (apostrophes are not among them)
-            if word.isalpha() and (low := word.lower()).isalpha() and (word.isascii() or "\u03a3" not in word and is_normalized("NFC", word)):
-                self.met[c] = self._unit(low) + self._unit(text[len(word) :])
+            if word.isalpha() or not word.isascii() and self._one_unit(word):
+                low = word.lower() if word.isascii() else word.decode().lower().encode()
+                tail = c[len(word) :]
+                # units are never empty ids, so only one that is not known is false
+                met[c] = (base.get(low) or self._unit(low)) + (tail and (base.get(tail) or self._unit(tail)))
             else:
-                rest.append((c, text))
+                rest.append(c)
         for at in range(0, len(rest), 1024):
             part = rest[at : at + 1024]
-            for (c, _), e in zip(part, self.tokenizer.encode_batch([w for _, w in part], add_special_tokens=False)):
-                self.met[c] = array("I", e.ids).tobytes()
+            for c, e in zip(part, self.tokenizer.encode_batch([c.decode() for c in part], add_special_tokens=False)):
+                met[c] = array("I", e.ids).tobytes()
 
-    def _unit(self, unit: str) -> bytes:
+    @staticmethod
+    def _one_unit(word: bytes) -> bool:
+        text = word.decode()
+        return text.isalpha() and text.lower().isalpha() and "\u03a3" not in text and is_normalized("NFC", text)
+
+    def _unit(self, unit: bytes) -> bytes:
         """Ids of one lower-cased unit, straight from the merges of the model."""
-        found = self.base.get(unit)
-        if found is None:
-            if len(self.base) >= CACHE:
-                self.base.clear()
-            shown = unit if unit.isascii() else "".join([self.shown[x] for x in unit.encode()])
-            found = self.base[unit] = array("I", [t.id for t in self.model.tokenize(shown)]).tobytes()
+        if len(self.base) >= CACHE:
+            self.base.clear()
+        shown = unit.decode() if unit.isascii() else "".join([self.shown[x] for x in unit])
+        found = self.base[unit] = array("I", [t.id for t in self.model.tokenize(shown)]).tobytes()
         return found
 
     def ids(self, text: bytes) -> bytes:
