@@ -44,3 +44,11 @@ def test_largest_gap_covers_every_pair(odd, small_blocks):
     assert tiles.largest_gap(odd, ["b"], lambda v: v["b"]).first()["gap"] == pytest.approx(want[2], rel=1e-12)
     none = tiles.largest_gap(odd.limit(0), ["b"], lambda v: v["b"]).first()
     assert none["n_pairs"] == 0 and none["gap"] is None
+
+
+def test_measured_tiles_are_the_measures_of_all_pairs(odd, small_blocks):
+    want, got = place(expected(odd, [measures.measure2(m).alias(m) for m in measures.MEASURES])), place(tiles.measured(odd))
+    assert len(got) == len(want) and (got[["model_id", "left_id", "right_id"]] == want[["model_id", "left_id", "right_id"]]).all(None)
+    for m in measures.MEASURES:
+        assert (got[m].isna() == want[m].isna()).all() and want[m].isna().any() == (m != "w"), m
+        assert np.allclose(got[m].fillna(0), want[m].fillna(0), rtol=1e-9, atol=1e-9), m
