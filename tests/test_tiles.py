@@ -52,3 +52,16 @@ def test_measured_tiles_are_the_measures_of_all_pairs(odd, small_blocks):
     for m in measures.MEASURES:
         assert (got[m].isna() == want[m].isna()).all() and want[m].isna().any() == (m != "w"), m
         assert np.allclose(got[m].fillna(0), want[m].fillna(0), rtol=1e-9, atol=1e-9), m
+
+
+def test_nearest_by_tiles_keep_missing_values_last(odd, small_blocks):
+    one = expected(odd, [measures.measure2("o").alias("o")])
+    both = one.union(one.select("model_id", "right_id", "left_id", "o")).toPandas()
+    both["o"] = both["o"].fillna(np.inf)
+    want = both.sort_values(["model_id", "left_id", "o", "right_id"]).groupby(["model_id", "left_id"]).head(3)
+    got = tiles.nearest(odd, "o", 3).toPandas().sort_values(["model_id", "left_id", "place"])
+    assert list(map(tuple, got[["model_id", "left_id"]].values)) == list(map(tuple, want[["model_id", "left_id"]].values))
+    assert np.allclose(got["value"].fillna(1e9), want["o"].replace(np.inf, 1e9), rtol=1e-9, atol=1e-9)
+    # more places than clusters: everyone is placed, those without a value at the end
+    every = tiles.nearest(odd, "o", 100).filter("model_id = 'y'").toPandas()
+    assert len(every) == 13 * 12 and every[every["value"].isna()]["place"].min() > 8
