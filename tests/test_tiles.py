@@ -65,3 +65,10 @@ def test_nearest_by_tiles_keep_missing_values_last(odd, small_blocks):
     # more places than clusters: everyone is placed, those without a value at the end
     every = tiles.nearest(odd, "o", 100).filter("model_id = 'y'").toPandas()
     assert len(every) == 13 * 12 and every[every["value"].isna()]["place"].min() > 8
+
+
+def test_volume_ratio_and_overlap_by_tiles(odd, small_blocks):
+    """Both sides of the identity, also where one side or both have no volume."""
+    o = expected(odd, [measures.measure2("o").alias("o"), measures.measure2("vr").alias("vr")]).agg(F.max("o"), F.max("vr"), F.max(-F.col("o"))).first()
+    for k, (which, value) in enumerate([("o", lambda v: v["o"]), ("vr", lambda v: v["vr"]), ("o", lambda v: -v["o"])]):
+        assert tiles.largest_gap(odd, [which], value).first()["gap"] == pytest.approx(o[k], rel=1e-12)
