@@ -72,3 +72,14 @@ def test_volume_ratio_and_overlap_by_tiles(odd, small_blocks):
     o = expected(odd, [measures.measure2("o").alias("o"), measures.measure2("vr").alias("vr")]).agg(F.max("o"), F.max("vr"), F.max(-F.col("o"))).first()
     for k, (which, value) in enumerate([("o", lambda v: v["o"]), ("vr", lambda v: v["vr"]), ("o", lambda v: -v["o"])]):
         assert tiles.largest_gap(odd, [which], value).first()["gap"] == pytest.approx(o[k], rel=1e-12)
+
+
+def test_least_pairs_by_tiles(odd, small_blocks):
+    want = expected(odd.filter("model_id = 'x'"), [measures.measure2("o").alias("o")]).toPandas()
+    want["o"] = want["o"].fillna(np.inf)
+    want = want.sort_values(["o", "left_id", "right_id"])
+    for k in (1, 10, 2000):
+        got = tiles.least(odd.filter("model_id = 'x'"), "o", k).toPandas()
+        assert len(got) == min(k, len(want)) and np.allclose(got["value"].fillna(1e9), want["o"].replace(np.inf, 1e9)[:k], rtol=1e-9, atol=1e-9)
+    # the pairs without a value come last, in the order of their ids
+    assert np.isnan(got["value"].values[-1]) and list(got[got["value"].isna()]["left_id"]) == sorted(got[got["value"].isna()]["left_id"])
