@@ -16,6 +16,18 @@ def both(spark, name, *keys):
     return [(one[k], two[k]) for k in one]
 
 
+def test_verdicts_are_those_of_the_measured_scenarios(spark):
+    long = experiment.table_results(spark, SMALL).toPandas()
+    v = {(r.variant, r.measure, r.scenario): r.value for r in long.itertuples()}
+    rows = catalog.queries()["detection_flags"](spark, SMALL).collect()
+    assert len(rows) == len(v) == 2 * 4 * 7
+    for r in rows:
+        a, b, c, d = (v[r.variant, r.measure, s] for s in "abcd")
+        assert r.correct == {"a": a < b, "b": a < b, "c": c < min(b, d), "d": d > max(a, c)}[r.scenario]
+    counts = {r.measure: r.n_correct for r in catalog.queries()["detection_counts"](spark, SMALL).collect()}
+    assert counts == {m: sum(r.correct for r in rows if r.measure == m) for m in counts} and len(counts) == 7
+
+
 def test_cost_model_counts_the_pairs_of_the_table(spark):
     for x, y in both(spark, "cost_model", "dim", "measure"):
         assert x.flops == y.flops and x.n_pairs < y.n_pairs and x.total == x.flops * x.n_pairs
