@@ -31,3 +31,13 @@ def test_verdicts_are_those_of_the_measured_scenarios(spark):
 def test_cost_model_counts_the_pairs_of_the_table(spark):
     for x, y in both(spark, "cost_model", "dim", "measure"):
         assert x.flops == y.flops and x.n_pairs < y.n_pairs and x.total == x.flops * x.n_pairs
+
+
+def test_pair_grid_measures_the_clusters_of_lineitem(spark):
+    one = experiment.run_pair_grid(spark, (2, 4), reps=1, sf_dir=SMALL).toPandas()
+    assert len(one) == 2 * 4 * 7 and (one["micros"] > 0).all() and (one["multiple"] >= 1).all()
+    want = experiment.table_results(spark, SMALL).filter("variant = 'narrow'").toPandas()
+    both_ = one[one["dim"] == 2].merge(want, on=["scenario", "measure"])
+    assert len(both_) == 28 and np.allclose(both_["value_x"], both_["value_y"], rtol=1e-8)
+    pair = experiment.table_pairs(spark, SMALL, 4)["c"][1]
+    assert pair[1].shape == (4,) and pair[2].shape == (4, 4) and pair[2][0, 1] == pytest.approx(pair[2][1, 0])
