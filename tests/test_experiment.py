@@ -16,6 +16,10 @@ def both(spark, name, *keys):
     return [(one[k], two[k]) for k in one]
 
 
+def test_separability_gap_follows_the_rows(spark):
+    assert sum(x.gap != y.gap for x, y in both(spark, "separability_gap", "dim", "variant", "measure")) == 14
+
+
 def test_verdicts_are_those_of_the_measured_scenarios(spark):
     long = experiment.table_results(spark, SMALL).toPandas()
     v = {(r.variant, r.measure, r.scenario): r.value for r in long.itertuples()}
