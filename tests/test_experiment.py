@@ -37,6 +37,14 @@ def test_cost_model_counts_the_pairs_of_the_table(spark):
         assert x.flops == y.flops and x.n_pairs < y.n_pairs and x.total == x.flops * x.n_pairs
 
 
+def test_time_multiple_is_that_of_the_fastest_hour(spark):
+    assert any(x.multiple != y.multiple for x, y in both(spark, "time_multiple", "dim", "scenario", "measure"))
+    # one event has no pace, nor have events that fall together
+    rows = spark.createDataFrame([("u", "2024-01-01 03:00:00"), ("u", "2024-01-02 04:00:00"), ("u", "2024-01-02 04:00:00"), ("u", "2024-01-01 05:00:00"), ("u", "2024-01-03 05:00:00")], "event_type string, ts string").withColumn("ts", F.col("ts").cast("timestamp"))
+    got = {r.measure: r.multiple for r in experiment.multiples(experiment.event_paces(rows)).collect()}
+    assert got == {"03": None, "04": None, "05": 1.0}
+
+
 def test_pair_grid_measures_the_clusters_of_lineitem(spark):
     one = experiment.run_pair_grid(spark, (2, 4), reps=1, sf_dir=SMALL).toPandas()
     assert len(one) == 2 * 4 * 7 and (one["micros"] > 0).all() and (one["multiple"] >= 1).all()
