@@ -4,11 +4,14 @@ A word is drawn in the restaurant of the word before it; all these restaurants s
 its base measure spells words byte by byte in restaurants of three, two, one and no preceding bytes, each the parent of the
 longer one, over a uniform base. Every text begins in the context of an end.
 
-Seating: a context restaurant holds one table for each word that it serves, its tables are the customers of the word
-restaurant. From there up seating is sampled by Gibbs sweeps: given the base probability of a dish, the customers of a
-dish open tables as in a Chinese restaurant process (all dishes of a sweep independently, given the last sweep's totals),
-tables of words are customers of the spelling restaurants and so on. Predictive probabilities are averaged over the kept
-sweeps; a context's are linear in those of the word restaurant, so averaging the latter averages both.
+Seating is sampled by Gibbs sweeps at every level: given the base probability of a dish, the customers of a dish open
+tables as in a Chinese restaurant process (all dishes of a sweep independently, given the last sweep's totals). Tables of
+contexts are customers of the word restaurant, its tables are customers of the spelling restaurants and so on. Contexts
+begin with one table for each word and are seated anew ``context_sweeps`` times; each time the restaurants above are sampled
+again, and their predictive probabilities are averaged over the kept sweeps. A context's probabilities are linear in those
+of the word restaurant, so averaging the latter averages both, given the contexts' last seating. The seats of a pair are
+drawn from its hash, so that each block that holds the pair draws the same and no exchange of pairs is needed: only the
+tables beyond the first of each pair, summed by word, are sent.
 
 What moves: documents are read once into blocks of about ``BLOCK`` tokens, in which a word or a pair of words stands once
 with its training count. Blocks ask about their pairs and words: asks are dealt by hash into parts of about ``PART_ASKS``
@@ -36,6 +39,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources import tables
 from .common import BLANK, CRC_TABLE, LOWER, UPPER, crc_sql, store, table
 from .near_dup import _mix, word_hashes
 
@@ -43,6 +47,7 @@ BLOCK = 3_000_000
 #: Asks of a part, at most (three of five tokens or so make a pair of their block).
 PART_ASKS, PART_TOKENS = 1_000_000, 2_500_000
 SWEEPS, BURN_IN = 4, 1
+CONTEXT_SWEEPS = 1
 CLASSES, DEPTH, END = 32, 3, 256
 DISHES = 257
 CONTEXT_STRENGTH = 2.0
@@ -503,37 +508,160 @@ def word_answers(asks: DataFrame, law: DataFrame) -> DataFrame:
     return asks.select("part", "block", "words").groupBy("part").cogroup(theirs.groupBy("held_by")).applyInArrow(run, "block long, part long, body binary")
 
 
+def _uniform(hashes: np.ndarray, draw: int) -> np.ndarray:
+    return ((_mix(hashes + _U((draw * 0x9E3779B97F4A7C15) % 2**64)) >> _U(11)).astype(np.float64) + 0.5) * 2.0**-53
+
+
+def _successes(n: np.ndarray, p: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Binomial numbers from uniform ones: by inversion, and by the normal law where the variance is above 9."""
+    n, p = np.broadcast_to(n, u.shape).astype(np.float64), np.clip(p, 1e-300, 1 - 1e-12)
+    wide = n * p * (1 - p) > 9
+    q = np.minimum(p, 1 - p)
+    k, at = np.zeros(len(u)), np.flatnonzero(~wide)
+    mass = np.exp(n[at] * np.log1p(-q[at]))
+    left, j = u[at] - mass, 0
+    while len(at := at[keep := (left > 0) & (j < n[at])]):
+        k[at] += 1
+        mass = mass[keep] * (n[at] - j) / (j + 1) * q[at] / (1 - q[at])
+        left, j = left[keep] - mass, j + 1
+    at = np.flatnonzero(wide)
+    z = np.sqrt(-2 * np.log(u[at])) * np.cos(2 * np.pi * v[at])
+    k[at] = np.clip(np.rint(n[at] * q[at] + z * np.sqrt(n[at] * q[at] * (1 - q[at]))), 0, n[at])
+    return np.where(p > 0.5, n - k, k)
+
+
+def seated(customers: np.ndarray, weight: np.ndarray, discount: float, hashes: np.ndarray, sweep: int) -> np.ndarray:
+    """As tables_for, but each dish's tables follow from its hash, whatever other dishes stand beside it."""
+    out = (customers > 0).astype(np.float64)
+    order = np.flatnonzero(customers > 1)
+    order = order[np.argsort(-customers[order], kind="stable")]
+    c, w, h, s = customers[order], weight[order].astype(np.float64), _mix(hashes[order] + _U(sweep + 1)), np.ones(len(order))
+    i, draw = 1, 0
+    while len(c) and i < c[0]:
+        live, step = int(np.searchsorted(-c, -i, side="left")), 1 if i < 64 else i // 32
+        p = w[:live] / (w[:live] + i - discount * s[:live])
+        u = _uniform(h[:live], draw)
+        s[:live] += u < p if step == 1 else _successes(np.minimum(step, c[:live] - i), p, u, _uniform(h[:live], draw + 1))
+        i, draw = i + step, draw + 2
+    out[order] = s
+    return out
+
+
+def _seats(b: Block, answers, discount: float, sweep: int):
+    """(training count, tables, owned or not) of the block's pairs, and (training count, tables before this sweep, probability) of its words."""
+    pair_n, owner = np.empty(len(b.u), np.int64), np.empty(len(b.u), bool)
+    pair_n[b.pair_order], owner[b.pair_order] = _answered(answers, 0, 2)
+    words = _word_columns(b, answers, 1)
+    weight = (CONTEXT_STRENGTH + discount * words[1][b.u]) * words[2][b.w]
+    return pair_n, seated(pair_n, weight, discount, b.hash, sweep), owner, words
+
+
+def _word_columns(b: Block, answers, kind: int):
+    n, tables, p = np.empty(len(b.words), np.int64), np.empty(len(b.words), np.int64), np.empty(len(b.words))
+    n[b.word_order], tables[b.word_order], bits_of = (x.astype(np.int64) for x in _answered(answers, kind, 3))
+    p[b.word_order] = bits_of.astype("<u4").view("<f4")
+    return n, tables, p
+
+
+def further_tables(held: DataFrame, told: DataFrame, known: DataFrame, parts: int, word_parts: int, bits: int, discount: float, sweep: int) -> DataFrame:
+    """part, words, body: tables beyond the first of the pairs that each block owns, by the word before and by the word; words without any are left out."""
+
+    def run(row, answers):
+        import pyarrow as pa
+
+        b = Block(row, parts, word_parts, bits)
+        _, tables, owner, _ = _seats(b, answers, discount, sweep)
+        own = np.flatnonzero(owner & (tables > 1))
+        sums = [np.bincount(x[own], tables[own] - 1, len(b.words)).astype(np.int64) for x in (b.u, b.w)]
+        order = b.word_order[(sums[0] + sums[1])[b.word_order] > 0]
+        rows = [(part, _press(b"\n".join([b.words[k] for k in order[at]])), pack(sums[0][order[at]], sums[1][order[at]])) for part, at in _runs(b.word_part[order])]
+        return pa.table({"part": pa.array([r[0] for r in rows], pa.int64()), "words": pa.array([r[1] for r in rows], pa.binary()), "body": pa.array([r[2] for r in rows], pa.binary())})
+
+    mine = held.select("block", "doc_id", "held_out", "n_tokens", "ids", "words", "train")
+    theirs = _told(told, known)
+    return mine.groupBy("block").cogroup(theirs.groupBy("to")).applyInArrow(run, "part long, words binary, body binary")
+
+
+def _told(told: DataFrame, *known: DataFrame) -> DataFrame:
+    """Answers to each block: kind 0 of pairs, 1 and on of words."""
+    out = told.select(F.col("block").alias("to"), "part", "body", F.lit(0).alias("kind"))
+    for k, x in enumerate(known):
+        out = out.unionByName(x.select(F.col("block").alias("to"), "part", "body", F.lit(k + 1).alias("kind")))
+    return out
+
+
+def with_further(types: DataFrame, further: DataFrame) -> DataFrame:
+    """``types`` of one table for each pair, with the further tables in followers (tables of a word's context) and c."""
+
+    def run(known, extra):
+        import pyarrow as pa
+
+        words = known["word"].cast(pa.binary()).to_pylist()
+        place = {w: k for k, w in enumerate(words)}
+        sums = np.zeros((2, len(words)), np.int64)
+        for asked, body in zip(extra["words"].to_pylist(), extra["body"].to_pylist()):
+            at = np.array([place[w] for w in _words(asked)], np.int64)
+            for s, x in zip(sums, unpack(body, 2)):
+                s[at] += x.astype(np.int64)
+        return pa.table({"part": known["part"], "word": known["word"], "n": known["n"], "followers": pa.array(known["followers"].to_numpy() + sums[0]), "c": pa.array(known["c"].to_numpy() + sums[1])})
+
+    return types.groupBy("part").cogroup(further.groupBy("part")).applyInArrow(run, "part long, word string, n long, followers long, c long")
+
+
+def _freed(spark, *stored: DataFrame) -> None:
+    """Remove stored tables that nothing reads any more, and let Spark's cleaner find the shuffle files of finished steps: it acts on what the JVM collects."""
+    import gc
+
+    tables.discard(*stored)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def _discount(once: int, twice: int) -> float:
     return min(0.95, max(0.05, once / max(once + 2 * twice, 1)))
 
 
-def language_scores(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for each row of ``docs`` (doc_id, text)."""
+def language_scores(docs: DataFrame, context_sweeps: int = 0) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for each row of ``docs`` (doc_id, text).
+
+    Without ``context_sweeps`` contexts keep the seating that they begin with, one table for each word; the query seats them."""
     held = store(blocks(docs), "blocks")
     tokens, words = (int(x) for x in held.agg(F.coalesce(F.sum("size"), F.lit(0)), F.coalesce(F.sum("n_words"), F.lit(0))).first())
     parts, word_parts = max(1, -(-tokens // PART_TOKENS)), max(1, -(-words // PART_ASKS))
     bits = min(64, max(32, tokens.bit_length() + 25))
     told = store(pair_answers(held, parts, word_parts, bits), "pair-answers")
+    _freed(docs.sparkSession)
     asks = store(word_asks(held, told, parts, word_parts, bits), "word-asks")
+    _freed(docs.sparkSession)
     types = store(word_types(asks), "types")
     of = types.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count_if(F.col("n") > 0), F.coalesce(F.sum("c"), F.lit(0)), F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)).first()
     total, distinct, customers, once, twice = (int(x) for x in of)
     pairs = told.agg(F.coalesce(F.sum("once"), F.lit(0)), F.coalesce(F.sum("twice"), F.lit(0))).first()
     discount = _discount(*(int(x) for x in pairs))
     law = store(word_law(types, sampled(types, customers, _discount(once, twice))), "word-law")
+    known = None
+    for sweep in range(context_sweeps):
+        last, known = known, store(word_answers(asks, law), "word-answers")
+        _freed(docs.sparkSession, law, last)
+        seats = store(with_further(types, further_tables(held, told, known, parts, word_parts, bits, discount, sweep)), "seats")
+        of = seats.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)).first()
+        _freed(docs.sparkSession)
+        law = store(word_law(seats, sampled(seats, int(of[0]), _discount(int(of[1]), int(of[2])))), "word-law")
+        _freed(docs.sparkSession, seats)
     floor = math.log10(total + 0.5 * (distinct + 1))
 
     def run(row, answers):
         import pyarrow as pa
 
         b = Block(row, parts, word_parts, bits)
-        pair_n = np.empty(len(b.u), np.int64)
-        pair_n[b.pair_order] = _answered(answers, 0, 2)[0]
-        n, followers = np.empty(len(b.words), np.int64), np.empty(len(b.words), np.int64)
-        p = np.empty(len(b.words))
-        n[b.word_order], followers[b.word_order], bits_of = (x.astype(np.int64) for x in _answered(answers, 1, 3))
-        p[b.word_order] = bits_of.astype("<u4").view("<f4")
-        logp = np.log10(predictive(pair_n, n[b.u], followers[b.u], p[b.w], discount))[b.pair]
+        if context_sweeps:
+            pair_n, seats_of, _, _ = _seats(b, answers, discount, context_sweeps - 1)
+        else:
+            pair_n = np.empty(len(b.u), np.int64)
+            pair_n[b.pair_order] = _answered(answers, 0, 2)[0]
+            seats_of = (pair_n > 0).astype(np.float64)
+        n, followers, p = _word_columns(b, answers, 2 if context_sweeps else 1)
+        logp = np.log10(predictive(pair_n, seats_of, n[b.u], followers[b.u], p[b.w], discount))[b.pair]
         start = np.concatenate([[0], np.cumsum(b.n_tokens)[:-1]])
         total_of = lambda x: np.add.reduceat(x, start)
         return pa.table({
@@ -542,14 +670,14 @@ def language_scores(docs: DataFrame) -> DataFrame:
         })
 
     mine = held.select("block", "doc_id", "held_out", "n_tokens", "ids", "words", "train")
-    theirs = told.select(F.col("block").alias("to"), "part", "body", F.lit(0).alias("kind")).unionByName(word_answers(asks, law).select(F.col("block").alias("to"), "part", "body", F.lit(1).alias("kind")))
+    theirs = _told(told, *([known] if context_sweeps else []), word_answers(asks, law))
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     return mine.groupBy("block").cogroup(theirs.groupBy("to")).applyInArrow(run, schema)
 
 
-def predictive(pair_n, context_n, followers, p, discount: float):
-    """Probability of a word after a context: ``pair_n`` of its ``context_n`` customers sit at the word's one table, ``followers`` tables stand there, p is the parent's."""
-    return (np.maximum(pair_n - discount, 0) * (pair_n > 0) + (CONTEXT_STRENGTH + discount * followers) * p) / (CONTEXT_STRENGTH + context_n)
+def predictive(pair_n, tables, context_n, followers, p, discount: float):
+    """Probability of a word after a context: ``pair_n`` of its ``context_n`` customers sit at the word's ``tables``, ``followers`` tables stand there, p is the parent's."""
+    return (np.maximum(pair_n - discount * tables, 0) + (CONTEXT_STRENGTH + discount * followers) * p) / (CONTEXT_STRENGTH + context_n)
 
 
 def perplexity(scores: DataFrame) -> DataFrame:
@@ -559,7 +687,7 @@ def perplexity(scores: DataFrame) -> DataFrame:
 
 
 def query(spark, sf_dir):
-    return language_scores(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return language_scores(table(spark, sf_dir, "documents", "doc_id", "text"), CONTEXT_SWEEPS)
 
 
 def base_query(spark, sf_dir):

@@ -456,6 +456,33 @@ def test_tables_follow_the_restaurant_process():
     assert t.mean() == pytest.approx(expected, rel=0.03) and pitman_yor.tables_for(np.array([0, 1]), np.ones(2), 0.5, rng).tolist() == [0, 1]
 
 
+def test_seats_of_pairs_follow_the_process_and_their_hash():
+    hashes = np.arange(4000, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    for customers, strength in ((30, 2.0), (3000, 2.0), (3000, 900.0)):
+        t = pitman_yor.seated(np.full(4000, customers), np.full(4000, strength), 0.5, hashes, 0)
+        want = pitman_yor.tables_for(np.full(4000, customers), np.full(4000, strength), 0.5, np.random.default_rng(1))
+        assert t.mean() == pytest.approx(want.mean(), rel=0.03) and t.std() == pytest.approx(want.std(), rel=0.1) and t.max() <= customers
+        mixed = pitman_yor.seated(np.append(np.full(10, customers), [1, 0, 5000]), np.full(13, strength), 0.5, hashes[:13], 0)
+        assert (mixed[:10] == t[:10]).all() and mixed[10:12].tolist() == [1, 0]
+    assert not np.array_equal(t, pitman_yor.seated(np.full(4000, customers), np.full(4000, strength), 0.5, hashes, 1))
+
+
+def test_contexts_are_seated(spark, small, monkeypatch):
+    """Blocks agree on the seats of their pairs: every table of a context is a customer of the word restaurant and none is counted twice."""
+    monkeypatch.setattr(pitman_yor, "BLOCK", 4000)
+    held = pitman_yor.blocks(small.coalesce(1)).cache()
+    told = pitman_yor.pair_answers(held, 3, 2, 60).cache()
+    asks = pitman_yor.word_asks(held, told, 3, 2, 60).cache()
+    types = pitman_yor.word_types(asks).cache()
+    of = types.agg(F.sum("c"), F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)).first()
+    law = pitman_yor.word_law(types, pitman_yor.sampled(types, of[0], pitman_yor._discount(of[1], of[2]))).cache()
+    known = pitman_yor.word_answers(asks, law)
+    seats = pitman_yor.with_further(types, pitman_yor.further_tables(held, told, known, 3, 2, 60, 0.6, 0)).cache()
+    one, new = ({r.word: r for r in x.collect()} for x in (types, seats))
+    assert one.keys() == new.keys() and all(new[w].n == one[w].n and one[w].c <= new[w].c <= new[w].n and one[w].followers <= new[w].followers <= new[w].n for w in one)
+    assert sum(r.followers for r in new.values()) == sum(r.c for r in new.values()) > sum(r.c for r in one.values())
+
+
 # op7
 PAGE = """<html><head><title>T</title></head><body><div class="menu"><a href=/>home</a></div><div class="cookie-notice">We use cookies</div>
 <div class="post-%d body"><h1>Head &amp; title</h1><p>First  paragraph, with &eacute;,<b> bold</b><br>line.<p>Second paragraph is long enough to count, with commas, and more.
