@@ -18,8 +18,8 @@ with its training count. Blocks ask about their pairs and words: asks are dealt
 and packed (a row for each block and part, 4 bytes or so for a pair, so no pair, word or context is a hot key), a part adds
 them up and answers each block in the order of its asks. Pairs are known by a hash whose width grows with the corpus (two
 pairs are taken for one with odds below 1e-7). Bytes in contexts fall into 32 classes, so the spelling model has 32**3
-restaurants of 257 dishes at most whatever the corpus: that bounds what is collected and broadcast (34 MB a sample, much
-less in practice).
+restaurants of 257 dishes at most whatever the corpus: that bounds what is collected. A sample is broadcast as the seats
+that it holds, packed; each worker works out its probabilities (34 MB a sample at most, much less in practice).
 
 As in the base score, words that no training text holds are one further dish of the word restaurant. It gets the part of
 the spelling model that the training words leave over, so the probabilities of the vocabulary and this dish add up to 1 in
@@ -326,19 +326,64 @@ def tables_for(customers: np.ndarray, weight: np.ndarray, discount: float, rng:
 
 
 class Spelling:
-    """Predictive probabilities of one sample of the spelling restaurants."""
-
-    def __init__(self, rows: np.ndarray, probs: np.ndarray, short: np.ndarray):
+    """Predictive probabilities of one sample of the spelling restaurants.
+
+    What is pickled is the customers and tables that were seated (hundreds of kB); the probabilities (tens of MB) are worked
+    out where they are first asked for, so that broadcasts of samples take next to no disk."""
+
+    def __init__(self, seated: list):
+        self.seated = seated  # cells (context * DISHES + symbol), customers and tables of each depth, the shortest contexts first
+        self.row = None
+
+    def __getstate__(self):
+        return [pack(np.diff(cells, prepend=0), c, t) for cells, c, t in self.seated]
+
+    def __setstate__(self, bodies):
+        columns = [unpack(body, 3) for body in bodies]
+        self.__init__([(np.cumsum(cells, dtype=np.int64), c.astype(np.float64), t.astype(np.float64)) for cells, c, t in columns])
+
+    def levels(self) -> list[np.ndarray]:
+        """Probabilities after every context of each depth but the last; unseated restaurants predict as their parents do."""
+        above, out = np.full((1, DISHES), 1 / DISHES), []
+        for depth in range(DEPTH):
+            rows, probs = _predicted(*self.seated[depth], above, depth)
+            above = np.tile(above, (CLASSES**depth // len(above), 1))
+            above[rows] = probs
+            out.append(above)
+        return out
+
+    def _build(self) -> None:
+        above = self.levels()[-1]
+        cells, c, t = self.seated[DEPTH]
+        rows = np.unique(cells // DISHES)
+        self.short, self.probs = above.astype(np.float32), np.empty((len(rows), DISHES), np.float32)  # of all one byte shorter; of seated restaurants at full depth
+        for at in range(0, len(rows), 2048):
+            some = rows[at : at + 2048]
+            mine = slice(*np.searchsorted(cells, [some[0] * DISHES, (some[-1] + 1) * DISHES]))
+            self.probs[at : at + 2048] = _predicted(cells[mine], c[mine], t[mine], above, DEPTH)[1]
         self.row = np.full(CLASSES**DEPTH, -1, np.int32)
         self.row[rows] = np.arange(len(rows), dtype=np.int32)
-        self.probs, self.short = probs, short  # of seated restaurants at full depth; of all one byte shorter
 
     def log10(self, context: np.ndarray, symbol: np.ndarray) -> np.ndarray:
+        if self.row is None:
+            self._build()
         row = self.row[context]
         out = np.where(row >= 0, self.probs[np.maximum(row, 0), symbol] if len(self.probs) else 0, self.short[context % CLASSES ** (DEPTH - 1), symbol])
         return np.log10(out)
 
 
+def _predicted(cells: np.ndarray, c: np.ndarray, t: np.ndarray, above: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, probabilities) of the seated restaurants of a depth, given the probabilities one byte shorter."""
+    d, theta = SPELL_DISCOUNT, SPELL_STRENGTH
+    rows, inverse = np.unique(cells // DISHES, return_inverse=True)
+    n = len(rows)
+    total, tabs = np.bincount(inverse, c, n), np.bincount(inverse, t, n)
+    held = np.zeros((n, DISHES))
+    held[inverse, cells % DISHES] = c - d * t
+    up = above[rows % CLASSES ** (depth - 1)] if depth else np.repeat(above, n, 0)
+    return rows, (held + (theta + d * tabs)[:, None] * up) / (theta + total)[:, None]
+
+
 def spelled(words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(context, symbol, start of each word) over the symbols of an Arrow string array without nulls."""
     import pyarrow as pa
@@ -358,41 +403,24 @@ def spelled(words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return context, symbol, start
 
 
-def spelling_of(cells: np.ndarray, counts: np.ndarray, last: list | None, rng: np.random.Generator) -> tuple[Spelling, list]:
-    """Seat ``counts`` customers of each cell (context * DISHES + symbol), upwards; last: the levels' probabilities in the last sweep."""
+def spelling_of(cells: np.ndarray, counts: np.ndarray, last: Spelling | None, rng: np.random.Generator) -> Spelling:
+    """Seat ``counts`` customers of each cell (context * DISHES + symbol), upwards; last: the last sweep's sample."""
     d, theta = SPELL_DISCOUNT, SPELL_STRENGTH
-    seated = []
+    before, seated = last.levels() if last else None, []
     for depth in range(DEPTH, -1, -1):
         context, dish = cells // DISHES, cells % DISHES
-        rows, inverse = np.unique(context, return_inverse=True)
         if last is None:
             t = (counts > 0).astype(np.float64)
         else:
-            old_t = last[depth][1]
-            parent = last[depth - 1][0][context % CLASSES ** (depth - 1), dish] if depth else np.full(len(cells), 1 / DISHES)
+            old_cells, _, old_t = last.seated[depth]
+            old_t = np.bincount(old_cells // DISHES, old_t, CLASSES**depth)
+            parent = before[depth - 1][context % CLASSES ** (depth - 1), dish] if depth else np.full(len(cells), 1 / DISHES)
             t = tables_for(counts, (theta + d * old_t[context]) * parent, d, rng)
-        seated.append((depth, rows, inverse, dish, counts, t))
+        seated.append((cells, counts, t))
         if depth:
             cells, back = np.unique(context % CLASSES ** (depth - 1) * DISHES + dish, return_inverse=True)
             counts = np.bincount(back, t, len(cells))
-    levels: list = [None] * (DEPTH + 1)
-    above = np.full((1, DISHES), 1 / DISHES)
-    for depth, rows, inverse, dish, c, t in reversed(seated):
-        n, total, tabs = len(rows), np.bincount(inverse, c, len(rows)), np.bincount(inverse, t, len(rows))
-        held = np.zeros((n, DISHES))
-        held[inverse, dish] = c - d * t
-        up = above[rows % CLASSES ** (depth - 1)] if depth else np.repeat(above, n, 0)
-        probs = (held + (theta + d * tabs)[:, None] * up) / (theta + total)[:, None]
-        all_t = np.zeros(CLASSES**depth)
-        all_t[rows] = tabs
-        if depth == DEPTH:
-            levels[depth] = (None, all_t)
-            return Spelling(rows, probs.astype(np.float32), above.astype(np.float32)), levels
-        # unseated restaurants predict as their parents do
-        above = np.tile(above, (CLASSES**depth // len(above), 1)) if depth else above
-        above[rows] = probs
-        levels[depth] = (above, all_t)
-    raise AssertionError
+    return Spelling(seated[::-1])
 
 
 class Sample:
@@ -427,7 +455,7 @@ def sampled(types: DataFrame, total: int, discount: float) -> list[Sample]:
     """The kept samples, from types (word, c)."""
     sc = types.sparkSession.sparkContext
     known = types.filter("c > 0").select("word", "c")
-    rng, kept, current, levels = np.random.default_rng(7), [], None, None
+    rng, kept, current, spelling = np.random.default_rng(7), [], None, None
     for sweep in range(SWEEPS + 1):
         shared = sc.broadcast(current)
 
@@ -447,7 +475,8 @@ def sampled(types: DataFrame, total: int, discount: float) -> list[Sample]:
         found = known.mapInArrow(count, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas().sort_values("cell")
         cell, n = found["cell"].to_numpy(), found["n"].to_numpy().astype(np.float64)
         tables = float(n[cell == -1].sum())
-        spelling, levels = spelling_of(cell[cell >= 0], n[cell >= 0], levels, rng)
+        shared.destroy()  # its file on the driver would stay to the end
+        spelling = spelling_of(cell[cell >= 0], n[cell >= 0], spelling, rng)
         current = Sample(spelling, tables, float(total), discount, sweep)
         if sweep > BURN_IN:
             kept.append(current)
@@ -467,6 +496,7 @@ def sampled(types: DataFrame, total: int, discount: float) -> list[Sample]:
     # over all types, as word_scores reads them, so that both seat every word alike
     for k, mass, seats in types.select("word", "c").mapInArrow(taken, "k int, mass double, seats double").groupBy("k").agg(F.sum("mass"), F.sum("seats")).collect():
         kept[k].taken, kept[k].seats = min(mass, 1 - 1e-9), seats
+    shared.destroy()
     return kept
 
 

@@ -2,6 +2,8 @@
 
 import collections
 import math
+import os
+import pickle
 import re
 import zlib
 
@@ -483,6 +485,21 @@ def test_contexts_are_seated(spark, small, monkeypatch):
     assert sum(r.followers for r in new.values()) == sum(r.c for r in new.values()) > sum(r.c for r in one.values())
 
 
+def test_samples_are_sent_small(spark, small):
+    """Broadcasts lie on the disk of the driver and of each executor: a sample goes as what was seated, predicts alike when it arrives, and leaves no file behind."""
+    rng = np.random.default_rng(0)
+    cells = np.unique(rng.integers(0, 32**3, 40_000) * 257 + rng.integers(0, 257, 40_000))
+    first = pitman_yor.spelling_of(cells, rng.integers(1, 50, len(cells)).astype(float), None, rng)
+    sample = pitman_yor.spelling_of(cells, rng.integers(1, 50, len(cells)).astype(float), first, rng)
+    body = pickle.dumps(sample)
+    context, symbol = rng.integers(0, 32**3, 5000), rng.integers(0, 257, 5000)
+    assert len(body) < 300_000 and np.array_equal(pickle.loads(body).log10(context, symbol), sample.log10(context, symbol))
+    assert all((10.0 ** sample.log10(np.full(257, k), np.arange(257))).sum() == pytest.approx(1, abs=1e-5) for k in context[:20])
+    left = lambda: sum(os.path.getsize(os.path.join(d, n)) for d, _, names in os.walk(spark.sparkContext._temp_dir) for n in names)
+    before = left()
+    assert pitman_yor.language_scores(small, 1).count() == small.count() and left() - before < 1_000_000
+
+
 # op7
 PAGE = """<html><head><title>T</title></head><body><div class="menu"><a href=/>home</a></div><div class="cookie-notice">We use cookies</div>
 <div class="post-%d body"><h1>Head &amp; title</h1><p>First  paragraph, with &eacute;,<b> bold</b><br>line.<p>Second paragraph is long enough to count, with commas, and more.
