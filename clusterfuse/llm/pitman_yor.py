@@ -166,7 +166,23 @@ def pair_keys(ids: np.ndarray, end: int | None = None) -> np.ndarray:
     """The word before each token and the token as one number. Texts end with the end, so the one before a text is that of the text before it."""
     before = np.empty_like(ids)
     before[1:], before[0] = ids[:-1], ids[-1] if end is None else end
-    return before.astype(np.int64) << 32 | ids.astype(np.int64)
+    keys = before.astype(np.int64)
+    keys <<= 32
+    keys |= ids
+    return keys
+
+
+def _numbered(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys and each key's number among them, as np.unique gives them, in less memory."""
+    order = np.argsort(keys)
+    keys = keys[order]
+    new = np.ones(len(keys), bool)
+    np.not_equal(keys[1:], keys[:-1], out=new[1:])
+    number = np.empty(len(keys), np.int32)
+    ranks = np.cumsum(new, dtype=np.int32)
+    ranks -= 1
+    number[order] = ranks
+    return keys[new], number
 
 
 class Block:
@@ -189,8 +205,7 @@ class Block:
         hashes[empty] = _U(0x5851F42D4C957F2D)
         self.word_part = (_mix(hashes) % _U(word_parts)).astype(np.int64)
         self.word_order = np.argsort(self.word_part, kind="stable")
-        keys, self.pair = np.unique(pair_keys(self.ids), return_inverse=True)
-        self.pair = self.pair.astype(np.int32)
+        keys, self.pair = _numbered(pair_keys(self.ids))
         self.u, self.w = (keys >> 32).astype(np.int32), (keys & 0xFFFFFFFF).astype(np.int32)
         del keys
         trains = np.repeat(~self.held_out, self.n_tokens)
@@ -690,6 +705,7 @@ def language_scores(docs: DataFrame, context_sweeps: int = 0) -> DataFrame:
             pair_n = np.empty(len(b.u), np.int64)
             pair_n[b.pair_order] = _answered(answers, 0, 2)[0]
             seats_of = (pair_n > 0).astype(np.float64)
+        del b.hash, b.times, b.pair_part, b.pair_order  # not needed from here on, tens of MB
         n, followers, p = _word_columns(b, answers, 2 if context_sweeps else 1)
         logp = np.log10(predictive(pair_n, seats_of, n[b.u], followers[b.u], p[b.w], discount))[b.pair]
         start = np.concatenate([[0], np.cumsum(b.n_tokens)[:-1]])
