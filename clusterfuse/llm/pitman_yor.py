@@ -11,7 +11,7 @@ begin with one table for each word and are seated anew ``context_sweeps`` times;
 again, and their predictive probabilities are averaged over the kept sweeps. A context's probabilities are linear in those
 of the word restaurant, so averaging the latter averages both, given the contexts' last seating. The seats of a pair are
 drawn from its hash, so that each block that holds the pair draws the same and no exchange of pairs is needed: only the
-tables beyond the first of each pair, summed by word, are sent.
+tables beyond the first of each pair, summed by word, are sent. Each block keeps its pairs' last seats to score with.
 
 What moves: documents are read once into blocks of about ``BLOCK`` tokens, in which a word or a pair of words stands once
 with its training count. Blocks ask about their pairs and words: asks are dealt by hash into parts of about ``PART_ASKS``
@@ -44,6 +44,8 @@ from .common import BLANK, CRC_TABLE, LOWER, UPPER, crc_sql, store, table
 from .near_dup import _mix, word_hashes
 
 BLOCK = 3_000_000
+#: Pairs that are seated at once: what fits the caches.
+SEATED = 1 << 13
 #: Asks of a part, at most (three of five tokens or so make a pair of their block).
 PART_ASKS, PART_TOKENS = 1_000_000, 2_500_000
 SWEEPS, BURN_IN = 4, 1
@@ -172,9 +174,33 @@ def pair_keys(ids: np.ndarray, end: int | None = None) -> np.ndarray:
     return keys
 
 
+def _order(keys: np.ndarray, bits: int) -> np.ndarray:
+    """Stable order of whole numbers below 2**bits. They are sorted together with their places, as far as both fit one number, which is faster than an argsort."""
+    place = len(keys).bit_length()
+    drop = max(0, bits + place - 64)
+    joint = keys.astype(_U)
+    joint >>= _U(drop)
+    joint <<= _U(place)
+    joint |= np.arange(len(keys), dtype=np.uint32)
+    joint.sort()
+    joint &= _U((1 << place) - 1)
+    order = joint.view(np.int64)
+    if drop:
+        found = keys[order]
+        if (found[1:] < found[:-1]).any():  # keys that differ in dropped bits alone; equal ones are in order
+            order = order[np.argsort(found, kind="stable")]
+    return order
+
+
 def _numbered(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys and each key's number among them, as np.unique gives them, in less memory."""
-    order = np.argsort(keys)
+    """Distinct keys of ``pair_keys`` and each key's number among them, as np.unique gives them, in less memory."""
+    # without the zeros between its two numbers a key leaves room for its place
+    low = (int(np.bitwise_or.reduce(keys)) & 0xFFFFFFFF).bit_length()
+    short = keys >> 32
+    short <<= low
+    np.bitwise_or(short, keys & ((1 << low) - 1), out=short)
+    order = _order(short, int(short.max(initial=0)).bit_length())
+    del short
     keys = keys[order]
     new = np.ones(len(keys), bool)
     np.not_equal(keys[1:], keys[:-1], out=new[1:])
@@ -188,7 +214,8 @@ def _numbered(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class Block:
     """A block as its row holds it, with its pairs and words in the order of their asks."""
 
-    def __init__(self, row, parts: int, word_parts: int, bits: int):
+    def __init__(self, row, parts: int, word_parts: int, bits: int, asks: bool = True):
+        """``asks``: also what tells how pairs are asked about, which only steps that read answers on pairs need."""
         import pyarrow as pa
 
         get = lambda k: row[k][0].as_py()
@@ -204,17 +231,19 @@ class Block:
             hashes[part] = word_hashes(b" ".join([self.words[k] for k in part]))
         hashes[empty] = _U(0x5851F42D4C957F2D)
         self.word_part = (_mix(hashes) % _U(word_parts)).astype(np.int64)
-        self.word_order = np.argsort(self.word_part, kind="stable")
+        self.word_order = _order(self.word_part, word_parts.bit_length())
         keys, self.pair = _numbered(pair_keys(self.ids))
         self.u, self.w = (keys >> 32).astype(np.int32), (keys & 0xFFFFFFFF).astype(np.int32)
         del keys
+        if not asks:
+            return
         trains = np.repeat(~self.held_out, self.n_tokens)
         self.times = np.bincount(self.pair[trains], minlength=len(self.u))
         # two words of a block with one hash would share it, and so might two pairs; the order among them is that of the numbers
         self.hash = _mix(hashes[self.u] * _U(0x9E3779B97F4A7C15) + _mix(hashes)[self.w]) >> _U(64 - bits)
         # parts are stretches of the hash, so one order serves both
         self.pair_part = ((self.hash >> _U(bits - 32)) * _U(parts) >> _U(32)).astype(np.int32)
-        self.pair_order = np.argsort(self.hash, kind="stable")
+        self.pair_order = _order(self.hash, bits)
 
     def pair_asks(self):
         """(part, body) of hashes and training counts."""
@@ -580,16 +609,23 @@ def seated(customers: np.ndarray, weight: np.ndarray, discount: float, hashes: n
     out = (customers > 0).astype(np.float64)
     order = np.flatnonzero(customers > 1)
     order = order[np.argsort(-customers[order], kind="stable")]
-    c, w, h, s = customers[order], weight[order].astype(np.float64), _mix(hashes[order] + _U(sweep + 1)), np.ones(len(order))
+    for at in range(0, len(order), SEATED):
+        some = order[at : at + SEATED]
+        out[some] = _seated(customers[some], weight[some].astype(np.float64), discount, _mix(hashes[some] + _U(sweep + 1)))
+    return out
+
+
+def _seated(c: np.ndarray, w: np.ndarray, discount: float, h: np.ndarray) -> np.ndarray:
+    """Tables of dishes of two customers and more, those of most customers first."""
+    s = np.ones(len(c))
     i, draw = 1, 0
-    while len(c) and i < c[0]:
+    while i < c[0]:
         live, step = int(np.searchsorted(-c, -i, side="left")), 1 if i < 64 else i // 32
         p = w[:live] / (w[:live] + i - discount * s[:live])
         u = _uniform(h[:live], draw)
         s[:live] += u < p if step == 1 else _successes(np.minimum(step, c[:live] - i), p, u, _uniform(h[:live], draw + 1))
         i, draw = i + step, draw + 2
-    out[order] = s
-    return out
+    return s
 
 
 def _seats(b: Block, answers, discount: float, sweep: int):
@@ -609,22 +645,25 @@ def _word_columns(b: Block, answers, kind: int):
 
 
 def further_tables(held: DataFrame, told: DataFrame, known: DataFrame, parts: int, word_parts: int, bits: int, discount: float, sweep: int) -> DataFrame:
-    """part, words, body: tables beyond the first of the pairs that each block owns, by the word before and by the word; words without any are left out."""
+    """part, block, words, body: tables beyond the first of the pairs that each block owns, by the word before and by the word; words without any are left out.
+
+    Part -1 holds the training counts and tables of all pairs of a block, in the order of its pairs, so that scores need not seat them again."""
 
     def run(row, answers):
         import pyarrow as pa
 
         b = Block(row, parts, word_parts, bits)
-        _, tables, owner, _ = _seats(b, answers, discount, sweep)
+        pair_n, tables, owner, _ = _seats(b, answers, discount, sweep)
         own = np.flatnonzero(owner & (tables > 1))
         sums = [np.bincount(x[own], tables[own] - 1, len(b.words)).astype(np.int64) for x in (b.u, b.w)]
         order = b.word_order[(sums[0] + sums[1])[b.word_order] > 0]
         rows = [(part, _press(b"\n".join([b.words[k] for k in order[at]])), pack(sums[0][order[at]], sums[1][order[at]])) for part, at in _runs(b.word_part[order])]
-        return pa.table({"part": pa.array([r[0] for r in rows], pa.int64()), "words": pa.array([r[1] for r in rows], pa.binary()), "body": pa.array([r[2] for r in rows], pa.binary())})
+        rows.append((-1, None, pack(pair_n, tables)))
+        return pa.table({"part": pa.array([r[0] for r in rows], pa.int64()), "block": pa.array([row["block"][0].as_py()] * len(rows), pa.int64()), "words": pa.array([r[1] for r in rows], pa.binary()), "body": pa.array([r[2] for r in rows], pa.binary())})
 
     mine = held.select("block", "doc_id", "held_out", "n_tokens", "ids", "words", "train")
     theirs = _told(told, known)
-    return mine.groupBy("block").cogroup(theirs.groupBy("to")).applyInArrow(run, "part long, words binary, body binary")
+    return mine.groupBy("block").cogroup(theirs.groupBy("to")).applyInArrow(run, "part long, block long, words binary, body binary")
 
 
 def _told(told: DataFrame, *known: DataFrame) -> DataFrame:
@@ -650,7 +689,7 @@ def with_further(types: DataFrame, further: DataFrame) -> DataFrame:
                 s[at] += x.astype(np.int64)
         return pa.table({"part": known["part"], "word": known["word"], "n": known["n"], "followers": pa.array(known["followers"].to_numpy() + sums[0]), "c": pa.array(known["c"].to_numpy() + sums[1])})
 
-    return types.groupBy("part").cogroup(further.groupBy("part")).applyInArrow(run, "part long, word string, n long, followers long, c long")
+    return types.groupBy("part").cogroup(further.filter("part >= 0").groupBy("part")).applyInArrow(run, "part long, word string, n long, followers long, c long")
 
 
 def _freed(spark, *stored: DataFrame) -> None:
@@ -684,11 +723,13 @@ def language_scores(docs: DataFrame, context_sweeps: int = 0) -> DataFrame:
     pairs = told.agg(F.coalesce(F.sum("once"), F.lit(0)), F.coalesce(F.sum("twice"), F.lit(0))).first()
     discount = _discount(*(int(x) for x in pairs))
     law = store(word_law(types, sampled(types, customers, _discount(once, twice))), "word-law")
-    known = None
+    further = None
     for sweep in range(context_sweeps):
-        last, known = known, store(word_answers(asks, law), "word-answers")
-        _freed(docs.sparkSession, law, last)
-        seats = store(with_further(types, further_tables(held, told, known, parts, word_parts, bits, discount, sweep)), "seats")
+        known = store(word_answers(asks, law), "word-answers")
+        _freed(docs.sparkSession, law, further)
+        further = store(further_tables(held, told, known, parts, word_parts, bits, discount, sweep), "further")
+        _freed(docs.sparkSession, known, told if sweep == context_sweeps - 1 else None)
+        seats = store(with_further(types, further), "seats")
         of = seats.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)).first()
         _freed(docs.sparkSession)
         law = store(word_law(seats, sampled(seats, int(of[0]), _discount(int(of[1]), int(of[2])))), "word-law")
@@ -698,15 +739,15 @@ def language_scores(docs: DataFrame, context_sweeps: int = 0) -> DataFrame:
     def run(row, answers):
         import pyarrow as pa
 
-        b = Block(row, parts, word_parts, bits)
+        b = Block(row, parts, word_parts, bits, not context_sweeps)
         if context_sweeps:
-            pair_n, seats_of, _, _ = _seats(b, answers, discount, context_sweeps - 1)
+            pair_n, seats_of = (x.astype(np.int64) for x in _answered(answers, 0, 2))
         else:
             pair_n = np.empty(len(b.u), np.int64)
             pair_n[b.pair_order] = _answered(answers, 0, 2)[0]
             seats_of = (pair_n > 0).astype(np.float64)
-        del b.hash, b.times, b.pair_part, b.pair_order  # not needed from here on, tens of MB
-        n, followers, p = _word_columns(b, answers, 2 if context_sweeps else 1)
+            del b.hash, b.times, b.pair_part, b.pair_order  # not needed from here on, tens of MB
+        n, followers, p = _word_columns(b, answers, 1)
         logp = np.log10(predictive(pair_n, seats_of, n[b.u], followers[b.u], p[b.w], discount))[b.pair]
         start = np.concatenate([[0], np.cumsum(b.n_tokens)[:-1]])
         total_of = lambda x: np.add.reduceat(x, start)
@@ -716,7 +757,7 @@ def language_scores(docs: DataFrame, context_sweeps: int = 0) -> DataFrame:
         })
 
     mine = held.select("block", "doc_id", "held_out", "n_tokens", "ids", "words", "train")
-    theirs = _told(told, *([known] if context_sweeps else []), word_answers(asks, law))
+    theirs = _told(further.filter("part < 0") if context_sweeps else told, word_answers(asks, law))
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     return mine.groupBy("block").cogroup(theirs.groupBy("to")).applyInArrow(run, schema)
 

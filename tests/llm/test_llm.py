@@ -8,6 +8,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 
@@ -500,6 +501,43 @@ def test_samples_are_sent_small(spark, small):
     assert pitman_yor.language_scores(small, 1).count() == small.count() and left() - before < 1_000_000
 
 
+def test_orders_and_seats_in_portions_are_the_plain_ones(monkeypatch):
+    rng = np.random.default_rng(0)
+    for bits in (3, 40, 50, 64):
+        for n in (0, 1, 3000):
+            keys = rng.integers(0, 2**bits - 1, n, dtype=np.uint64)
+            keys[n // 2 :] = keys[: n - n // 2] ^ rng.integers(0, 2, n - n // 2, dtype=np.uint64)  # equal ones, and some that differ in the last bit alone
+            assert np.array_equal(pitman_yor._order(keys, bits), np.argsort(keys, kind="stable"))
+    for most in (1, 30, 2**31 - 1):
+        keys = pitman_yor.pair_keys(rng.integers(0, most, 3000).astype(np.int32))
+        assert all(np.array_equal(a, b) for a, b in zip(pitman_yor._numbered(keys), np.unique(keys, return_inverse=True)))
+    args = rng.integers(0, 300, 500), rng.uniform(0.1, 90, 500), 0.5, rng.integers(0, 2**63, 500).astype(np.uint64), 0
+    whole = pitman_yor.seated(*args)
+    monkeypatch.setattr(pitman_yor, "SEATED", 7)
+    assert np.array_equal(pitman_yor.seated(*args), whole)
+
+
+def test_scores_take_over_the_seats_of_the_last_sweep(spark, small, monkeypatch):
+    """Seating is a large part of the query's CPU seconds; each block's seats are drawn once a sweep and kept."""
+    monkeypatch.setattr(pitman_yor, "BLOCK", 4000)
+    held = pitman_yor.blocks(small.coalesce(1)).cache()
+    told = pitman_yor.pair_answers(held, 3, 2, 60).cache()
+    asks = pitman_yor.word_asks(held, told, 3, 2, 60).cache()
+    law = pitman_yor.word_types(asks).withColumn("p", F.lit(0.001))
+    known = pitman_yor.word_answers(asks, law).cache()
+    kept = {r.block: pitman_yor.unpack(r.body, 2) for r in pitman_yor.further_tables(held, told, known, 3, 2, 60, 0.6, 0).filter("part < 0").collect()}
+    rows, answers = held.toArrow(), pitman_yor._told(told, known).toArrow()
+    assert rows.num_rows == len(kept) > 2
+    for k in range(rows.num_rows):
+        row = rows.slice(k, 1)
+        block = row["block"][0].as_py()
+        mine = answers.filter(pc.equal(answers["to"], block))
+        pair_n, tables, _, _ = pitman_yor._seats(pitman_yor.Block(row, 3, 2, 60), mine, 0.6, 0)
+        assert np.array_equal(kept[block][0], pair_n) and np.array_equal(kept[block][1], tables) and tables.max() > 1
+    read = pitman_yor.language_scores(small, 1).inputFiles()
+    assert any("further-" in f for f in read) and not any("pair-answers-" in f or "word-answers-" in f for f in read)
+
+
 # op7
 PAGE = """<html><head><title>T</title></head><body><div class="menu"><a href=/>home</a></div><div class="cookie-notice">We use cookies</div>
 <div class="post-%d body"><h1>Head &amp; title</h1><p>First  paragraph, with &eacute;,<b> bold</b><br>line.<p>Second paragraph is long enough to count, with commas, and more.
