@@ -4,6 +4,7 @@ import collections
 import math
 import os
 import pickle
+import random
 import re
 import zlib
 
@@ -675,6 +676,36 @@ def test_packing(spark, small, odd, none):
     assert packing.pack(none, with_ids=False).count() == 0
 
 
+def test_packing_merges_new_words_together():
+    """Ids of many different words are those of the whole tokenizer, and only units too long or too few for arrays are merged one by one."""
+    import public_tokenizers
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    whole, tok = Tokenizer.from_file(path), packing.ChunkTokenizer(path)
+    model, alone = tok.model, []
+
+    class Counted:
+        def tokenize(self, unit):
+            alone.append(unit)
+            return model.tokenize(unit)
+
+    tok.model = Counted()
+    rng = random.Random(9)
+    words = ["".join(rng.choices("abcdeinorstéöñÉAZ", k=rng.randint(4, 14))) + rng.choice(["", "", ",", "!!"]) for _ in range(6000)]
+    texts = [" ".join(words[k : k + 500]) for k in range(0, len(words), 500)]
+    odd = ["", " ", "×a ÷ ßÿ ŸÀ", "İx Σς ΑΣ ǅ", "e\u0301a é́ Å", "中文 が한 яЯ", "it's IT'S we're 'tis o'", "a1b2 ½²", "\x00a\x1cb\x1d c\x85d\xa0e\u3000f\u2028g", "<|endoftext|> a<|startoftext|>b <|", "aaaa" * 30, "x" * 64 + "!" * 70, "\U0001f600a b\u200bc"]
+    texts += odd + ["".join(rng.choices("aéÉ×ßİΣ中e\u03011'!. \n\x1c", k=40)) for _ in range(300)]
+    for size in (packing.GROUP, 1):
+        groups = list(packing.grouped(pa.array(["before", *texts], pa.string()).slice(1), size))
+        assert [len(g) for g in groups] == [len(texts)] if size > 1 else len(groups) > 300
+        got = [ids.tolist() for g in groups for ids in tok.ids(g)]
+        assert got == [whole.encode(t, add_special_tokens=False).ids for t in texts]
+        if size > 1:
+            assert len(set(words)) > 5000 and len(alone) < 1000
+
+
 # op10
 def test_quality_scores(spark, odd, none):
     d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
